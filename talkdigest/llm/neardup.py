@@ -7,7 +7,7 @@ larger one the depth adapts: a set meets the NEXT sets before it in the order, t
 and the heads of its sub-regions at each greater depth, through which a dense region is linked together.
 
 Equal sets are one class first. Candidates are confirmed by the exact Jaccard of their whole sets (64-bit hashes of
-shingles): first one star edge a set, then the candidates whose ends have no common centre yet. Components come from
+shingles): first one star edge a set, then the candidates whose ends are not yet in one component. Components come from
 alternating large-star and small-star steps over written tables.
 
 A pair of similarity 0.8 in regions of up to NEAR sets is missed with probability (1 - 0.8^4)^TREES, 3e-6; more
@@ -210,9 +210,9 @@ def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFr
     items = written(texts.join(small_or_plain(ends, 1_000_000), "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary"), "sets")
     star = written(pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "star")
     first = written(confirmed(star, items, percent).distinct(), "confirmed")
-    centre = first.select(F.col("b").alias("id"), F.col("a").alias("c")).distinct()
+    joined = written(components(first), "joined")
     rest = pairs.join(star, ["a", "b"], "left_anti")
-    rest = rest.join(centre.select(F.col("id").alias("a"), F.col("c").alias("ca")), "a", "left").join(centre.select(F.col("id").alias("b"), F.col("c").alias("cb")), "b", "left")
+    rest = rest.join(joined.select(F.col("id").alias("a"), F.col("component").alias("ca")), "a", "left").join(joined.select(F.col("id").alias("b"), F.col("component").alias("cb")), "b", "left")
     rest = rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
     links = first.unionByName(confirmed(rest, items, percent).distinct())
     found = components(links)
