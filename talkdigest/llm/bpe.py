@@ -13,55 +13,51 @@ from __future__ import annotations
 
 import base64
 import hashlib
-from collections import OrderedDict
 from collections.abc import Iterator
 from functools import lru_cache
-from heapq import heapify, heappop, heappush
+from heapq import heappop, heappush
 
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-WORD_BITS = 6
-CACHED = 500_000  # pre-tokens that a worker remembers
+SPAN = 8
+MASK = (1 << SPAN) - 1
+CACHED = 600_000  # pre-tokens in a generation of what a worker remembers
 CACHED_BYTES = 64  # longer ones aren't remembered
 
 
 class BitQueue:
-    """A set of small integers that gives its least one: each level has a bit for every non-empty word of the level below."""
+    """A set of small integers that gives its least one: a bit for every member in words of 2 ** SPAN, and a bit above for every word that isn't empty."""
+
+    __slots__ = ("top", "words")
 
     def __init__(self):
-        self.levels: list[dict[int, int]] = [{} for _ in range(4)]  # 64 ** 4 ranks
+        self.top, self.words = 0, {}
 
     def add(self, x: int) -> None:
-        for level in self.levels:
-            word, bit = x >> WORD_BITS, 1 << (x & 63)
-            old = level.get(word, 0)
-            level[word] = old | bit
-            if old:
-                return
-            x = word
+        word = x >> SPAN
+        self.words[word] = self.words.get(word, 0) | 1 << (x & MASK)
+        self.top |= 1 << word
 
     def remove(self, x: int) -> None:
-        for level in self.levels:
-            word = x >> WORD_BITS
-            left = level[word] & ~(1 << (x & 63))
-            if left:
-                level[word] = left
-                return
-            del level[word]
-            x = word
+        word = x >> SPAN
+        left = self.words[word] & ~(1 << (x & MASK))
+        if left:
+            self.words[word] = left
+        else:
+            del self.words[word]
+            self.top &= ~(1 << word)
 
     def least(self) -> int:
         """-1 if empty."""
-        x = 0
-        for level in reversed(self.levels):
-            bits = level.get(x, 0)
-            if not bits:
-                return -1
-            x = x << WORD_BITS | ((bits & -bits).bit_length() - 1)
-        return x
+        top = self.top
+        if not top:
+            return -1
+        word = (top & -top).bit_length() - 1
+        bits = self.words[word]
+        return word << SPAN | ((bits & -bits).bit_length() - 1)
 
 
 class Vocabulary:
@@ -70,83 +66,83 @@ class Vocabulary:
             self.ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
         self.pieces = {b: a for a, b in self.ranks.items()}
         self.names = {b: str(b) for b in self.pieces}
+        self.single = [self.ranks.get(bytes([a]), -1) for a in range(256)]
+        self.pairs = [self.ranks.get(bytes([a, b]), -1) for a in range(256) for b in range(256)]
         self.split = regex.compile(pattern)
-        self.known: OrderedDict[str, tuple[int, ...]] = OrderedDict()
+        self.known: dict[str, tuple[int, ...]] = {}
+        self.older: dict[str, tuple[int, ...]] = {}
 
     def merged(self, data: bytes) -> tuple[int, ...]:
         """The ids of one pre-token."""
-        ranks = self.ranks
-        whole = ranks.get(data)
-        if whole is not None:
+        rank_of = self.ranks.get
+        if (whole := rank_of(data)) is not None:
             return (whole,)
-        n = len(data)
-        if n == 1:
-            return (ranks[data],)
-        ends = list(range(1, n + 1))  # of the piece that starts here; 0 once it has been merged into another
-        starts = list(range(-1, n))  # of the piece before; starts[n] is the last one's
-        buckets: dict[int, list[int]] = {}
-        queue = BitQueue()
-        pending: dict[int, int] = {}  # position -> rank of the pair that starts there
-
-        for i in range(n - 1):
-            rank = ranks.get(data[i:i + 2])
-            if rank is not None:
-                pending[i] = rank
+        n, pairs = len(data), self.pairs
+        waits = [pairs[a << 8 | b] for a, b in zip(data, data[1:])]  # rank of the pair that starts at a position, -1 for none or a merged one
+        waits.append(-1)
+        queue, buckets = BitQueue(), {}
+        add, remove, least = queue.add, queue.remove, queue.least
+        for i, rank in enumerate(waits):
+            if rank >= 0:
                 if rank in buckets:
                     buckets[rank].append(i)
                 else:
                     buckets[rank] = [i]
-                    queue.add(rank)
-
-        def wait(i: int) -> None:
+                    add(rank)
+        ends, before = list(range(1, n + 1)), list(range(-1, n))  # of the piece that starts here; start of the piece before
+        while buckets:
+            rank = least()
+            bucket = buckets[rank]
+            i = heappop(bucket) if len(bucket) > 1 else bucket.pop()
+            if not bucket:
+                del buckets[rank]
+                remove(rank)
+            if waits[i] != rank:
+                continue  # stale
             middle = ends[i]
-            rank = ranks.get(data[i:ends[middle]]) if middle < n else None
-            if rank is None:
-                pending.pop(i, None)
-            elif pending.get(i) != rank:
-                pending[i] = rank
+            end = ends[i] = ends[middle]
+            waits[middle] = -1
+            before[end] = i
+            rank = waits[i] = rank_of(data[i:ends[end]], -1) if end < n else -1
+            if rank >= 0:
                 if rank in buckets:
                     heappush(buckets[rank], i)
                 else:
                     buckets[rank] = [i]
-                    queue.add(rank)
-
-        while (rank := queue.least()) >= 0:
-            bucket = buckets[rank]
-            while bucket:
-                i = heappop(bucket)
-                if pending.get(i) != rank:
-                    continue  # stale
-                middle = ends[i]
-                after = ends[middle]
-                ends[i], ends[middle], starts[after] = after, 0, i
-                pending.pop(middle, None)
-                wait(i)
-                if i:
-                    wait(starts[i])
-                if (best := queue.least()) < rank:
-                    break
-            if not bucket:
-                queue.remove(rank)
-                del buckets[rank]
-        ids, i = [], 0
+                    add(rank)
+            if i:
+                j = before[i]
+                rank = waits[j] = rank_of(data[j:end], -1)
+                if rank >= 0:
+                    if rank in buckets:
+                        heappush(buckets[rank], j)
+                    else:
+                        buckets[rank] = [j]
+                        add(rank)
+        ids, i, single = [], 0, self.single
         while i < n:
-            ids.append(ranks[data[i:ends[i]]])
-            i = ends[i]
+            end = ends[i]
+            ids.append(single[data[i]] if end == i + 1 else rank_of(data[i:end]))
+            i = end
         return tuple(ids)
 
+    def remembered(self, piece: str) -> tuple[int, ...]:
+        """From the older generation of the memory, or encoded; a full generation becomes the older one."""
+        got = self.older.get(piece)
+        if got is None:
+            data = piece.encode()
+            got = self.merged(data)
+            if len(data) > CACHED_BYTES:
+                return got
+        if len(self.known) >= CACHED:
+            self.older, self.known = self.known, {}
+        self.known[piece] = got
+        return got
+
     def encode(self, text: str) -> list[int]:
-        known, ids = self.known, []
+        ids = []
         for piece in self.split.findall(text):
-            got = known.get(piece)
-            if got is None:
-                data = piece.encode()
-                got = self.merged(data)
-                if len(data) <= CACHED_BYTES:
-                    if len(known) >= CACHED:
-                        known.clear()
-                    known[piece] = got
-            ids += got
+            ids += self.known.get(piece) or self.remembered(piece)
         return ids
 
     def decode(self, ids: list[int]) -> bytes:
