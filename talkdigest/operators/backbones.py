@@ -36,6 +36,19 @@ class LeadBackbone(Backbone):
         return " ".join(view.texts[view.left:b + 1]), b
 
 
+class TextBoundary(Backbone):
+    """Another backbone whose boundary is given as the utterance's text, as a generator's output has it; the run locates it."""
+
+    name = "text"
+
+    def __init__(self, inner: Backbone):
+        self.inner = inner
+
+    def generate(self, view: View):
+        snippet, b = self.inner.generate(view)
+        return snippet, view.texts[b]
+
+
 class RandomBackbone(Backbone):
     """q utterances by a hash of their numbers, in order; a baseline. The whole window counts as used."""
 

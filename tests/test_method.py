@@ -2,19 +2,17 @@
 
 import itertools
 import random
-import sys
 from collections import Counter
 
 import numpy as np
 import pytest
-from pyspark import cloudpickle
 from pyspark.sql import functions as F
 
 from talkdigest import schema
 from talkdigest.functions import subword
 from talkdigest.functions import text as T
 from talkdigest.operators import analysis, baselines, boundary, convert, coref, experiments, measures, nn, ranking, relational, rouge, runs, split, train, windows
-from talkdigest.operators.backbones import CohesionBackbone, GoldBackbone, IndicatorBackbone, LeadBackbone, LearnedBackbone, PolicyBackbone, RandomBackbone, StrideBackbone
+from talkdigest.operators.backbones import CohesionBackbone, GoldBackbone, IndicatorBackbone, LeadBackbone, LearnedBackbone, PolicyBackbone, RandomBackbone, StrideBackbone, TextBoundary
 from talkdigest.operators.positions import attach
 from talkdigest.sources import gold as planted
 from talkdigest.sources import io, layout, meetings
@@ -185,18 +183,9 @@ def test_boundary_text_is_located():
     assert boundary.locate(texts, "nothing alike") is None
 
 
-class TextBackbone(LeadBackbone):
-    """Names the boundary by its text."""
-
-    def generate(self, view):
-        snippet, b = super().generate(view)
-        return snippet, view.texts[b]
-
-
 def test_text_boundaries_move_like_numbers(spark):
     u = toy(spark)
-    cloudpickle.register_pickle_by_value(sys.modules[__name__])  # workers cannot import tests
-    assert [r.boundary_utt for r in runs.dynamic(u, TextBackbone(2), 8).orderBy("step").collect()] == [1, 3, 4]
+    assert [r.boundary_utt for r in runs.dynamic(u, TextBoundary(LeadBackbone(2)), 8).orderBy("step").collect()] == [1, 3, 4]
 
 
 def test_edges_of_windows(spark):
