@@ -4,7 +4,7 @@ Each set of shingles has one signature of TREES * DEPTH minima. Tree t orders al
 place DEPTH * t on, so sets that are alike stand next to each other in some orders, with a long common prefix. A region
 is a run of equal prefixes of DEPTH minima. In a region of up to NEAR sets all are candidates of each other; in a
 larger one the depth adapts: a set meets the NEXT sets before it in the order, those of the longest common prefix,
-and the heads of its sub-regions at each greater depth, through which a dense region is linked together.
+and the heads of the region and of its sub-regions at greater depth, through which a dense region is linked together.
 
 Equal sets are one class first. Candidates are confirmed by the exact Jaccard of their whole sets (64-bit hashes of
 shingles): first one star edge a set, then the candidates whose ends are not yet in one component. Components come from
@@ -31,7 +31,8 @@ from pyspark.sql import functions as F
 from .common import small_or_plain, written
 
 TREES, DEPTH, DEEPER = 24, 4, 8
-NEAR, NEXT = 48, 2
+NEAR, NEXT = 48, 1
+HEADS = (0, 4)  # minima beyond the region at which a large region has heads
 HEAVY = 50_000  # rows of a region from which on it is dealt out by greater depth
 BLOCK = 2048
 MULTIPLIERS = np.array([xxhash.xxh3_64_intdigest(b"minimum %d" % i) | 1 for i in range(TREES * DEPTH)], np.uint64)
@@ -112,7 +113,7 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for x in near:
                 a.append(x)
                 b.append(id_)
-            for depth in (0, 2, 4, DEEPER):
+            for depth in HEADS:
                 head = heads.setdefault(path[:depth], id_)
                 if count > NEAR and head != id_ and head not in near:
                     a.append(head)
