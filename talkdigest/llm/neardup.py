@@ -2,16 +2,18 @@
 
 Each set of shingles has one signature of TREES * DEPTH minima. Tree t orders all signatures by their minima from
 place DEPTH * t on, so sets that are alike stand next to each other in some orders, with a long common prefix. A region
-is a run of equal prefixes of DEPTH minima. In a region of up to NEAR sets all are candidates of each other; in a
-larger one the depth adapts: a set meets the NEXT sets before it in the order, those of the longest common prefix,
-and the heads of the region and of its sub-regions at greater depth, through which a dense region is linked together.
+is a run of equal prefixes of DEPTH minima; inside it, the order of the deeper minima puts the longest common prefixes
+side by side, so that the depth adapts to how dense a region is.
 
-Equal sets are one class first. Candidates are confirmed by the exact Jaccard of their whole sets (64-bit hashes of
-shingles): first one star edge a set, then the candidates whose ends are not yet in one component. Components come from
-alternating large-star and small-star steps over written tables.
+Equal sets are one class first. Candidates come in two passes over the forest, so that a dense region costs no squares:
+first each set meets the one before it in the order and the region's head; once those are confirmed and joined, each set
+meets the NEAR sets before it that are in another component still. Candidates are confirmed by the exact Jaccard of their
+whole sets (64-bit hashes of shingles). Components come from alternating large-star and small-star steps over written
+tables.
 
-A pair of similarity 0.8 in regions of up to NEAR sets is missed with probability (1 - 0.8^4)^TREES, 3e-6; more
-alike pairs far more rarely.
+A link between components that no other link joins is missed with probability (1 - 0.8^4)^TREES, 3e-6, at similarity
+0.8, if its regions hold up to NEAR sets; more alike pairs far more rarely. In a larger region a set is compared with its
+nearest NEAR ones in each order.
 
 Defined results: null, empty or word-less text: no shingles, a class of its own, kept; texts with fewer words than a
 shingle: the whole sequence as one; equal sets are linked; repeated rows with one doc_id share class and decision; a
@@ -20,19 +22,19 @@ null doc_id takes no part in links, has no component and is kept; empty table: n
 
 from __future__ import annotations
 
+from collections import Counter, deque
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import small_or_plain, written
 
 TREES, DEPTH, DEEPER = 24, 4, 8
-NEAR, NEXT = 48, 1
-HEADS = (0, 4)  # minima beyond the region at which a large region has heads
+NEAR = 64
 HEAVY = 50_000  # rows of a region from which on it is dealt out by greater depth
 BLOCK = 2048
 MULTIPLIERS = np.array([xxhash.xxh3_64_intdigest(b"minimum %d" % i) | 1 for i in range(TREES * DEPTH)], np.uint64)
@@ -92,57 +94,79 @@ def _branches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(region.view(np.int64)), pa.array([x.tobytes() for x in deeper], pa.binary())], names=["id", "region", "deeper"])
 
 
-def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows come sorted by region, deeper minima, id; memory is bounded by NEAR rows and the heads."""
-    last, recent, heads, count, a, b = None, [], {}, 0, [], []
+def _shared(regions: np.ndarray) -> np.ndarray:
+    """Places of rows in a region with another row of the batch, or perhaps with one of the batches beside it."""
+    same = np.zeros(len(regions), bool)
+    same[1:] = regions[1:] == regions[:-1]
+    same[:-1] |= same[1:]
+    same[0] = same[-1] = True
+    return np.flatnonzero(same)
+
+
+def _pairs(a: list[int], b: list[int]) -> pa.RecordBatch:
+    x, y = np.array(a, np.int64), np.array(b, np.int64)
+    pairs = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], 1), axis=0)
+    pairs = pairs[pairs[:, 0] < pairs[:, 1]]
+    return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+
+
+def _chained(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows come sorted by region, deeper minima, id: each with the row before and with the region's head."""
+    last = head = before = None
+    for batch in batches:
+        regions, ids, a, b = batch.column(0).to_numpy(), batch.column(1).to_numpy(), [], []
+        for i in _shared(regions) if len(regions) else ():
+            id_ = int(ids[i])
+            if regions[i] != last:
+                last, head = regions[i], id_
+            else:
+                a += (head, before)
+                b += (id_, id_)
+            before = id_
+        if a:
+            yield _pairs(a, b)
+
+
+def _crossing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The same rows with their components: each with those of the NEAR rows before it that are in another one."""
+    last, recent, held = None, deque(), Counter()
     for batch in batches:
-        regions, deeper, ids = batch.column(0).to_numpy(), batch.column(1), batch.column(2).to_numpy()
-        n = len(regions)
-        if not n:
-            continue
-        same = np.zeros(n, bool)  # in a region with another row of this batch, or perhaps with one of the batches beside
-        same[1:] = regions[1:] == regions[:-1]
-        same[:-1] |= same[1:]
-        same[0] = same[-1] = True
-        for i in np.flatnonzero(same):
-            region, id_ = regions[i], int(ids[i])
-            if region != last:
-                last, recent, heads, count = region, [], {}, 0
-            path = deeper[int(i)].as_py()
-            near = recent if count <= NEAR else recent[-NEXT:]
-            for x in near:
-                a.append(x)
-                b.append(id_)
-            for depth in HEADS:
-                head = heads.setdefault(path[:depth], id_)
-                if count > NEAR and head != id_ and head not in near:
-                    a.append(head)
-                    b.append(id_)
-            for old in [k for k in heads if path[:len(k)] != k]:
-                del heads[old]
-            recent.append(id_)
-            count += 1
+        regions, ids, joined, a, b = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy(), [], []
+        for i in _shared(regions) if len(regions) else ():
+            id_, component = int(ids[i]), int(joined[i])
+            if regions[i] != last:
+                last, recent, held = regions[i], deque(), Counter()
+            if held[component] < len(recent):
+                for x, c in recent:
+                    if c != component:
+                        a.append(x)
+                        b.append(id_)
+            recent.append((id_, component))
+            held[component] += 1
             if len(recent) > NEAR:
-                del recent[0]
+                held[recent.popleft()[1]] -= 1
         if a:
-            x, y = np.array(a, np.int64), np.array(b, np.int64)
-            pairs = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], 1), axis=0)
-            pairs = pairs[pairs[:, 0] < pairs[:, 1]]
-            a, b = [], []
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+            yield _pairs(a, b)
 
 
-def candidates(signed: DataFrame) -> DataFrame:
-    """Distinct (a, b), a < b, of (id, signature), one row a set."""
+def forest(signed: DataFrame) -> DataFrame:
+    """(region, deeper, id, deal) of (id, signature), TREES rows a set; `deal` spreads heavy regions by greater depth."""
     rows = written(signed.select("id", "signature").mapInArrow(_branches, "id long, region long, deeper binary"), "forest")
-    heavy = rows.groupBy("region").count().where(F.col("count") > HEAVY).select("region", F.lit(True).alias("heavy"))
-    heavy = written(heavy, "heavy")
+    heavy = written(rows.groupBy("region").count().where(F.col("count") > HEAVY).select("region", F.lit(True).alias("heavy")), "heavy", True)
     if heavy.limit(1).count():
-        rows = rows.join(heavy, "region", "left").withColumn("deal", F.when(F.col("heavy"), F.xxhash64("region", F.substring("deeper", 1, 4))).otherwise(F.col("region")))
-    else:
-        rows = rows.withColumn("deal", F.col("region"))
-    rows = rows.repartition("deal").sortWithinPartitions("region", "deeper", "id").select("region", "deeper", "id")
-    return rows.mapInArrow(_neighbours, "a long, b long").distinct()
+        rows = rows.join(heavy, "region", "left")
+        return rows.withColumn("deal", F.when(F.col("heavy"), F.xxhash64("region", F.substring("deeper", 1, 4))).otherwise(F.col("region"))).drop("heavy")
+    return rows.withColumn("deal", F.col("region"))
+
+
+def candidates(rows: DataFrame, joined: DataFrame | None = None) -> DataFrame:
+    """Distinct (a, b), a < b, of forest rows: chains and heads, or with joined (id, component) those that cross components."""
+    if joined is not None:
+        rows = rows.join(joined, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    dealt = rows.repartition("deal").sortWithinPartitions("region", "deeper", "id")
+    if joined is None:
+        return dealt.select("region", "id").mapInArrow(_chained, "a long, b long").distinct()
+    return dealt.select("region", "id", "component").mapInArrow(_crossing, "a long, b long").distinct()
 
 
 def _sets(words: int):
@@ -179,9 +203,15 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return rows.select("a", "b", "x", "y").mapInArrow(_alike(percent), "a long, b long")
 
 
+def between(pairs: DataFrame, joined: DataFrame) -> DataFrame:
+    """The pairs whose ends are in different components; joined: (id, component), others are alone."""
+    rows = pairs.join(joined.select(F.col("id").alias("a"), F.col("component").alias("ca")), "a", "left").join(joined.select(F.col("id").alias("b"), F.col("component").alias("cb")), "b", "left")
+    return rows.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(id, component): the least id reachable over edges (a, b), for the ids that have an edge."""
-    edges = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct(), "edges")
+    edges = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct(), "edges", True)
     mark = None
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -189,7 +219,7 @@ def components(edges: DataFrame) -> DataFrame:
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.*").where("u > v").distinct()
-        edges = written(small, "edges")
+        edges = written(small, "edges", True)
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
         if now == mark:
             break
@@ -203,20 +233,21 @@ def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFr
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     signed = written(texts.mapInArrow(_signer(words), "doc_id long, n_shingles long, set_key binary, signature binary"), "signed")
     usable = signed.where("set_key is not null and doc_id is not null")
-    classes = written(usable.groupBy("set_key").agg(F.min("doc_id").alias("id")), "classes")
+    classes = written(usable.groupBy("set_key").agg(F.min("doc_id").alias("id")), "classes", True)
     sets = usable.join(classes.select(F.col("id").alias("doc_id"), F.col("set_key").alias("class_key")), "doc_id").where("set_key = class_key").dropDuplicates(["doc_id", "set_key"]).select(F.col("doc_id").alias("id"), "set_key", "signature")
     # a doc_id that stands for two different sets (repeated ids) gets both signatures: its links join
-    pairs = written(candidates(sets), "candidates")
-    ends = written(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct(), "ends")
+    rows = forest(sets)
+    pairs = written(candidates(rows), "candidates")
+    ends = written(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct(), "ends", True)
     items = written(texts.join(small_or_plain(ends, 1_000_000), "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary"), "sets")
-    star = written(pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "star")
-    first = written(confirmed(star, items, percent).distinct(), "confirmed")
-    joined = written(components(first), "joined")
-    rest = pairs.join(star, ["a", "b"], "left_anti")
-    rest = rest.join(joined.select(F.col("id").alias("a"), F.col("component").alias("ca")), "a", "left").join(joined.select(F.col("id").alias("b"), F.col("component").alias("cb")), "b", "left")
-    rest = rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
-    links = first.unionByName(confirmed(rest, items, percent).distinct())
-    found = components(links)
+    star = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+    links = written(confirmed(star, items, percent).distinct(), "confirmed")
+    joined = components(links)
+    links = written(links.unionByName(confirmed(between(pairs, joined), items, percent).distinct()), "confirmed")
+    joined = components(links)
+    # a region of two sets or more gave each of its sets a pair, so `items` holds all that can cross
+    crossing = written(candidates(rows.join(small_or_plain(ends.select(F.col("doc_id").alias("id")), 1_000_000), "id", "left_semi"), joined), "crossing")
+    found = components(links.unionByName(confirmed(crossing, items, percent).distinct()))
     known = classes.join(found, "id", "left").select("set_key", F.coalesce("component", "id").alias("class_component"))
     out = signed.join(known, "set_key", "left").select("doc_id", "n_shingles", F.coalesce("class_component", "doc_id").alias("component_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))

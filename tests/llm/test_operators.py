@@ -61,6 +61,7 @@ def test_kernel_weights_fold_exactly():
     rows = [("the cat and the dog", "en"), ("der hund und die katze", "de"), ("the house of the man", "en"), ("das haus und der mann", "de")] * 3
     model = langid.fit(rows, landmarks=4)
     assert langid.predict(["the man and the cat", "der mann und das haus", None, "123", "", "###"], model)[0][:4] == ["en", "de", "und", "und"]
+    assert langid.predict(["\u4e2d\u6587"], model) == (["de"], [0.0])
     x = langid.presence(["the cat"], model)[0]
     own = {"the cat"[i:i + n] for n in (1, 2, 3) for i in range(8 - n)}
     assert x.sum() == len(own)
@@ -182,6 +183,14 @@ def test_large_group_of_near_copies(spark):
     assert got == brute_components(rows)
 
 
+def test_heavy_regions_are_dealt_out_by_depth(spark, documents, monkeypatch):
+    monkeypatch.setattr(neardup, "HEAVY", 1)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.clustered(documents).collect()}
+    want = brute_components([(r.doc_id, r.text) for r in documents.collect()])
+    assert {i: n for i, (n, _) in got.items()} == {i: n for i, (n, _) in want.items()}
+    assert sum(got[i] == want[i] for i in want) >= 0.95 * len(want)  # regions of two are cut here, which HEAVY forbids
+
+
 def test_near_dedup_edges(spark, edges, empty):
     rows = neardup.clustered(edges).collect()
     assert len(rows) == edges.count()
