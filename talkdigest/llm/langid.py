@@ -11,8 +11,8 @@ The space of n-grams is that of the landmarks, over their ALPHABET most frequent
 Fit bounds (parameters): per_lang rows a language, landmarks in all, both drawn by the least hashes of texts of at
 most fit_chars code points. Prediction has no bound.
 
-Defined results: null text or one without a letter is `und` with score 0; ties go to the language that sorts first;
-a text that shares no n-gram with the landmarks is `und` too; no usable training row: everything is `und`;
+Defined results: null text or one without a letter is `und` with score 0; ties go to the language that sorts first, so
+does, with score 0, a text that shares no n-gram with the landmarks; no usable training row: everything is `und`;
 repeated rows are predicted alike; an empty table gives no rows.
 """
 
@@ -27,9 +27,12 @@ import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import small_or_plain
+
 ORDER = 3
 ALPHABET = 127
 BATCH = 64
+SPARE = 8
 LETTER = regex.compile(r"\p{L}")
 
 
@@ -110,20 +113,24 @@ def predict(texts: list[str | None], model: Model | None) -> tuple[list[str], li
     usable = [i for i, t in enumerate(texts) if model and t and LETTER.search(t)]
     if usable:
         rows = presence([texts[i] for i in usable], model)
-        found = rows.sum(1) > 0
-        out = _unit(rows) @ model.weights
-        for i, ok, row in zip(usable, found, out):
-            if ok:
-                k = int(row.argmax())
-                langs[i], scores[i] = model.langs[k], float(min(1.0, max(0.0, row[k])))
+        for i, row in zip(usable, _unit(rows) @ model.weights):
+            k = int(row.argmax())
+            langs[i], scores[i] = model.langs[k], float(min(1.0, max(0.0, row[k])))
     return langs, scores
 
 
 def sample(labelled: DataFrame, per_lang: int = 400, fit_chars: int = 20_000) -> list[tuple[str, str]]:
-    """At most per_lang (text, lang) of each language: those with the least hashes of text."""
-    least = Window.partitionBy("lang").orderBy("drawn", "text")
-    rows = labelled.where("lang is not null and text is not null").where(F.length("text") <= fit_chars).select("text", "lang", F.xxhash64("text").alias("drawn"))
-    rows = rows.withColumn("nth", F.row_number().over(least)).where(F.col("nth") <= per_lang)
+    """At most per_lang (text, lang) of each language: those with the least hashes of row and text.
+
+    Rows are first thinned to about SPARE * per_lang a language by the hash, at rates from the languages' counts, so what is
+    ranked does not grow with the input. Languages are few (a broadcast is checked); with all, fewer than per_lang are left
+    only where a language has fewer."""
+    rows = labelled.where("lang is not null and text is not null").where(F.length("text") <= fit_chars).select("text", "lang", F.xxhash64("text", "doc_id").alias("drawn"))
+    counts = labelled.where("lang is not null and text is not null").groupBy(F.col("lang").alias("of_lang")).agg(F.count("*").alias("lang_rows"))
+    rows = rows.join(small_or_plain(counts, 100_000), F.col("lang") == F.col("of_lang"))
+    rows = rows.where(F.pmod("drawn", F.lit(1 << 30)) <= F.least(F.lit(1.0), F.lit(float(SPARE * per_lang)) / F.col("lang_rows")) * float(1 << 30))
+    least = Window.partitionBy("lang").orderBy(F.pmod("drawn", F.lit(1 << 30)), "drawn", "text")
+    rows = rows.withColumn("nth", F.row_number().over(least)).where(F.col("nth") <= per_lang).select("text", "lang", "nth")
     return [(r.text, r.lang) for r in sorted(rows.collect(), key=lambda r: (r.lang, r.nth))]
 
 
