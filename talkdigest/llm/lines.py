@@ -30,14 +30,23 @@ def _lines(text):
     return F.split(text, "\n", -1)
 
 
-def parsed(documents: DataFrame, min_tokens: int = 3, depth: int = DEPTH) -> DataFrame:
-    """(doc_id, line_no, tokens, leaf, line_key) of the lines that can be dropped."""
+def _masked(tokens):
+    return F.transform(tokens, lambda t: F.when(t.rlike("[0-9]"), FIELD).otherwise(t))
+
+
+def placed_in_leaves(documents: DataFrame, min_tokens: int = 3, depth: int = DEPTH) -> DataFrame:
+    """(doc_id, line_no, line, leaf) of the lines that can be dropped. Only the leading tokens are cut out here."""
     rows = documents.where("doc_id is not null and text is not null").select("doc_id", F.posexplode(_lines(F.col("text"))).alias("line_no", "line"))
+    rows = rows.withColumn("n_tokens", F.regexp_count("line", F.lit(WORD))).where(F.col("n_tokens") >= min_tokens)
+    leading = F.slice(F.split(F.ltrim("line", F.lit(" \t\n\x0b\x0c\r")), r"[\x20\x09-\x0D]+", depth + 1), 1, depth)
+    return rows.select("doc_id", "line_no", "line", F.xxhash64("n_tokens", _masked(leading)).alias("leaf"))
+
+
+def parsed(rows: DataFrame) -> DataFrame:
+    """(doc_id, line_no, tokens, leaf, line_key) of rows of placed_in_leaves()."""
     tokens = F.regexp_extract_all("line", F.lit(WORD), F.lit(0))
-    rows = rows.withColumn("tokens", tokens).where(F.size("tokens") >= min_tokens)
-    masked = F.transform("tokens", lambda t: F.when(t.rlike("[0-9]"), FIELD).otherwise(t))
-    rows = rows.withColumn("tokens", F.when(F.col("line").rlike("[0-9]"), masked).otherwise(F.col("tokens")))
-    return rows.select("doc_id", "line_no", "tokens", F.xxhash64(F.size("tokens"), F.slice("tokens", 1, depth)).alias("leaf"), F.xxhash64("tokens").alias("line_key"))
+    rows = rows.select("doc_id", "line_no", "leaf", F.when(F.col("line").rlike("[0-9]"), _masked(tokens)).otherwise(tokens).alias("tokens"))
+    return rows.withColumn("line_key", F.xxhash64("tokens"))
 
 
 def generalised(distinct: DataFrame, depth: int = DEPTH, similar: float = SIMILAR) -> DataFrame:
@@ -55,11 +64,11 @@ def generalised(distinct: DataFrame, depth: int = DEPTH, similar: float = SIMILA
 
 def recurring(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3) -> DataFrame:
     """(doc_id, drops array<int>): the line numbers that a document loses."""
-    lines = parsed(documents, min_tokens)
+    lines = placed_in_leaves(documents, min_tokens)
     # a leaf of fewer rows than min_docs, or of one document, holds no recurring template
     leaves = lines.groupBy("leaf").agg(F.count("*").alias("n"), F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where((F.col("n") >= min_docs) & (F.col("a") < F.col("b"))).select("leaf")
     leaves = written(leaves, "leaves")
-    held = written(lines.join(small_or_plain(leaves, 2_000_000), "leaf", "left_semi"), "lines")
+    held = written(parsed(lines.join(small_or_plain(leaves, 2_000_000), "leaf", "left_semi")), "lines")
     distinct = held.groupBy("leaf", "line_key").agg(F.first("tokens").alias("tokens"))
     placed = held.select("doc_id", "line_no", "line_key").join(generalised(distinct), "line_key").select("doc_id", "line_no", "template")
     first = placed.groupBy("template", "doc_id").agg(F.min("line_no").alias("line_no")).groupBy("template").agg(F.count("*").alias("docs"), F.min(F.struct("doc_id", "line_no")).alias("first")).where(F.col("docs") >= min_docs)
