@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -28,15 +29,20 @@ def shared_dir(spark: SparkSession) -> str:
 def written(df: DataFrame, name: str, light: bool = False) -> DataFrame:
     """Write df as Parquet into the shared folder and read it again: cuts lineage, survives lost executors.
 
-    light: rows of a few numbers, far smaller than texts; they are put into an eighth as many files as a shuffle has partitions."""
+    light: rows of a few numbers, far smaller than texts; they are put into a sixteenth as many files as a shuffle has partitions."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     if light:
-        df = df.coalesce(max(8, int(spark.conf.get("spark.sql.shuffle.partitions")) // 8))
+        df = df.coalesce(max(4, int(spark.conf.get("spark.sql.shuffle.partitions")) // 16))
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def kept(df: DataFrame) -> DataFrame:
+    """df, kept on the executors' disks once it has been computed, for use by several jobs; what is lost with an executor is computed again."""
+    return df.persist(StorageLevel.DISK_ONLY)
+
+
 def word_count(text):
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 

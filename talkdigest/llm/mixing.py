@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import small_or_plain, word_count, written
+from .common import kept, small_or_plain, word_count
 
 MOST = 3
 LEVELS = (4096, 64, 1)  # buckets of a source at each level of the tree
@@ -98,7 +98,7 @@ def rounded(rows: DataFrame) -> DataFrame:
     for buckets in LEVELS:
         key = F.xxhash64("pivot_source", F.pmod(F.xxhash64(F.lit("level"), "row_key"), F.lit(LEVELS[0])) % buckets)
         out = rows.withColumn("bucket_key", key).repartition("bucket_key").sortWithinPartitions("bucket_key", "row_key").mapInPandas(_level, ROW)
-        out = written(out, "pivotal", True)
+        out = kept(out)
         whole = out.where("fraction <= 0 or fraction >= 1").select("row_key", F.col("fraction").cast("int").alias("up"))
         done = whole if done is None else done.unionByName(whole)
         rows = out.where("fraction > 0 and fraction < 1")
@@ -114,8 +114,8 @@ def mixed(documents: DataFrame, weights=(1, 2, 3), most: int = MOST, seed: int =
     """(doc_id, source, size, source_size, target, copies, taken, content_key, repeat), one row a document."""
     docs = documents.select("doc_id", "source", word_count(F.col("text")).alias("size"), _content_key(seed).alias("content_key"))
     docs = docs.withColumn("repeat", F.row_number().over(Window.partitionBy("content_key").orderBy("doc_id")))
-    docs = written(docs.withColumn("row_key", F.xxhash64("content_key", "repeat")), "mixing")
-    goal = written(targets(docs.groupBy("source").agg(F.sum("size").alias("source_size")), weights, most).withColumnRenamed("source", "goal_source"), "targets", True)
+    docs = kept(docs.withColumn("row_key", F.xxhash64("content_key", "repeat")))
+    goal = kept(targets(docs.groupBy("source").agg(F.sum("size").alias("source_size")), weights, most).withColumnRenamed("source", "goal_source"))
     docs = docs.join(small_or_plain(goal, 100_000), F.col("source").eqNullSafe(F.col("goal_source"))).drop("goal_source")
     copies = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     docs = docs.withColumn("whole", F.floor(copies)).withColumn("fraction", copies - F.floor(copies))
