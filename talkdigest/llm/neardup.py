@@ -6,10 +6,10 @@ is a run of equal prefixes of DEPTH minima; inside it, the order of the deeper m
 side by side, so that the depth adapts to how dense a region is.
 
 Equal sets are one class first. Candidates come in two passes over the forest, so that a dense region costs no squares:
-first each set meets the one before it in the order and the region's head; once those are confirmed and joined, each set
-meets the NEAR sets before it that are in another component still. Candidates are confirmed by the exact Jaccard of their
-whole sets (64-bit hashes of shingles). Components come from alternating large-star and small-star steps over written
-tables.
+first each set meets the one before it in the order and the region's head; once those are confirmed and joined, regions
+that still hold several components are cut into blocks, in which each set meets the NEAR sets on either side. Candidates
+are confirmed by the exact Jaccard of their whole sets (64-bit hashes of shingles). Components come from alternating
+large-star and small-star steps over written tables.
 
 A link between components that no other link joins is missed with probability (1 - 0.8^4)^TREES, 3e-6, at similarity
 0.8, if its regions hold up to NEAR sets; more alike pairs far more rarely. In a larger region a set is compared with its
@@ -22,7 +22,6 @@ null doc_id takes no part in links, has no component and is kept; empty table: n
 
 from __future__ import annotations
 
-from collections import Counter, deque
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_or_plain, written
+from .common import kept, small_or_plain, written
 
 TREES, DEPTH, DEEPER = 24, 4, 8
 NEAR = 64
@@ -127,46 +126,128 @@ def _chained(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield _pairs(a, b)
 
 
-def _crossing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The same rows with their components: each with those of the NEAR rows before it that are in another one."""
-    last, recent, held = None, deque(), Counter()
+def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The same rows with their components, cut into blocks of 2 * NEAR rows of a region, each half shared with the next
+    one. Blocks of one component are left out: they have nothing to join."""
+    last, held, fresh, number = None, [], 0, 0
+    names, keys, components_ = [], [], []
+
+    def close():
+        nonlocal held, fresh, number
+        if fresh and len({c for _, c in held}) > 1:
+            key = xxhash.xxh3_64_intdigest(b"%d:%d" % (last, number)) - (1 << 63)
+            for x, c in held:
+                keys.append(key)
+                names.append(x)
+                components_.append(c)
+        held, fresh, number = held[-NEAR:], 0, number + 1
+
+    def out():
+        batch = pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(names, pa.int64()), pa.array(components_, pa.int64())], names=["block", "id", "component"])
+        for x in (names, keys, components_):
+            x.clear()
+        return batch
+
     for batch in batches:
-        regions, ids, joined, a, b = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy(), [], []
+        regions, ids, joined = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy()
         for i in _shared(regions) if len(regions) else ():
-            id_, component = int(ids[i]), int(joined[i])
             if regions[i] != last:
-                last, recent, held = regions[i], deque(), Counter()
-            if held[component] < len(recent):
-                for x, c in recent:
-                    if c != component:
-                        a.append(x)
-                        b.append(id_)
-            recent.append((id_, component))
-            held[component] += 1
-            if len(recent) > NEAR:
-                held[recent.popleft()[1]] -= 1
-        if a:
-            yield _pairs(a, b)
+                if last is not None:
+                    close()
+                last, held, fresh, number = int(regions[i]), [], 0, 0
+            held.append((int(ids[i]), int(joined[i])))
+            fresh += 1
+            if len(held) >= 2 * NEAR:
+                close()
+        if keys:
+            yield out()
+    if last is not None:
+        close()
+    if keys:
+        yield out()
+
+
+def shared_items(sets: list[np.ndarray], columns: int = 1 << 16) -> np.ndarray:
+    """Sizes of all pairwise intersections, by matrix products over the items that two sets or more hold."""
+    n, rows = len(sets), np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    _, place, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    number = np.cumsum(counts > 1) - 1
+    some = counts[place] > 1
+    rows, place = rows[some], number[place[some]]
+    out = np.zeros((n, n), np.float32)
+    for at in range(0, int(number[-1]) + 1, columns):
+        inside = (place >= at) & (place < at + columns)
+        grid = np.zeros((n, min(columns, int(number[-1]) + 1 - at)), np.float32)
+        grid[rows[inside], place[inside] - at] = 1
+        out += grid @ grid.T
+    return out.astype(np.int64)
+
+
+def _joining(percent: int):
+    def links(ids: list[int], owners: list[int], sets: list[np.ndarray]) -> Iterator[tuple[int, int]]:
+        """Confirmed pairs that join components of a block, each once."""
+        sizes = np.array([len(x) for x in sets])
+        shared = shared_items(sets)
+        alike = np.triu(100 * shared >= percent * (sizes[:, None] + sizes[None, :] - shared), 1)
+        parent = {c: c for c in owners}
+
+        def find(c):
+            while parent[c] != c:
+                parent[c] = c = parent[parent[c]]
+            return c
+
+        for i, j in zip(*np.nonzero(alike)):
+            x, y = find(owners[i]), find(owners[j])
+            if x != y:
+                parent[x] = y
+                yield min(ids[i], ids[j]), max(ids[i], ids[j])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by block; a block has 2 * NEAR rows at most (more only where an id has several sets)."""
+        last, ids, owners, sets = None, [], [], []
+        for batch in batches:
+            found = []
+            for block, id_, owner, items in zip(*(batch.column(c) for c in range(4))):
+                block = block.as_py()
+                if block != last:
+                    if len(sets) > 1:
+                        found += links(ids, owners, sets)
+                    last, ids, owners, sets = block, [], [], []
+                ids.append(id_.as_py())
+                owners.append(owner.as_py())
+                sets.append(np.frombuffer(items.as_py(), np.uint64))
+            if found:
+                yield _pairs(*map(list, zip(*found)))
+        if len(sets) > 1 and (found := list(links(ids, owners, sets))):
+            yield _pairs(*map(list, zip(*found)))
+
+    return run
 
 
 def forest(signed: DataFrame) -> DataFrame:
     """(region, deeper, id, deal) of (id, signature), TREES rows a set; `deal` spreads heavy regions by greater depth."""
-    rows = written(signed.select("id", "signature").mapInArrow(_branches, "id long, region long, deeper binary"), "forest")
-    heavy = written(rows.groupBy("region").count().where(F.col("count") > HEAVY).select("region", F.lit(True).alias("heavy")), "heavy", True)
+    rows = kept(signed.select("id", "signature").mapInArrow(_branches, "id long, region long, deeper binary"))
+    heavy = kept(rows.groupBy("region").count().where(F.col("count") > HEAVY).select("region", F.lit(True).alias("heavy")))
     if heavy.limit(1).count():
         rows = rows.join(heavy, "region", "left")
         return rows.withColumn("deal", F.when(F.col("heavy"), F.xxhash64("region", F.substring("deeper", 1, 4))).otherwise(F.col("region"))).drop("heavy")
     return rows.withColumn("deal", F.col("region"))
 
 
-def candidates(rows: DataFrame, joined: DataFrame | None = None) -> DataFrame:
-    """Distinct (a, b), a < b, of forest rows: chains and heads, or with joined (id, component) those that cross components."""
-    if joined is not None:
-        rows = rows.join(joined, "id", "left").withColumn("component", F.coalesce("component", "id"))
+def candidates(rows: DataFrame) -> DataFrame:
+    """Distinct (a, b), a < b, of forest rows: chains and heads of regions."""
     dealt = rows.repartition("deal").sortWithinPartitions("region", "deeper", "id")
-    if joined is None:
-        return dealt.select("region", "id").mapInArrow(_chained, "a long, b long").distinct()
-    return dealt.select("region", "id", "component").mapInArrow(_crossing, "a long, b long").distinct()
+    return dealt.select("region", "id").mapInArrow(_chained, "a long, b long").distinct()
+
+
+def crossing(rows: DataFrame, joined: DataFrame, items: DataFrame, percent: int) -> DataFrame:
+    """(a, b): confirmed links between components (id, component), from blocks of neighbours in forest rows; items: (id, items).
+
+    A set goes to each of its blocks once, and pairs are formed inside a block only."""
+    rows = rows.join(joined, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    dealt = rows.repartition("deal").sortWithinPartitions("region", "deeper", "id").select("region", "id", "component")
+    blocks = dealt.mapInArrow(_blocks, "block long, id long, component long").join(items, "id")
+    return blocks.repartition("block").sortWithinPartitions("block", "id").select("block", "id", "component", "items").mapInArrow(_joining(percent), "a long, b long")
 
 
 def _sets(words: int):
@@ -231,23 +312,22 @@ def components(edges: DataFrame) -> DataFrame:
 def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), one row a document; doc_id is a whole number."""
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    signed = written(texts.mapInArrow(_signer(words), "doc_id long, n_shingles long, set_key binary, signature binary"), "signed")
+    signed = kept(texts.mapInArrow(_signer(words), "doc_id long, n_shingles long, set_key binary, signature binary"))
     usable = signed.where("set_key is not null and doc_id is not null")
-    classes = written(usable.groupBy("set_key").agg(F.min("doc_id").alias("id")), "classes", True)
+    classes = kept(usable.groupBy("set_key").agg(F.min("doc_id").alias("id")))
     sets = usable.join(classes.select(F.col("id").alias("doc_id"), F.col("set_key").alias("class_key")), "doc_id").where("set_key = class_key").dropDuplicates(["doc_id", "set_key"]).select(F.col("doc_id").alias("id"), "set_key", "signature")
     # a doc_id that stands for two different sets (repeated ids) gets both signatures: its links join
     rows = forest(sets)
-    pairs = written(candidates(rows), "candidates")
-    ends = written(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct(), "ends", True)
-    items = written(texts.join(small_or_plain(ends, 1_000_000), "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary"), "sets")
+    pairs = kept(candidates(rows))
+    ends = kept(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
+    few = small_or_plain(ends, 1_000_000)
+    items = kept(texts.join(few, "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary"))
     star = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    links = written(confirmed(star, items, percent).distinct(), "confirmed")
-    joined = components(links)
-    links = written(links.unionByName(confirmed(between(pairs, joined), items, percent).distinct()), "confirmed")
-    joined = components(links)
+    links = kept(confirmed(star, items, percent).distinct())
+    links = kept(links.unionByName(confirmed(between(pairs, components(links)), items, percent).distinct()))
     # a region of two sets or more gave each of its sets a pair, so `items` holds all that can cross
-    crossing = written(candidates(rows.join(small_or_plain(ends.select(F.col("doc_id").alias("id")), 1_000_000), "id", "left_semi"), joined), "crossing")
-    found = components(links.unionByName(confirmed(crossing, items, percent).distinct()))
+    mixed = rows.join(few.withColumnRenamed("doc_id", "id"), "id", "left_semi")
+    found = components(links.unionByName(crossing(mixed, components(links), items, percent)))
     known = classes.join(found, "id", "left").select("set_key", F.coalesce("component", "id").alias("class_component"))
     out = signed.join(known, "set_key", "left").select("doc_id", "n_shingles", F.coalesce("class_component", "doc_id").alias("component_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
