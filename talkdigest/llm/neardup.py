@@ -7,8 +7,8 @@ side by side, so that the depth adapts to how dense a region is.
 
 Equal sets are one class first. Candidates come in two passes over the forest, so that a dense region costs no squares:
 first each set meets the one before it in the order and the region's head; once those are confirmed and joined, regions
-that still hold several components are cut into blocks, in which each set meets the NEAR sets on either side. Candidates
-are confirmed by the exact Jaccard of their whole sets (64-bit hashes of shingles). Components come from alternating
+that still hold several components are cut into blocks, in which each set meets the NEAR sets on either side, if
+their sketches (a byte of each minimum) make 0.8 plausible. Candidates are confirmed by the exact Jaccard of their whole sets (64-bit hashes of shingles). Components come from alternating
 large-star and small-star steps over written tables.
 
 A link between components that no other link joins is missed with probability (1 - 0.8^4)^TREES, 3e-6, at similarity
@@ -34,6 +34,7 @@ from .common import kept, small_or_plain, written
 
 TREES, DEPTH, DEEPER = 24, 4, 8
 NEAR = 64
+LEAST = 59  # of TREES * DEPTH sketch places; at a similarity of 0.8 fewer agree once in 10^5
 HEAVY = 50_000  # rows of a region from which on it is dealt out by greater depth
 BLOCK = 2048
 MULTIPLIERS = np.array([xxhash.xxh3_64_intdigest(b"minimum %d" % i) | 1 for i in range(TREES * DEPTH)], np.uint64)
@@ -76,21 +77,26 @@ def _signer(words: int):
     return sign
 
 
-def _branches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """A row for each set and tree: region (hash of tree and first DEPTH minima) and the start of the minima after."""
-    for batch in batches:
-        for at in range(0, batch.num_rows, 1024):
-            part = batch.slice(at, 1024)
-            ids = part.column(0).to_numpy()
-            minima = np.frombuffer(b"".join(part.column(1).to_pylist()), ">u4").astype(np.uint64).reshape(len(ids), -1)
-            for tree in range(TREES):
-                order = np.roll(minima, -DEPTH * tree, axis=1)
-                region = np.full(len(ids), (tree + 1) * int(MIX[2]) % 2 ** 64, np.uint64)
-                for i in range(DEPTH):
-                    region = (region ^ order[:, i]) * MIX[0]
-                    region ^= region >> np.uint64(29)
-                deeper = ((order[:, DEPTH:DEPTH + DEEPER] * MIX[1]) >> np.uint64(56)).astype(np.uint8)
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(region.view(np.int64)), pa.array([x.tobytes() for x in deeper], pa.binary())], names=["id", "region", "deeper"])
+def _brancher(sketch: bool):
+    """A row for each set and tree: region (hash of tree and first DEPTH minima), the start of the minima after, and if asked
+    for a byte of each minimum."""
+    def branch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1024):
+                part = batch.slice(at, 1024)
+                ids = part.column(0).to_numpy()
+                minima = np.frombuffer(b"".join(part.column(1).to_pylist()), ">u4").astype(np.uint64).reshape(len(ids), -1)
+                low = [part.column(2), pa.array([x.tobytes() for x in minima.astype(np.uint8)], pa.binary())] if sketch else []
+                for tree in range(TREES):
+                    order = np.roll(minima, -DEPTH * tree, axis=1)
+                    region = np.full(len(ids), (tree + 1) * int(MIX[2]) % 2 ** 64, np.uint64)
+                    for i in range(DEPTH):
+                        region = (region ^ order[:, i]) * MIX[0]
+                        region ^= region >> np.uint64(29)
+                    deeper = ((order[:, DEPTH:DEPTH + DEEPER] * MIX[1]) >> np.uint64(56)).astype(np.uint8)
+                    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(region.view(np.int64)), pa.array([x.tobytes() for x in deeper], pa.binary()), *low], names=["id", "region", "deeper", *(["component", "sketch"] if sketch else [])])
+
+    return branch
 
 
 def _shared(regions: np.ndarray) -> np.ndarray:
@@ -126,36 +132,44 @@ def _chained(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield _pairs(a, b)
 
 
+def plausible(owners: np.ndarray, sketches: np.ndarray) -> np.ndarray:
+    """Which rows have one of another owner whose sketch agrees at LEAST places or more."""
+    agree = (sketches[:, None, :] == sketches[None, :, :]).sum(axis=2)
+    return ((agree >= LEAST) & (owners[:, None] != owners[None, :])).any(axis=1)
+
+
 def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The same rows with their components, cut into blocks of 2 * NEAR rows of a region, each half shared with the next
-    one. Blocks of one component are left out: they have nothing to join."""
+    """The same rows with components and sketches, cut into blocks of 2 * NEAR rows of a region, each half shared with the
+    next one. Rows without a plausible partner of another component in their block are left out."""
     last, held, fresh, number = None, [], 0, 0
-    names, keys, components_ = [], [], []
+    keys, names, components_ = [], [], []
 
     def close():
         nonlocal held, fresh, number
-        if fresh and len({c for _, c in held}) > 1:
+        owners = np.array([c for _, c, _ in held], np.int64)
+        if fresh and (owners != owners[0]).any():
+            keep = plausible(owners, np.frombuffer(b"".join(x for _, _, x in held), np.uint8).reshape(len(held), -1))
             key = xxhash.xxh3_64_intdigest(b"%d:%d" % (last, number)) - (1 << 63)
-            for x, c in held:
+            for i in np.flatnonzero(keep):
                 keys.append(key)
-                names.append(x)
-                components_.append(c)
+                names.append(held[i][0])
+                components_.append(held[i][1])
         held, fresh, number = held[-NEAR:], 0, number + 1
 
     def out():
         batch = pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(names, pa.int64()), pa.array(components_, pa.int64())], names=["block", "id", "component"])
-        for x in (names, keys, components_):
+        for x in (keys, names, components_):
             x.clear()
         return batch
 
     for batch in batches:
-        regions, ids, joined = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy()
+        regions, ids, joined, sketches = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy(), batch.column(3)
         for i in _shared(regions) if len(regions) else ():
             if regions[i] != last:
                 if last is not None:
                     close()
                 last, held, fresh, number = int(regions[i]), [], 0, 0
-            held.append((int(ids[i]), int(joined[i])))
+            held.append((int(ids[i]), int(joined[i]), sketches[int(i)].as_py()))
             fresh += 1
             if len(held) >= 2 * NEAR:
                 close()
@@ -224,29 +238,37 @@ def _joining(percent: int):
     return run
 
 
-def forest(signed: DataFrame) -> DataFrame:
-    """(region, deeper, id, deal) of (id, signature), TREES rows a set; `deal` spreads heavy regions by greater depth."""
-    rows = kept(signed.select("id", "signature").mapInArrow(_branches, "id long, region long, deeper binary"))
+def forest(sets: DataFrame, sketch: bool = False) -> DataFrame:
+    """(id, region, deeper) of (id, signature), TREES rows a set; with sketch also (component, sketch) of (id, signature, component)."""
+    more = ", component long, sketch binary" if sketch else ""
+    return sets.select("id", "signature", *["component"] * sketch).mapInArrow(_brancher(sketch), f"id long, region long, deeper binary{more}")
+
+
+def heavy_regions(rows: DataFrame) -> DataFrame | None:
+    """(region, heavy) of regions of more than HEAVY forest rows, None if there is none."""
     heavy = kept(rows.groupBy("region").count().where(F.col("count") > HEAVY).select("region", F.lit(True).alias("heavy")))
-    if heavy.limit(1).count():
-        rows = rows.join(heavy, "region", "left")
-        return rows.withColumn("deal", F.when(F.col("heavy"), F.xxhash64("region", F.substring("deeper", 1, 4))).otherwise(F.col("region"))).drop("heavy")
-    return rows.withColumn("deal", F.col("region"))
+    return heavy if heavy.limit(1).count() else None
+
+
+def dealt(rows: DataFrame, heavy: DataFrame | None) -> DataFrame:
+    """Forest rows sorted by region, deeper minima, id, each region in one task; heavy ones are dealt out by greater depth."""
+    deal = F.col("region")
+    if heavy is not None:
+        rows, deal = rows.join(heavy, "region", "left"), F.when(F.col("heavy"), F.xxhash64("region", F.substring("deeper", 1, 4))).otherwise(F.col("region"))
+    return rows.withColumn("deal", deal).repartition("deal").sortWithinPartitions("region", "deeper", "id")
 
 
-def candidates(rows: DataFrame) -> DataFrame:
-    """Distinct (a, b), a < b, of forest rows: chains and heads of regions."""
-    dealt = rows.repartition("deal").sortWithinPartitions("region", "deeper", "id")
-    return dealt.select("region", "id").mapInArrow(_chained, "a long, b long").distinct()
+def candidates(sets: DataFrame, heavy: DataFrame | None) -> DataFrame:
+    """Distinct (a, b), a < b, of (id, signature): chains and heads of regions."""
+    return dealt(forest(sets), heavy).select("region", "id").mapInArrow(_chained, "a long, b long").distinct()
 
 
-def crossing(rows: DataFrame, joined: DataFrame, items: DataFrame, percent: int) -> DataFrame:
-    """(a, b): confirmed links between components (id, component), from blocks of neighbours in forest rows; items: (id, items).
+def crossing(sets: DataFrame, heavy: DataFrame | None, joined: DataFrame, items: DataFrame, percent: int) -> DataFrame:
+    """(a, b): confirmed links between components (id, component), from blocks of neighbours; sets: (id, signature), items: (id, items).
 
-    A set goes to each of its blocks once, and pairs are formed inside a block only."""
-    rows = rows.join(joined, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    dealt = rows.repartition("deal").sortWithinPartitions("region", "deeper", "id").select("region", "id", "component")
-    blocks = dealt.mapInArrow(_blocks, "block long, id long, component long").join(items, "id")
+    A set's items go to each of its blocks once, and pairs are formed inside a block only."""
+    rows = forest(sets.join(joined, "id", "left").withColumn("component", F.coalesce("component", "id")), True)
+    blocks = dealt(rows, heavy).select("region", "id", "component", "sketch").mapInArrow(_blocks, "block long, id long, component long").join(items, "id")
     return blocks.repartition("block").sortWithinPartitions("block", "id").select("block", "id", "component", "items").mapInArrow(_joining(percent), "a long, b long")
 
 
@@ -314,11 +336,10 @@ def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFr
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     signed = kept(texts.mapInArrow(_signer(words), "doc_id long, n_shingles long, set_key binary, signature binary"))
     usable = signed.where("set_key is not null and doc_id is not null")
-    classes = kept(usable.groupBy("set_key").agg(F.min("doc_id").alias("id")))
-    sets = usable.join(classes.select(F.col("id").alias("doc_id"), F.col("set_key").alias("class_key")), "doc_id").where("set_key = class_key").dropDuplicates(["doc_id", "set_key"]).select(F.col("doc_id").alias("id"), "set_key", "signature")
-    # a doc_id that stands for two different sets (repeated ids) gets both signatures: its links join
-    rows = forest(sets)
-    pairs = kept(candidates(rows))
+    # equal sets have equal signatures; a doc_id that stands for two sets (repeated ids) gets both, and its links join
+    sets = kept(usable.groupBy("set_key").agg(F.min("doc_id").alias("id"), F.first("signature").alias("signature")))
+    heavy = heavy_regions(forest(sets))
+    pairs = kept(candidates(sets, heavy))
     ends = kept(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
     few = small_or_plain(ends, 1_000_000)
     items = kept(texts.join(few, "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary"))
@@ -326,9 +347,9 @@ def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFr
     links = kept(confirmed(star, items, percent).distinct())
     links = kept(links.unionByName(confirmed(between(pairs, components(links)), items, percent).distinct()))
     # a region of two sets or more gave each of its sets a pair, so `items` holds all that can cross
-    mixed = rows.join(few.withColumnRenamed("doc_id", "id"), "id", "left_semi")
-    found = components(links.unionByName(crossing(mixed, components(links), items, percent)))
-    known = classes.join(found, "id", "left").select("set_key", F.coalesce("component", "id").alias("class_component"))
+    mixed = sets.join(few.withColumnRenamed("doc_id", "id"), "id", "left_semi")
+    found = components(links.unionByName(crossing(mixed, heavy, components(links), items, percent)))
+    known = sets.join(found, "id", "left").select("set_key", F.coalesce("component", "id").alias("class_component"))
     out = signed.join(known, "set_key", "left").select("doc_id", "n_shingles", F.coalesce("class_component", "doc_id").alias("component_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
