@@ -342,10 +342,12 @@ def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFr
     pairs = kept(candidates(sets, heavy))
     ends = kept(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
     few = small_or_plain(ends, 1_000_000)
-    items = kept(texts.join(few, "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary"))
+    # dealt by id once: the joins with it need no further shuffle of whole sets
+    parts = int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    items = kept(texts.join(few, "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary").repartition(parts, "id"))
     star = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    links = kept(confirmed(star, items, percent).distinct())
-    links = kept(links.unionByName(confirmed(between(pairs, components(links)), items, percent).distinct()))
+    links = written(confirmed(star, items, percent).distinct(), "links", True)
+    links = links.unionByName(written(confirmed(between(pairs, components(links)), items, percent).distinct(), "links", True))
     # a region of two sets or more gave each of its sets a pair, so `items` holds all that can cross
     mixed = sets.join(few.withColumnRenamed("doc_id", "id"), "id", "left_semi")
     found = components(links.unionByName(crossing(mixed, heavy, components(links), items, percent)))
