@@ -12,7 +12,12 @@ replica lacks is `missing` (or `extra`); equal replicas and empty tables give no
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+import hashlib
+import re
+from collections.abc import Iterator
+
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import written
@@ -37,6 +42,44 @@ def volumes(pages: DataFrame, volume_pages: int = 1000) -> DataFrame:
     return rows.withColumn("record_no", F.row_number().over(order) - 1).withColumn("at", F.coalesce(F.sum("length").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
 
 
+def write_volumes(pages: DataFrame, path: str, volume_pages: int = 1000) -> None:
+    """One WARC file a volume under path/volume=N; its bytes are the records in order, at the offsets that volumes() gives."""
+    rows = pages.select(F.coalesce(F.floor(F.col("page_id") / volume_pages), F.lit(-1)).cast("long").alias("volume"), "page_id", record(F.col("url"), F.col("html"), F.col("page_id")).alias("record"))
+    rows = rows.withColumn("digest", F.sha2(F.col("record").cast("binary"), 256)).repartition("volume").sortWithinPartitions("volume", "page_id", "digest")
+    # the writer ends each row by the line break that ends a record
+    rows.select("volume", F.expr("substring(record, 1, length(record) - 2)").alias("value")).write.partitionBy("volume").option("lineSep", CRLF).text(path)
+
+
+def parse(data: bytes) -> Iterator[tuple[int, int, str | None, bytes]]:
+    """(offset, length, record id, record) of each record; one with a damaged head reaches to the next record's head."""
+    at, size = 0, len(data)
+    while at < size:
+        head = data.find(b"\r\n\r\n", at)
+        fields = dict(x.split(b": ", 1) for x in data[at:head].split(b"\r\n")[1:] if b": " in x) if head >= 0 and data.startswith(b"WARC/", at) else {}
+        try:
+            end = head + 8 + int(fields[b"Content-Length"])
+        except (KeyError, ValueError):
+            end = data.find(b"\r\n\r\nWARC/1.0\r\n", at) + 4
+            end = end if end > at + 4 else size
+        end = min(end, size)
+        yield at, end - at, fields.get(b"WARC-Record-ID", b"").decode("utf-8", "replace") or None, data[at:end]
+        at = end
+
+
+def read_volumes(spark: SparkSession, path: str) -> DataFrame:
+    """(volume, record_no, page_id, at, length, digest) of WARC files as write_volumes() lays them out; a file must fit a task's memory."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for file in batch.to_pylist():
+                rows = [(file["volume"], i, int(id_.rpartition(":")[2][:-1]) if id_ and re.fullmatch(r"<urn:page:-?\d+>", id_) else None, at, n, hashlib.sha256(data).hexdigest()) for i, (at, n, id_, data) in enumerate(parse(file["content"]))]
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 6, kinds)], names=["volume", "record_no", "page_id", "at", "length", "digest"])
+
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.txt").option("recursiveFileLookup", True).load(path)
+    files = files.select(F.regexp_extract("path", r"volume=(-?\d+)", 1).cast("long").alias("volume"), "content")
+    return files.mapInArrow(run, "volume long, record_no long, page_id long, at long, length long, digest string")
+
+
 def leaves(records: DataFrame) -> DataFrame:
     """(volume, node, hash) at level 0: a record's digest together with its offset range."""
     return records.select("volume", F.col("record_no").cast("long").alias("node"), F.sha2(F.concat_ws(":", "at", "length", "digest").cast("binary"), 256).alias("hash"))

@@ -408,6 +408,25 @@ def test_descent_visits_damaged_branches_only(spark):
     assert found == [(0, 123 >> 4)]
 
 
+def test_warc_files_round_trip_and_are_audited(spark, tmp_path):
+    pages = spark.createDataFrame([(i, f"http://h/{i}", f"<p>é\r\n\r\nWARC/1.0 {i}</p>") for i in range(60)] + [(60, None, None)], "page_id long, url string, html string")
+    path = f"{tmp_path}/warc"
+    warc.write_volumes(pages, path, 25)
+    want = warc.volumes(pages, 25)
+    columns = ["volume", "record_no", "page_id", "at", "length", "digest"]
+    assert sorted(map(tuple, warc.read_volumes(spark, path).select(columns).collect())) == sorted(map(tuple, want.select(columns).collect()))
+    file = next((tmp_path / "warc" / "volume=1").glob("*.txt"))
+    data = bytearray(file.read_bytes())
+    places = {r.page_id: r["at"] for r in want.where("volume = 1").collect()}
+    at = data.index(b"Content-Length", places[30])  # a damaged head must not hide the records behind it
+    data[at] ^= 1
+    data[data.index(b"<p>", places[40])] ^= 1
+    file.write_bytes(bytes(data))
+    (file.parent / f".{file.name}.crc").unlink()  # else the file system itself refuses the damaged file
+    found = warc.audit(want, warc.read_volumes(spark, path)).collect()
+    assert sorted((r.page_id, r.status) for r in found) == [(30, "damaged"), (40, "damaged")]
+
+
 def test_warc_edges(spark):
     pages = spark.createDataFrame([(None, None, None), (1, None, "x"), (1, None, "x"), (2, "u", None)], "page_id long, url string, html string")
     assert warc.audit(warc.volumes(pages), warc.volumes(pages)).count() == 0
