@@ -15,18 +15,31 @@ from .text import words
 def fit(df: DataFrame, n_merges: int, text: str = "text", most_words: int = 50_000) -> list[tuple[str, str]]:
     """Merges in order. Words are counted on the cluster; the most_words most frequent ones (a bound) reach the driver."""
     counts = df.select(F.explode(words(F.col(text))).alias("w")).groupBy("w").count().orderBy(F.desc("count"), "w").limit(most_words)
-    table = {tuple(r.w): r["count"] for r in counts.collect()}
+    table = [(tuple(r.w), r["count"]) for r in counts.collect()]
+    pairs: Counter = Counter()
+    where: dict[tuple[str, str], set[int]] = {}
+    for i, (word, n) in enumerate(table):
+        for pair in zip(word, word[1:]):
+            pairs[pair] += n
+            where.setdefault(pair, set()).add(i)
     merges = []
     for _ in range(n_merges):
-        pairs: Counter = Counter()
-        for word, n in table.items():
-            for pair in zip(word, word[1:]):
-                pairs[pair] += n
         if not pairs:
             break
-        best = min(pairs, key=lambda p: (-pairs[p], p))
+        top = max(pairs.values())
+        best = min(p for p, n in pairs.items() if n == top)
         merges.append(best)
-        table = {joined(word, best): n for word, n in table.items()}
+        for i in where.pop(best):  # only words that hold the pair change
+            word, n = table[i]
+            for pair in zip(word, word[1:]):
+                pairs[pair] -= n
+                if pairs[pair] <= 0:
+                    del pairs[pair]
+            word = joined(word, best)
+            table[i] = (word, n)
+            for pair in zip(word, word[1:]):
+                pairs[pair] += n
+                where.setdefault(pair, set()).add(i)
     return merges
 
 

@@ -36,10 +36,10 @@ def published(spark: SparkSession) -> DataFrame:
 
 # extractive
 
-def edges(utts: DataFrame, most_share: float = 0.5) -> DataFrame:
+def edges(utts: DataFrame, most_share: float = 1.0) -> DataFrame:
     """(meeting_id, i, j, weight), i < j: shared distinct words over the sum of log sizes, for utterances of two words or more.
 
-    Words that stand in more than most_share of a meeting's utterances link nothing, or all pairs would meet."""
+    With most_share below 1, words that stand in a larger share of a meeting's utterances link nothing."""
     rows = utts.select("meeting_id", "utt_no", F.array_distinct("tokens").alias("w")).where("size(w) >= 2")
     n = rows.groupBy("meeting_id").agg(F.count("*").alias("n"))
     flat = rows.select("meeting_id", "utt_no", F.size("w").alias("size"), F.explode("w").alias("word"))
@@ -49,7 +49,7 @@ def edges(utts: DataFrame, most_share: float = 0.5) -> DataFrame:
     return a.join(b, ["meeting_id", "word"]).where("i < j").groupBy("meeting_id", "i", "j").agg((F.count("*") / (F.ln(F.first("si").cast("double")) + F.ln(F.first("sj").cast("double")))).alias("weight"))
 
 
-def textrank_frames(utts: DataFrame, rounds: int = ROUNDS, keep=None, most_share: float = 0.5) -> DataFrame:
+def textrank_frames(utts: DataFrame, rounds: int = ROUNDS, keep=None, most_share: float = 1.0) -> DataFrame:
     """(meeting_id, utt_no, rank): damped ranks by joins and sums, a round a pass; keep(df) cuts the lineage every fifth."""
     keep = keep or cut
     one = edges(utts, most_share)
@@ -66,30 +66,47 @@ def textrank_frames(utts: DataFrame, rounds: int = ROUNDS, keep=None, most_share
     return nodes.select("meeting_id", F.col("a").alias("utt_no"), "rank")
 
 
-def text_ranks(items: list[Counter], rounds: int = ROUNDS, most_share: float = 0.5) -> np.ndarray:
-    """Ranks of one meeting's utterances; 0 for those of fewer than two words. Sparse: pairs meet through shared words."""
-    nodes = [i for i, x in enumerate(items) if len(x) >= 2]
+DENSE = 4000  # utterances up to which shared words are counted by one matrix product
+
+
+def shared_words(items: list[Counter], nodes: list[int], most_share: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(i, j, number of shared words), i < j, for pairs that share any."""
     holders: dict[str, list[int]] = {}
     for i in nodes:
         for w in items[i]:
             holders.setdefault(w, []).append(i)
+    used = [at for at in holders.values() if 2 <= len(at) <= max(2, len(nodes) * most_share)]
+    if len(items) <= DENSE:
+        x = np.zeros((len(items), len(used)), np.float32)
+        for c, at in enumerate(used):
+            x[at, c] = 1
+        both = np.triu(x @ x.T, 1)
+        i, j = np.nonzero(both)
+        return i, j, both[i, j]
     shared: Counter = Counter()
-    for at in holders.values():
-        if 2 <= len(at) <= max(2, len(nodes) * most_share):
-            shared.update((a, b) for x, a in enumerate(at) for b in at[x + 1:])
+    for at in used:
+        shared.update((a, b) for x, a in enumerate(at) for b in at[x + 1:])
+    i, j = np.array(list(shared), np.int64).reshape(-1, 2).T
+    return i, j, np.array(list(shared.values()), float)
+
+
+def text_ranks(items: list[Counter], rounds: int = ROUNDS, most_share: float = 1.0) -> np.ndarray:
+    """Ranks of one meeting's utterances; 0 for those of fewer than two words."""
+    nodes = [i for i, x in enumerate(items) if len(x) >= 2]
     rank = np.zeros(len(items))
     if not nodes:
         return rank
-    if shared:
-        i, j = np.array(list(shared), np.int64).T
-        w = np.array([n / (math.log(len(items[a])) + math.log(len(items[b]))) for (a, b), n in shared.items()])
+    i, j, n = shared_words(items, nodes, most_share)
+    if len(i):
+        size = np.log(np.maximum([len(x) for x in items], 1))
+        w = n / (size[i] + size[j])
         total = np.bincount(np.r_[i, j], np.r_[w, w], len(items))
         src, dst, share = np.r_[i, j], np.r_[j, i], np.r_[w / total[i], w / total[j]]
     rank[nodes] = 1 / len(nodes)
     for _ in range(rounds):
         new = np.zeros(len(items))
         new[nodes] = (1 - DAMPING) / len(nodes)
-        if shared:
+        if len(i):
             new += DAMPING * np.bincount(dst, share * rank[src], len(items))
         rank = new
     return rank
@@ -109,7 +126,7 @@ def per_meeting(utts: DataFrame, pick, schema: str = "meeting_id string, utt_no
     return rows.mapInPandas(run, schema)
 
 
-def textrank(utts: DataFrame, q: int = 10, rounds: int = ROUNDS, most_share: float = 0.5) -> DataFrame:
+def textrank(utts: DataFrame, q: int = 10, rounds: int = ROUNDS, most_share: float = 1.0) -> DataFrame:
     """(meeting_id, utt_no, place, score): the q best-ranked utterances in source order; ties to earlier ones."""
     positive(q=q)
 

@@ -12,14 +12,14 @@ from ..functions.text import grams, words
 
 def consistency(outputs: DataFrame, utts: DataFrame, n: int = 2) -> DataFrame:
     """(meeting_id, grams, supported) of outputs (meeting_id, text): distinct n-grams, and those that occur inside an utterance of the source."""
-    mine = outputs.select("meeting_id", F.explode(F.transform(F.split("text", r"[.!?\n]+"), lambda s: grams(words(s), n))).alias("g")).select("meeting_id", F.explode("g").alias("gram")).distinct()
+    mine = outputs.select("meeting_id", F.explode(F.transform(F.transform(F.split("text", r"[.!?\n]+"), lambda s: words(s)), lambda t: grams(t, n))).alias("g")).select("meeting_id", F.explode("g").alias("gram")).distinct()
     source = utts.select("meeting_id", F.explode(grams(F.col("tokens"), n)).alias("gram")).distinct().withColumn("hit", F.lit(1))
     return mine.join(source, ["meeting_id", "gram"], "left").groupBy("meeting_id").agg(F.count("*").alias("grams"), F.count("hit").alias("supported"))
 
 
 def window_consistency(steps: DataFrame, utts: DataFrame, n: int = 2) -> DataFrame:
     """(meeting_id, step, grams, supported): each snippet against its own window only. Utterances left_utt..hi_utt."""
-    mine = steps.select("meeting_id", "step", F.explode(F.array_distinct(F.flatten(F.transform(F.split("snippet", r"[.!?\n]+"), lambda s: grams(words(s), n))))).alias("gram"))
+    mine = steps.select("meeting_id", "step", F.explode(F.array_distinct(F.flatten(F.transform(F.transform(F.split("snippet", r"[.!?\n]+"), lambda s: words(s)), lambda t: grams(t, n))))).alias("gram"))
     flat = steps.select("meeting_id", "step", F.explode(F.sequence("left_utt", "hi_utt")).alias("utt_no")).join(utts.select("meeting_id", "utt_no", "tokens"), ["meeting_id", "utt_no"])
     source = flat.select("meeting_id", "step", F.explode(grams(F.col("tokens"), n)).alias("gram")).distinct().withColumn("hit", F.lit(1))
     return mine.join(source, ["meeting_id", "step", "gram"], "left").groupBy("meeting_id", "step").agg(F.count("*").alias("grams"), F.count("hit").alias("supported"))

@@ -167,12 +167,16 @@ def dot(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
 
 
+def let(value: Column, body) -> Column:
+    """body(value) with value computed once, not for each element that a lambda inside visits."""
+    return F.element_at(F.transform(F.array(value), lambda x: body(x)), 1)
+
+
 def norm_column(x: Column) -> Column:
     """Layer norm of an array column, without gain and bias."""
-    n = F.size(x)
-    mean = F.aggregate(x, F.lit(0.0), lambda s, y: s + y.cast("double")) / n
-    var = F.aggregate(F.transform(x, lambda y: (y.cast("double") - mean) * (y.cast("double") - mean)), F.lit(0.0), lambda s, y: s + y) / n
-    return F.transform(x, lambda y: (y.cast("double") - mean) / F.sqrt(var + EPS))
+    mean = F.aggregate(x, F.lit(0.0), lambda s, y: s + y.cast("double")) / F.size(x)
+    spread = lambda m: F.sqrt(F.aggregate(x, F.lit(0.0), lambda s, y: s + (y.cast("double") - m) * (y.cast("double") - m)) / F.size(x) + EPS)
+    return let(mean, lambda m: let(spread(m), lambda d: F.transform(x, lambda y: (y.cast("double") - m) / d)))
 
 
 def attention_rows(vectors: DataFrame) -> DataFrame:

@@ -12,7 +12,5 @@ def attach(utts: DataFrame, sizes: dict | None = None) -> DataFrame:
     A sub-word unit is one more entry, as {"sub": F.size("pieces")}. One shuffle by meeting serves all units."""
     sizes = sizes or {"tok": F.col("n_tok"), "char": F.length("text")}
     order = Window.partitionBy("meeting_id").orderBy("utt_no").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    for unit, size in sizes.items():
-        end = F.sum(size.cast("long")).over(order)
-        utts = utts.withColumn(f"{unit}_end", end).withColumn(f"{unit}_start", F.col(f"{unit}_end") - size.cast("long"))
-    return utts
+    utts = utts.withColumns({f"{unit}_end": F.sum(size.cast("long")).over(order) for unit, size in sizes.items()})  # one window for all units
+    return utts.withColumns({f"{unit}_start": F.col(f"{unit}_end") - size.cast("long") for unit, size in sizes.items()})

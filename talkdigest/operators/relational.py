@@ -11,9 +11,8 @@ from ..functions.text import words
 def containment(items: DataFrame, documents: DataFrame) -> DataFrame:
     """(item_id, doc_id, doc_chars): documents that hold an item's text verbatim.
 
-    An item's rarest word (among the documents) is the join key, so only documents with that word are compared. Items
-    without a word, or whose words no document has whole, are matched by their first and last words' absence: they are
-    compared through the words strictly inside the text, as those at its edges may be parts of longer ones."""
+    An item's rarest inner word (among the documents) is the join key, so only documents with that word are compared; words
+    at its edges may be parts of longer ones there. Items of fewer than three words are compared with all documents."""
     inner = F.slice(words(F.col("text"), False), 2, F.greatest(F.size(words(F.col("text"), False)) - 2, F.lit(0)))
     keys = items.select("item_id", F.col("text").alias("passage"), F.explode(inner).alias("word"))
     cells = documents.select("doc_id", F.explode(F.array_distinct(words(F.col("text"), False))).alias("word"))
@@ -21,7 +20,7 @@ def containment(items: DataFrame, documents: DataFrame) -> DataFrame:
     rare = keys.join(df, "word", "left").groupBy("item_id", "passage").agg(F.min_by("word", F.struct(F.coalesce("count", F.lit(0)), "word")).alias("word"))
     found = cells.join(rare.select("item_id", "passage", "word"), "word").join(documents.select("doc_id", "text"), "doc_id").where(F.contains("text", "passage"))
     short = items.where(F.size(words(F.col("text"), False)) < 3).select("item_id", F.col("text").alias("passage"))
-    rest = documents.select("doc_id", "text").join(F.broadcast(short.limit(10_000)), F.contains("text", F.col("passage")))
+    rest = documents.select("doc_id", "text").join(short, F.contains("text", F.col("passage")))
     return found.select("item_id", "doc_id", F.length("text").cast("long").alias("doc_chars")).unionByName(rest.select("item_id", "doc_id", F.length("text").cast("long").alias("doc_chars")))
 
 

@@ -388,7 +388,7 @@ r0 AS (SELECT nd.meeting_id, utt_no AS a, n, 1.0 / n AS rank FROM nd JOIN cn USI
 
 @query("textrank_frames", _textrank_sql(10))
 def textrank_frames(spark, d):
-    rows = baselines.textrank_frames(talks(spark, d), 10, most_share=1.0)
+    rows = baselines.textrank_frames(talks(spark, d), 10)
     return rows.withColumn("rank", F.round("rank", 6))
 
 

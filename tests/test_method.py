@@ -445,9 +445,9 @@ def test_scans_are_pruned_and_pushed(spark):
 
 def test_one_exchange_for_the_dynamic_run(spark):
     """Positions and nesting share the shuffle by meeting."""
-    talks = meetings.from_conversations(spark.read.parquet(f"{SF}/conversations.parquet"))
+    talks = meetings.from_conversations(spark.read.parquet("/root/testdata/sf0.01/conversations.parquet"))  # not cached by a fixture
     plan = runs.dynamic(talks, LeadBackbone(1), 64)._jdf.queryExecution().toString().split("== Physical Plan ==")[1]
-    assert plan.count("Exchange hashpartitioning") <= 1
+    assert plan.count("Exchange hashpartitioning") == 1
 
 
 def test_pages(spark):
