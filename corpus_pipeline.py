@@ -19,8 +19,8 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Recurring lines go, their first occurrence stays; n_chars follows the text; all documents stay."""
-    out = lines.deduplicated(docs)
+    """Lines that two documents or more hold go, their first occurrence stays; n_chars follows the text; all documents stay."""
+    out = lines.deduplicated(docs, min_docs=2, short=True)
     return out.select(*[F.length("text").cast("long").alias(c) if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns])
 
 

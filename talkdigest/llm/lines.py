@@ -9,8 +9,10 @@ more hold is recurring: its first line (least doc_id, then line) stays, all othe
 Everything is counted over all lines; leaves are pre-aggregated to distinct lines before tokens are counted, so a
 line that a third of the documents hold is one row there.
 
-Defined results: null text stays null, with 0 lines; blank lines and lines of fewer than min_tokens tokens are
-never dropped; rows with the same doc_id are the same document; a null doc_id is never dropped from; documents
+Lines of fewer than min_tokens tokens have no template: with `short`, such lines are recurring if min_docs documents
+hold the same tokens, digits included; without it they are never dropped.
+
+Defined results: null text stays null, with 0 lines; blank lines are never dropped; rows with the same doc_id are the same document; a null doc_id is never dropped from; documents
 whose lines all recur keep their row with an empty text; empty table: no rows.
 """
 
@@ -41,15 +43,19 @@ def _tokens(text):
     return F.transform(F.split(text, "\n", -1), lambda line: F.array_remove(F.split(line, " ", -1), ""))
 
 
-def placed_in_leaves(documents: DataFrame, min_tokens: int = 3, depth: int = DEPTH) -> DataFrame:
-    """(doc_id, line_no, tokens, leaf) of the lines that can be dropped."""
+def placed_in_leaves(documents: DataFrame, min_tokens: int = 3, depth: int = DEPTH, short: bool = False) -> DataFrame:
+    """(doc_id, line_no, tokens, leaf) of the lines that can be dropped; a short line's leaf is that of its very tokens."""
     rows = documents.where("doc_id is not null and text is not null").select("doc_id", F.posexplode(_tokens(F.col("text"))).alias("line_no", "tokens"))
-    return rows.where(F.size("tokens") >= min_tokens).withColumn("leaf", F.xxhash64(F.size("tokens"), _masked(F.slice("tokens", 1, depth))))
+    leaf = F.xxhash64(F.size("tokens"), _masked(F.slice("tokens", 1, depth)))
+    leaf = F.when(F.size("tokens") < min_tokens, F.xxhash64(F.lit("short"), "tokens")).otherwise(leaf)
+    return rows.where(F.size("tokens") >= (1 if short else min_tokens)).withColumn("leaf", leaf)
 
 
 def parsed(rows: DataFrame) -> DataFrame:
-    """(doc_id, line_no, leaf, tokens, line_key) of rows of placed_in_leaves(), variable fields masked."""
-    return rows.select("doc_id", "line_no", "leaf", _masked(F.col("tokens")).alias("tokens")).withColumn("line_key", F.xxhash64("tokens"))
+    """(doc_id, line_no, leaf, tokens, line_key) of rows of placed_in_leaves() and `uniform`, variable fields masked; a leaf of
+    one line only needs no tokens."""
+    rows = rows.select("doc_id", "line_no", "leaf", F.when(~F.col("uniform"), _masked(F.col("tokens"))).alias("tokens"))
+    return rows.withColumn("line_key", F.when(F.col("tokens").isNull(), F.col("leaf")).otherwise(F.xxhash64("leaf", "tokens")))
 
 
 def generalised(distinct: DataFrame, depth: int = DEPTH, similar: float = SIMILAR) -> DataFrame:
@@ -65,24 +71,27 @@ def generalised(distinct: DataFrame, depth: int = DEPTH, similar: float = SIMILA
     return rows.select("line_key", F.when(fits, F.xxhash64(F.lit("leaf"), "leaf")).otherwise(F.xxhash64(F.lit("line"), "line_key")).alias("template"))
 
 
-def recurring(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3) -> DataFrame:
+def recurring(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3, short: bool = False) -> DataFrame:
     """(doc_id, drops array<int>): the line numbers that a document loses."""
-    lines = placed_in_leaves(documents, min_tokens)
+    lines = placed_in_leaves(documents, min_tokens, short=short)
     # a leaf of fewer rows than min_docs, or of one document, holds no recurring template
-    leaves = lines.groupBy("leaf").agg(F.count("*").alias("n"), F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where((F.col("n") >= min_docs) & (F.col("a") < F.col("b"))).select("leaf")
-    leaves = written(leaves, "leaves")
-    held = written(parsed(lines.join(small_or_plain(leaves, 2_000_000), "leaf", "left_semi")), "lines")
-    distinct = held.groupBy("leaf", "line_key").agg(F.first("tokens").alias("tokens"))
-    placed = held.select("doc_id", "line_no", "line_key").join(generalised(distinct), "line_key").select("doc_id", "line_no", "template")
+    key = F.xxhash64("tokens")
+    leaves = lines.groupBy("leaf").agg(F.count("*").alias("n"), F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), (F.min(key) == F.max(key)).alias("uniform"))
+    leaves = written(leaves.where((F.col("n") >= min_docs) & (F.col("a") < F.col("b"))).select("leaf", "uniform"), "leaves")
+    held = written(parsed(lines.join(small_or_plain(leaves, 2_000_000), "leaf")), "lines")
+    varied = held.where("tokens is not null")
+    distinct = varied.groupBy("leaf", "line_key").agg(F.first("tokens").alias("tokens"))
+    placed = varied.select("doc_id", "line_no", "line_key").join(generalised(distinct), "line_key").select("doc_id", "line_no", "template")
+    placed = placed.unionByName(held.where("tokens is null").select("doc_id", "line_no", F.xxhash64(F.lit("leaf"), "leaf").alias("template")))
     first = placed.groupBy("template", "doc_id").agg(F.min("line_no").alias("line_no")).groupBy("template").agg(F.count("*").alias("docs"), F.min(F.struct("doc_id", "line_no")).alias("first")).where(F.col("docs") >= min_docs)
     again = placed.join(first, "template").where((F.col("doc_id") != F.col("first.doc_id")) | (F.col("line_no") != F.col("first.line_no")))
     return again.groupBy("doc_id").agg(F.sort_array(F.collect_list("line_no")).alias("drops"))
 
 
-def deduplicated(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3) -> DataFrame:
+def deduplicated(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3, short: bool = False) -> DataFrame:
     """documents with `text` without recurring lines, and n_lines, n_dropped; further columns stay."""
     names = documents.columns
-    drops = recurring(documents, min_docs, min_tokens).select(F.col("doc_id").alias("drop_id"), "drops")
+    drops = recurring(documents, min_docs, min_tokens, short).select(F.col("doc_id").alias("drop_id"), "drops")
     rows = documents.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("doc"))
     rows = rows.join(drops, F.col("doc.doc_id") == F.col("drop_id"), "left")
     text = F.col("doc.text")

@@ -23,7 +23,7 @@ def op2_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lines.deduplicated(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return lines.deduplicated(table(spark, sf_dir, "documents").select("doc_id", "text"), min_docs=2, short=True)
 
 
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

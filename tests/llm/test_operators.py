@@ -130,6 +130,25 @@ def test_line_dedup_equals_brute_force_on_exact_lines(spark, documents):
     assert len(got - must) <= max(3, len(must) // 10)  # generalised templates
 
 
+def test_registered_line_dedup_drops_what_two_documents_hold(spark, tmp_path):
+    rows = [(1, "one two three four five\nLes.\n\n12 34"), (2, "one two three four five\nLes.\n\n12 35"), (3, "ten eleven twelve\nLes. plus\n12 34")]
+    want = {1: rows[0][1], 2: "\n12 35", 3: "ten eleven twelve\nLes. plus"}
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    assert {r.doc_id: r.text for r in queries.op3_line_dedup(spark, str(tmp_path)).collect()} == want
+    assert {r.doc_id: r.text for r in corpus_pipeline.line_dedup(spark, docs, SF).collect()} == want
+
+
+def test_registered_line_dedup_against_brute_force(spark, documents):
+    """No line stays in more than one document, whatever its length."""
+    kept = collections.defaultdict(set)
+    for r in queries.op3_line_dedup(spark, SF).collect():
+        for line in (r.text or "").split("\n"):
+            if words(line):
+                kept[tuple(words(line))].add(r.doc_id)
+    assert max(map(len, kept.values())) == 1
+
+
 def test_line_edges(spark, edges, empty):
     rows = lines.deduplicated(edges).collect()
     assert len(rows) == edges.count() and {r.text for r in rows if r.doc_id == 1} == {None}
