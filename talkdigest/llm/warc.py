@@ -4,10 +4,12 @@ Pages become WARC response records in numbered volumes; a record's place in its
 from the order of page ids. Leaves of a volume's tree are the SHA-256 of its records with their offset ranges, in
 order; FAN ordered nodes make one node of the next level, up to a root a volume and one root over all. An audit
 compares the replicas' roots and goes down only from nodes that differ, so it reads hashes along damaged branches
-only.
+only. Leaves stand at ordinals, so a lost or additional record makes all later leaves of its volume differ; the records
+of differing leaves are therefore matched by content and by page id before they are judged.
 
 Defined results: null url or html are empty strings; repeated page ids are records of their own; a record that one
-replica lacks is `missing` (or `extra`); equal replicas and empty tables give no rows; further columns are ignored.
+replica lacks is `missing` (or `extra`); one with the same bytes at another ordinal or offset is `moved`; one with the
+same page id and other bytes is `damaged`, as is one whose id can't be read where a master's record is lacking; equal replicas and empty tables give no rows; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -127,16 +129,46 @@ def differing(mine: list[DataFrame], other: list[DataFrame]) -> DataFrame:
     return found
 
 
+def matched(rows: DataFrame, *keys: str) -> DataFrame:
+    """(volume, keys, a, b) of rows (volume, run, record_no, page_id, at, length, digest, mine): the n-th record of the master with
+    the n-th of the replica that has the same keys; either may be null."""
+    rank = F.row_number().over(Window.partitionBy("volume", *keys, "mine").orderBy("record_no"))
+    whole = F.struct("record_no", "page_id", "at", "length", "digest", "run")
+    return rows.withColumn("rank", rank).groupBy("volume", *keys, "rank").agg(F.max(F.when(F.col("mine"), whole)).alias("a"), F.max(F.when(~F.col("mine"), whole)).alias("b"))
+
+
+def single(pairs: DataFrame) -> DataFrame:
+    """The rows of matched() that found no partner, as it takes them."""
+    rows = pairs.where("a is null or b is null")
+    return rows.select("volume", F.coalesce("a", "b").alias("x"), F.col("a").isNotNull().alias("mine")).select("volume", "x.*", "mine")
+
+
+def aligned(rows: DataFrame) -> DataFrame:
+    """(volume, a, b): rows as matched() takes them; by bytes, then by page id, then a record without a readable id with what is
+    lacking in the same gap between records that have a partner."""
+    whole = matched(rows, "digest")
+    named = matched(single(whole), "page_id")
+    both = whole.select("volume", "a", "b").unionByName(named.select("volume", "a", "b")).where("a is not null and b is not null")
+    rest = single(named).withColumn("mate", F.lit(None).cast("long"))
+    marks = [both.select("volume", f"{x}.*", F.lit(x == "a").alias("mine"), F.col("a.record_no").alias("mate")) for x in "ab"]
+    order = Window.partitionBy("volume", "run", "mine").orderBy("record_no")
+    gaps = rest.unionByName(marks[0]).unionByName(marks[1]).withColumn("gap", F.last("mate", True).over(order)).where("mate is null")
+    # an id that can be read and has no partner is a record of its own
+    gaps = gaps.withColumn("other", F.when(~F.col("mine"), F.col("page_id")))
+    return both.unionByName(matched(gaps, "run", "gap", "other").select("volume", "a", "b"))
+
+
 def audit(master: DataFrame, replica: DataFrame) -> DataFrame:
     """(volume, record_no, page_id, at, length, status, expected, found) of records that differ. Both: as volumes() gives."""
     master, replica = written(master, "records"), written(replica, "records")  # digests and offsets only
     levels = max(levels_for(master), levels_for(replica))
     bad = differing(tree(master, levels), tree(replica, levels)).select("volume", F.col("node").alias("record_no"))
-    a = master.join(bad, ["volume", "record_no"], "left_semi").select("volume", "record_no", "page_id", "at", "length", F.col("digest").alias("expected"))
-    b = replica.join(bad, ["volume", "record_no"], "left_semi").select("volume", "record_no", F.col("page_id").alias("b_id"), F.col("at").alias("b_at"), F.col("length").alias("b_length"), F.col("digest").alias("found"))
-    rows = a.join(b, ["volume", "record_no"], "full")
-    status = F.when(F.col("found").isNull(), "missing").when(F.col("expected").isNull(), "extra").when(~F.col("found").eqNullSafe(F.col("expected")), "damaged").otherwise("moved")
-    return rows.select("volume", F.col("record_no").cast("long").alias("record_no"), F.coalesce("page_id", "b_id").alias("page_id"), F.coalesce("at", "b_at").alias("at"), F.coalesce("length", "b_length").alias("length"), status.alias("status"), "expected", "found")
+    # neighbouring ordinals are a run; records move inside runs only
+    bad = written(bad.withColumn("run", F.col("record_no") - F.row_number().over(Window.partitionBy("volume").orderBy("record_no"))), "differing")
+    sides = [x.join(bad, ["volume", "record_no"]).select("volume", "run", F.col("record_no").cast("long").alias("record_no"), "page_id", "at", "length", "digest", F.lit(mine).alias("mine")) for x, mine in ((master, True), (replica, False))]
+    rows = aligned(sides[0].unionByName(sides[1]))
+    status = F.when(F.col("b").isNull(), "missing").when(F.col("a").isNull(), "extra").when(F.col("a.digest") != F.col("b.digest"), "damaged").otherwise("moved")
+    return rows.select("volume", *[F.coalesce(f"a.{c}", f"b.{c}").alias(c) for c in ("record_no", "page_id", "at", "length")], status.alias("status"), F.col("a.digest").alias("expected"), F.col("b.digest").alias("found"))
 
 
 def damaged_replica(pages: DataFrame) -> DataFrame:

@@ -446,6 +446,27 @@ def test_warc_files_round_trip_and_are_audited(spark, tmp_path):
     assert sorted((r.page_id, r.status) for r in found) == [(30, "damaged"), (40, "damaged")]
 
 
+def test_audit_of_records_lost_inside_a_volume(spark):
+    pages = spark.createDataFrame([(i, f"http://h/{i}", f"<p>{i}</p>") for i in range(2000) if i != 1500], "page_id long, url string, html string")
+    html = F.when(F.col("page_id").isin(3, 700, 1100), F.concat(F.lit("#"), F.expr("substring(html, 2)"))).otherwise(F.col("html"))
+    more = spark.createDataFrame([(1500, "http://h/1500", "<p>new</p>")], pages.schema)
+    bad = pages.withColumn("html", html).where("page_id not in (400, 401, 999)").unionByName(more)
+    rows = warc.audit(warc.volumes(pages), warc.volumes(bad)).collect()
+    by = {s: {r.page_id for r in rows if r.status == s} for s in ("damaged", "missing", "extra", "moved")}
+    assert by == {"damaged": {3, 700, 1100}, "missing": {400, 401, 999}, "extra": {1500}, "moved": (set(range(402, 999)) - {700}) | set(range(1501, 2000))}
+    assert len(rows) == sum(map(len, by.values()))
+    assert all((r.expected is None) == (r.status == "extra") and (r.found is None) == (r.status == "missing") and (r.expected == r.found) == (r.status == "moved") for r in rows)
+
+
+def test_audit_matches_unreadable_ids_by_place(spark):
+    pages = spark.createDataFrame([(i, "u", f"{i}") for i in range(50)], "page_id long, url string, html string")
+    whole = warc.volumes(pages)
+    torn = whole.where("page_id <> 10").withColumn("record_no", F.col("record_no") - (F.col("page_id") > 10).cast("int"))
+    torn = torn.withColumn("digest", F.when(F.col("page_id").isin(5, 20), F.lit("torn")).otherwise(F.col("digest"))).withColumn("page_id", F.when(~F.col("page_id").isin(5, 20), F.col("page_id")))
+    got = {(r.page_id, r.status) for r in warc.audit(whole, torn).collect() if r.status != "moved"}
+    assert got == {(5, "damaged"), (20, "damaged"), (10, "missing")}
+
+
 def test_warc_edges(spark):
     pages = spark.createDataFrame([(None, None, None), (1, None, "x"), (1, None, "x"), (2, "u", None)], "page_id long, url string, html string")
     assert warc.audit(warc.volumes(pages), warc.volumes(pages)).count() == 0
