@@ -13,7 +13,7 @@ large-star and small-star steps over written tables.
 
 A link between components that no other link joins is missed with probability (1 - 0.8^4)^TREES, 3e-6, at similarity
 0.8, if its regions hold up to NEAR sets; more alike pairs far more rarely. In a larger region a set is compared with its
-nearest NEAR ones in each order.
+nearest NEAR ones in each order. Regions of more than HEAVY rows are dealt out block by block, with the same pairs.
 
 Defined results: null, empty or word-less text: no shingles, a class of its own, kept; texts with fewer words than a
 shingle: the whole sequence as one; equal sets are linked; repeated rows with one doc_id share class and decision; a
@@ -27,7 +27,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import kept, small_or_plain, written
@@ -35,7 +35,7 @@ from .common import kept, small_or_plain, written
 TREES, DEPTH, DEEPER = 24, 4, 8
 NEAR = 64
 LEAST = 59  # of TREES * DEPTH sketch places; at a similarity of 0.8 fewer agree once in 10^5
-HEAVY = 50_000  # rows of a region from which on it is dealt out by greater depth
+HEAVY = 50_000  # rows of a region from which on it is dealt out block by block
 BLOCK = 2048
 MULTIPLIERS = np.array([xxhash.xxh3_64_intdigest(b"minimum %d" % i) | 1 for i in range(TREES * DEPTH)], np.uint64)
 MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)]
@@ -250,17 +250,42 @@ def heavy_regions(rows: DataFrame) -> DataFrame | None:
     return heavy if heavy.limit(1).count() else None
 
 
-def dealt(rows: DataFrame, heavy: DataFrame | None) -> DataFrame:
-    """Forest rows sorted by region, deeper minima, id, each region in one task; heavy ones are dealt out by greater depth."""
-    deal = F.col("region")
-    if heavy is not None:
-        rows, deal = rows.join(heavy, "region", "left"), F.when(F.col("heavy"), F.xxhash64("region", F.substring("deeper", 1, 4))).otherwise(F.col("region"))
-    return rows.withColumn("deal", deal).repartition("deal").sortWithinPartitions("region", "deeper", "id")
+def in_blocks(rows: DataFrame, heavy: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Rows of heavy regions, each as a row of its blocks: block k of a region has the rows from NEAR * k to NEAR * (k + 2) - 1 in
+    the order of (deeper, id), and is a region of its own from here on; and the pairs (a, b) of members
+    with the head of their region.
+
+    Ranges of the order go to tasks; a row's place in its region is its place in the range and the region's rows in ranges before."""
+    part = rows.join(F.broadcast(heavy.select("region")), "region").repartitionByRange("region", "deeper", "id").withColumn("part", F.spark_partition_id())
+    part = written(part, "heavy")
+    before = part.groupBy("region", "part").count().withColumn("before", F.coalesce(F.sum("count").over(Window.partitionBy("region").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("count")
+    inside = part.withColumn("place", F.row_number().over(Window.partitionBy("part", "region").orderBy("deeper", "id")) - 1)
+    placed = inside.join(F.broadcast(before), ["region", "part"]).withColumn("place", F.col("place") + F.col("before")).drop("part", "before")
+    block = F.floor(F.col("place") / NEAR)
+    blocks = placed.withColumn("block", F.explode(F.when(block > 0, F.array(block - 1, block)).otherwise(F.array(block)))).withColumn("region", F.xxhash64("region", "block"))
+    heads = part.groupBy("region").agg(F.min(F.struct("deeper", "id"))["id"].alias("head"))
+    starts = part.join(F.broadcast(heads), "region").where("id <> head").select(F.least("id", "head").alias("a"), F.greatest("id", "head").alias("b"))
+    return blocks.select(*rows.columns), starts
+
+
+def dealt(rows: DataFrame) -> DataFrame:
+    """Forest rows sorted by region, deeper minima, id, each region in one task."""
+    return rows.repartition("region").sortWithinPartitions("region", "deeper", "id")
+
+
+def divided(rows: DataFrame, heavy: DataFrame | None) -> tuple[DataFrame, DataFrame | None]:
+    """dealt() rows, in which blocks stand for heavy regions, and the pairs (a, b) of the members of these with their heads."""
+    if heavy is None:
+        return dealt(rows), None
+    blocks, heads = in_blocks(rows, heavy)
+    return dealt(rows.join(F.broadcast(heavy.select("region")), "region", "left_anti").unionByName(blocks)), heads
 
 
 def candidates(sets: DataFrame, heavy: DataFrame | None) -> DataFrame:
     """Distinct (a, b), a < b, of (id, signature): chains and heads of regions."""
-    return dealt(forest(sets), heavy).select("region", "id").mapInArrow(_chained, "a long, b long").distinct()
+    rows, heads = divided(forest(sets), heavy)
+    pairs = rows.select("region", "id").mapInArrow(_chained, "a long, b long")
+    return (pairs if heads is None else pairs.unionByName(heads)).distinct()
 
 
 def crossing(sets: DataFrame, heavy: DataFrame | None, joined: DataFrame, items: DataFrame, percent: int) -> DataFrame:
@@ -268,7 +293,7 @@ def crossing(sets: DataFrame, heavy: DataFrame | None, joined: DataFrame, items:
 
     A set's items go to each of its blocks once, and pairs are formed inside a block only."""
     rows = forest(sets.join(joined, "id", "left").withColumn("component", F.coalesce("component", "id")), True)
-    blocks = dealt(rows, heavy).select("region", "id", "component", "sketch").mapInArrow(_blocks, "block long, id long, component long").join(items, "id")
+    blocks = divided(rows, heavy)[0].select("region", "id", "component", "sketch").mapInArrow(_blocks, "block long, id long, component long").join(items, "id")
     return blocks.repartition("block").sortWithinPartitions("block", "id").select("block", "id", "component", "items").mapInArrow(_joining(percent), "a long, b long")
 
 

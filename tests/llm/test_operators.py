@@ -210,6 +210,30 @@ def test_heavy_regions_are_dealt_out_by_depth(spark, documents, monkeypatch):
     assert sum(got[i] == want[i] for i in want) >= 0.95 * len(want)  # regions of two are cut here, which HEAVY forbids
 
 
+def test_heavy_regions_give_the_same_components(spark, documents, monkeypatch):
+    monkeypatch.setattr(neardup, "HEAVY", 1)
+    monkeypatch.setattr(neardup, "NEAR", 4)  # so that regions have many blocks
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.clustered(documents).collect()}
+    assert got == brute_components([(r.doc_id, r.text) for r in documents.collect()])
+
+
+def test_heavy_regions_compare_the_pairs_of_light_ones(spark):
+    rng = np.random.default_rng(3)
+    rows = [(i, bytes([0] * 7 + [int(rng.integers(3))]), 7 + i % 2) for i in rng.permutation(900).tolist()]
+    frame = spark.createDataFrame([(i, r, bytearray(d)) for i, d, r in rows], "id long, region long, deeper binary")
+    heavy = spark.createDataFrame([(7, True)], "region long, heavy boolean")
+    seen = []
+    for h in (None, heavy):
+        out, heads = neardup.divided(frame, h)
+        pairs = out.select("region", "id").mapInArrow(neardup._chained, "a long, b long")
+        seen.append({(r.a, r.b) for r in (pairs if heads is None else pairs.unionByName(heads)).collect()})
+    assert seen[0] <= seen[1]
+    blocks = neardup.in_blocks(frame, heavy)[0].groupBy("region").agg(F.collect_set("id").alias("ids")).collect()
+    order = [i for _, i in sorted((d, i) for i, d, r in rows if r == 7)]
+    want = {frozenset(order[k:k + 2 * neardup.NEAR]) for k in range(0, len(order), neardup.NEAR)}
+    assert {frozenset(b.ids) for b in blocks} == want
+
+
 def test_near_dedup_edges(spark, edges, empty):
     rows = neardup.clustered(edges).collect()
     assert len(rows) == edges.count()
