@@ -276,6 +276,32 @@ def test_subwords(spark):
     assert all(len(p) == 1 for r in subword.encode(docs, []).collect() for p in r.pieces)
 
 
+def test_subword_merges_come_from_all_words(spark):
+    often = spark.range(50_000).selectExpr("concat('x', id, ' x', id) AS text")
+    rare = spark.range(150_000).selectExpr("concat('qz', id) AS text")
+    assert subword.fit(often.unionByName(rare), 1) == [("q", "z")]
+
+
+def test_subword_merges_equal_a_choice_step_by_step(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").where("doc_id % 10 = 0")
+    counts = {tuple(r.w): r["count"] for r in docs.select(F.explode(T.words(F.col("text"))).alias("w")).groupBy("w").count().collect()}
+    counts |= {("a",) * 7: 5000}
+    want = []
+    for _ in range(50):
+        pairs = {}
+        for w, n in counts.items():
+            for p in zip(w, w[1:]):
+                pairs[p] = pairs.get(p, 0) + n
+        want.append(min(pairs, key=lambda p: (-pairs[p], p)))
+        merged = {}
+        for w, n in counts.items():
+            w = subword.joined(w, want[-1])
+            merged[w] = merged.get(w, 0) + n
+        counts = merged
+    more = spark.createDataFrame([(" ".join(["a" * 7] * 5000),)], "text string")
+    assert subword.fit(docs.select("text").unionByName(more), 50) == want
+
+
 def test_segmentation_measures():
     ref = np.array([0, 0, 1, 0, 0, 1, 0, 0])
     assert measures.pk(ref, ref, 2) == 0 and measures.window_diff(ref, ref, 2) == 0
