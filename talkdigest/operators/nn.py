@@ -152,13 +152,13 @@ def block_context(blocks: list[np.ndarray]) -> np.ndarray:
     return np.mean([b.mean(0) for b in blocks], axis=0)
 
 
-def encode_column(df: DataFrame, model: Seq2Seq, ids: str = "ids") -> DataFrame:
-    """df (key, ids array<int>) with the mean encoding of each row."""
+def encode_column(df: DataFrame, model: Seq2Seq, ids: str = "ids", window: int = 1024) -> DataFrame:
+    """df (key, ids array<int>) with the mean encoding of each row; rows longer than a window are encoded block by block."""
     shared = df.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("array<double>")
     def run(column: pd.Series) -> pd.Series:
-        return column.map(lambda x: shared.value.encode(list(x)).mean(0).tolist() if len(x) else [])
+        return column.map(lambda x: block_context([shared.value.encode(list(x[i:i + window])) for i in range(0, len(x), window)]).tolist() if len(x) else [])
 
     return df.withColumn("encoded", run(ids))
 

@@ -495,9 +495,9 @@ def ffn_step(spark, d):
 
 @query("encoder_layers")
 def encoder_layers(spark, d):
-    """(meeting_id, encoding): mean encoding of the first 32 word ids of each talk under six seeded layers."""
+    """(meeting_id, encoding): encoding of all word ids of each talk under six seeded layers, in windows of up to 1,024."""
     from ..operators import nn
 
-    ids = F.slice(F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("utt_no", "tokens"))), lambda x: x["tokens"])), 1, 32)
+    ids = F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("utt_no", "tokens"))), lambda x: x["tokens"]))
     rows = talks(spark, d).groupBy("meeting_id").agg(F.transform(ids, lambda w: F.pmod(F.xxhash64(w), F.lit(1000)).cast("int")).alias("ids"))
     return nn.encode_column(rows, nn.Seq2Seq(1000)).select("meeting_id", F.col("encoded").alias("encoding"))

@@ -480,3 +480,24 @@ def test_pages(spark):
     html = '<html><nav><p>menu</p></nav><script>var t="</p>";</script><h1>A &amp; B</h1><p><b>one</b> two<br><p>three</p><p> </p></html>'
     r = meetings.from_pages(spark.createDataFrame([(1, html)], "page_id long, html string")).orderBy("utt_no").collect()
     assert [x.text for x in r] == ["one two", "three"] and r[0].headline == "A & B"
+
+
+def test_encodings_cover_whole_texts(spark):
+    from talkdigest.operators import nn
+
+    model, ids = nn.Seq2Seq(50), [i * 7 % 50 for i in range(40)]
+    got = nn.encode_column(spark.createDataFrame([(0, ids), (1, ids[:16]), (2, [])], "key int, ids array<int>"), model, window=16)
+    by = {r.key: r.encoded for r in got.collect()}
+    assert np.allclose(by[0], np.mean([model.encode(ids[k:k + 16]).mean(0) for k in (0, 16, 32)], axis=0))
+    assert np.allclose(by[1], model.encode(ids[:16]).mean(0)) and by[2] == []
+
+
+def test_encoder_layers_reads_words_behind_the_first(spark, tmp_path):
+    from talkdigest.workloads import QUERIES
+
+    text = " ".join(f"w{i}" for i in range(40))
+    for name, end in (("a", "old"), ("b", "new")):
+        rows = [(1, 0, "user", text), (1, 1, "assistant", f"words and an {end}")]
+        spark.createDataFrame(rows, spark.read.parquet("/root/testdata/sf0.001/conversations.parquet").select("conv_id", "turn", "role", "text").schema).write.parquet(f"{tmp_path}/{name}/conversations.parquet")
+    a, b = ([list(r.encoding) for r in QUERIES["encoder_layers"](spark, f"{tmp_path}/{name}").collect()] for name in "ab")
+    assert len(a) == len(b) == 1 and not np.allclose(a[0], b[0])
