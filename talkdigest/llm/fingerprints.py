@@ -103,7 +103,10 @@ def _least(prefixes: Prefixes, width: int) -> np.ndarray:
 
 
 def fingerprint(code: np.ndarray) -> tuple[int, tuple[int, ...], np.ndarray, np.ndarray]:
-    prefixes = Prefixes(code)
+    return printed(Prefixes(code))
+
+
+def printed(prefixes: Prefixes) -> tuple[int, tuple[int, ...], np.ndarray, np.ndarray]:
     return prefixes.n, prefixes.span(0, prefixes.n), _least(prefixes, WIDE), _least(prefixes, NARROW)
 
 
@@ -147,17 +150,19 @@ def _stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def flush():
         cols = list(zip(*out))
         out.clear()
-        kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64())
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"])
+        kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64(), pa.int64())
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "same_prefix"])
 
     for batch in batches:
         for chunk, ends, doc_id, packed in zip(*(batch.column(batch.schema.get_field_index(c)) for c in ("chunk", "ends", "doc_id", "packed"))):
             code = points(zlib.decompress(packed.as_py()).decode())
-            mine = (chunk.as_py(), doc_id.as_py(), code, fingerprint(code))
+            prefixes = Prefixes(code)
+            mine = (chunk.as_py(), doc_id.as_py(), code, printed(prefixes), prefixes)
             if held is not None and held[0] == mine[0]:
                 changed = edited(held[2], code)
-                new = fingerprint(changed)
-                out.append((held[1], len(held[2]), hashlib.sha256(changed.tobytes().decode("utf-32-le").encode()).hexdigest(), shown(held[3]), shown(new), likeness(held[3], new), likeness(held[3], mine[3])))
+                after = Prefixes(changed)
+                new = printed(after)
+                out.append((held[1], len(held[2]), hashlib.sha256(changed.tobytes().decode("utf-32-le").encode()).hexdigest(), shown(held[3]), shown(new), likeness(held[3], new), likeness(held[3], mine[3]), common_extension(held[4], 0, after, 0)))
             held = None if ends.as_py() else mine
             if len(out) >= 512:
                 yield flush()
@@ -171,7 +176,8 @@ def _packed(text):
 
 
 def fingerprinted(documents: DataFrame) -> DataFrame:
-    """(doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next), one row a document."""
+    """(doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next, same_prefix), one row a document; same_prefix: code points that
+    the text and the edited text have in common from the start."""
     low, high, n = documents.agg(F.min("doc_id"), F.max("doc_id"), F.count("*")).first()
     chunks = max(1, min(CHUNKS, -(-n // ROWS_A_CHUNK)))
     low, width = low or 0, max(1, -(-((high or 0) - (low or 0) + 1) // chunks))
@@ -188,4 +194,4 @@ def fingerprinted(documents: DataFrame) -> DataFrame:
         F.array(F.struct(F.col("own").alias("chunk"), F.lit(False).alias("ends")), F.struct(F.col("ended").alias("chunk"), F.lit(True).alias("ends"))))
     rows = rows.select("doc_id", "order_key", "packed", F.inline(goes))
     spread = rows.repartition("chunk").sortWithinPartitions("chunk", "ends", F.asc_nulls_first("doc_id"), "order_key")
-    return spread.select("chunk", "ends", "doc_id", "packed").mapInArrow(_stream, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return spread.select("chunk", "ends", "doc_id", "packed").mapInArrow(_stream, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, same_prefix long")

@@ -4,6 +4,7 @@ import base64
 import collections
 import hashlib
 import math
+import os
 import random
 import re
 import zlib
@@ -264,6 +265,14 @@ def test_fingerprints(spark, documents):
     assert fingerprints.likeness(a, a) == 1.0
 
 
+def test_query_gives_the_common_prefix_with_the_edited_text(spark, documents):
+    texts = {r.doc_id: r.text or "" for r in documents.collect()}
+    ids, rows = sorted(texts), {r.doc_id: r for r in fingerprints.fingerprinted(documents).collect()}
+    for i, j in zip(ids, ids[1:] + ids[:1]):
+        t, k = texts[i], len(texts[i]) // 4
+        assert rows[i].same_prefix == len(os.path.commonprefix([t, t[:len(t) - k] + texts[j][:k]]))
+
+
 def test_spans_and_extensions():
     rng = random.Random(1)
     text = "".join(rng.choice("abé\U0001f600") for _ in range(300)) * 2
