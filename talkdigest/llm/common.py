@@ -17,10 +17,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Paths of tables written and frames kept, in order.
+_written: list[str] = []
+_kept: list[DataFrame] = []
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; a local one only where the session names none."""
+    """The folder that all executors share. Where the session names none, a local one is made if driver and executors are one
+    process (tests); on a cluster that is an error."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = f"file://{tempfile.mkdtemp(prefix='talkdigest-')}"
         spark.sparkContext.setCheckpointDir(folder)
     return folder.rstrip("/")
@@ -35,12 +43,33 @@ def written(df: DataFrame, name: str, light: bool = False) -> DataFrame:
     if light:
         df = df.coalesce(max(4, int(spark.conf.get("spark.sql.shuffle.partitions")) // 16))
     df.write.parquet(path)
+    _written.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
 def kept(df: DataFrame) -> DataFrame:
     """df, kept on the executors' disks once it has been computed, for use by several jobs; what is lost with an executor is computed again."""
-    return df.persist(StorageLevel.DISK_ONLY)
+    _kept.append(df.persist(StorageLevel.DISK_ONLY))
+    return _kept[-1]
+
+
+def mark() -> tuple[int, int]:
+    """Where release() shall begin."""
+    return len(_written), len(_kept)
+
+
+def release(spark: SparkSession, since: tuple[int, int], spare: int = 0) -> None:
+    """Drop what was kept and delete what was written since a mark(), but for the last `spare` tables.
+
+    For callers that have consumed, or written, all that the operators gave them since then."""
+    hadoop, conf = spark.sparkContext._jvm.org.apache.hadoop.fs, spark.sparkContext._jsc.hadoopConfiguration()
+    for path in (gone := _written[since[0]:len(_written) - spare]):
+        where = hadoop.Path(path)
+        where.getFileSystem(conf).delete(where, True)
+    del _written[since[0]:since[0] + len(gone)]
+    for frame in _kept[since[1]:]:
+        frame.unpersist()
+    del _kept[since[1]:]
 
 
 def word_count(text):
