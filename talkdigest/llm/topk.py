@@ -1,13 +1,13 @@
 """Exact top-k search by inner product over tiles of queries and shards.
 
 Vectors are packed into dense tiles; every tile of queries meets every shard of candidates in one matrix
-product, which keeps only the k best of each tile; per-query lists are merged in a tree (within groups of
-shards first, then across groups).
+product, which keeps only the k best of each tile; per-query lists are merged in a tree of FAN_IN shards a node.
 
 Defined results: a vector that is null, or holds a null or non-finite component, takes no part; vectors of
 another length than the tile's have no common inner product and meet only vectors of their own length; ties
-go to the smaller id; repeated rows are separate candidates, all rows with the query's own id are left out;
-an empty table gives an empty result; further columns are ignored.
+go to the smaller id; repeated rows are separate candidates, all rows with the query's own id are left out; of
+several query rows with one id, the one with the least vector is the query; an empty table gives an empty result; further
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,6 +33,21 @@ def quantised(vectors: DataFrame, scale: int = 64) -> DataFrame:
         F.col("vec_id").cast("long").alias("vec_id"), F.transform(x, lambda c: F.floor(c.cast("double") * scale).cast("long")).alias("grid"))
 
 
+KINDS = (np.int16, np.int32, np.int64)
+
+
+def narrowed(grid: np.ndarray) -> np.ndarray:
+    """In the narrowest of KINDS that holds all values."""
+    low, high = int(grid.min(initial=0)), int(grid.max(initial=0))
+    return grid.astype(next(k for k in KINDS if np.iinfo(k).min <= low and high <= np.iinfo(k).max))
+
+
+def widened(data: bytes, rows: int, dim: int) -> np.ndarray:
+    """What narrowed() wrote; the kind follows from the number of bytes."""
+    kind = {np.dtype(k).itemsize: k for k in KINDS}[len(data) // max(1, rows * dim) or 8]
+    return np.frombuffer(data, kind).reshape(rows, dim).astype(np.int64)
+
+
 def _packer(most: int):
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[tuple[int, int], list] = {}
@@ -41,7 +56,7 @@ def _packer(most: int):
             return pa.RecordBatch.from_pydict({
                 "tile_shard": pa.array([key[0]], pa.int64()), "dim": pa.array([key[1]], pa.int32()),
                 "ids": pa.array([np.concatenate([r[0] for r in rows]).tobytes()], pa.binary()),
-                "grid": pa.array([np.concatenate([r[1] for r in rows]).tobytes()], pa.binary())})
+                "grid": pa.array([narrowed(np.concatenate([r[1] for r in rows])).tobytes()], pa.binary())})
 
         for batch in batches:
             ids, shards = (batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("vec_id", "tile_shard"))
@@ -88,8 +103,7 @@ def _matcher(k: int):
         for batch in batches:
             for row in batch.to_pylist():
                 q_ids, c_ids = np.frombuffer(row["q_ids"], np.int64), np.frombuffer(row["ids"], np.int64)
-                q = np.frombuffer(row["q_grid"], np.int64).reshape(len(q_ids), row["dim"])
-                c = np.frombuffer(row["grid"], np.int64).reshape(len(c_ids), row["dim"])
+                q, c = widened(row["q_grid"], len(q_ids), row["dim"]), widened(row["grid"], len(c_ids), row["dim"])
                 a, b, s = best_of_tile(q_ids, q, c_ids, c, k)
                 yield pa.RecordBatch.from_pydict({"query_id": a, "vec_id": b, "score": s, "tile_shard": np.full(len(a), row["tile_shard"])})
 
@@ -101,6 +115,7 @@ def top_k(queries: DataFrame, candidates: DataFrame, k: int = 20, rows_per_shard
     shards = max(1, -(-candidates.count() // rows_per_shard))
     tiles = candidates.select("vec_id", "grid", F.pmod(F.xxhash64("vec_id", "grid"), F.lit(shards)).cast("long").alias("tile_shard")) \
         .repartition("tile_shard").mapInArrow(_packer(TILE_ROWS), TILE)
+    queries = queries.groupBy("vec_id").agg(F.min("grid").alias("grid"))
     asked = queries.select("vec_id", "grid", F.lit(0).cast("long").alias("tile_shard")).mapInArrow(_packer(QUERY_ROWS), TILE)
     asked = asked.select("dim", F.col("ids").alias("q_ids"), F.col("grid").alias("q_grid"),
                          F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("tile_shard"))
@@ -111,5 +126,8 @@ def top_k(queries: DataFrame, candidates: DataFrame, k: int = 20, rows_per_shard
         best = Window.partitionBy(*keys).orderBy(F.desc("score"), "vec_id")
         return df.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
 
-    groups = lists.withColumn("branch", F.floor(F.col("tile_shard") / FAN_IN))
-    return merged(merged(groups, "query_id", "branch").drop("rank"), "query_id").select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    nodes = shards
+    while nodes > FAN_IN:
+        nodes = -(-nodes // FAN_IN)
+        lists = merged(lists.withColumn("tile_shard", F.expr(f"tile_shard div {FAN_IN}")), "query_id", "tile_shard").drop("rank")
+    return merged(lists, "query_id").select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
