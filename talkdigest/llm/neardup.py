@@ -5,19 +5,23 @@ place DEPTH * t on, so sets that are alike stand next to each other in some orde
 is a run of equal prefixes of DEPTH minima; inside it, the order of the deeper minima puts the longest common prefixes
 side by side, so that the depth adapts to how dense a region is.
 
-Equal sets are one class first. Candidates come in two passes over the forest, so that a dense region costs no squares:
-first each set meets the one before it in the order and the region's head; once those are confirmed and joined, regions
-that still hold several components are cut into blocks, in which each set meets the NEAR sets on either side, if
-their sketches (a byte of each minimum) make 0.8 plausible. Candidates are confirmed by the exact Jaccard of their whole sets (64-bit hashes of shingles). Components come from alternating
-large-star and small-star steps over written tables.
-
-A link between components that no other link joins is missed with probability (1 - 0.8^4)^TREES, 3e-6, at similarity
-0.8, if its regions hold up to NEAR sets; more alike pairs far more rarely. In a larger region a set is compared with its
-nearest NEAR ones in each order. Regions of more than HEAVY rows are dealt out block by block, with the same pairs.
+Equal sets are one class first. Candidates come in two passes over the forest, so that a dense region costs no squares.
+First each set meets the one before it in the order and the region's head; confirmed links are joined to components. Then
+only regions that still hold several components matter: in one of up to SMALL sets all pairs are compared, by one matrix
+product. The sets of larger ones, of all trees together, go through an exact set join: items are ordered from rare to
+common, and two sets at the wanted similarity share one of the first items of both (of each set's n items, the first
+n - ceil(0.8 n) + 1). Sets that share such an item are a group; a group of more than TILE sets is compared tile by tile. No
+pair of a region is left out, whatever its size. Candidates are confirmed by the exact Jaccard of their whole sets (64-bit
+hashes of shingles). Components come from alternating large-star and small-star steps over written tables.
+
+A link between components that no other link joins is missed only if its sets share no region in any tree: with probability
+(1 - 0.8^4)^TREES, 3e-6, at similarity 0.8, and far more rarely if they are more alike. Regions of more than HEAVY rows are
+dealt to several tasks in the first pass, where chains then break; the second pass compares all the same.
 
 Defined results: null, empty or word-less text: no shingles, a class of its own, kept; texts with fewer words than a
 shingle: the whole sequence as one; equal sets are linked; repeated rows with one doc_id share class and decision; a
-null doc_id takes no part in links, has no component and is kept; empty table: no rows.
+null doc_id takes no part in links, has no component and is kept; empty table: no rows; further columns, of whatever name,
+are ignored by clustered() and kept by deduplicated().
 """
 
 from __future__ import annotations
@@ -33,9 +37,11 @@ from pyspark.sql import functions as F
 from .common import kept, small_or_plain, written
 
 TREES, DEPTH, DEEPER = 24, 4, 8
-NEAR = 64
-LEAST = 59  # of TREES * DEPTH sketch places; at a similarity of 0.8 fewer agree once in 10^5
-HEAVY = 50_000  # rows of a region from which on it is dealt out block by block
+SMALL = 128  # sets of a region up to which all its pairs are compared at once
+TILE = 256  # sets of a tile of a larger group
+COMMON = 16  # sets from which on an item's count decides its place in the order
+HEAVY = 50_000  # rows of a region from which on several tasks chain it
+MOST = 1_000_000  # rows up to which a side is broadcast
 BLOCK = 2048
 MULTIPLIERS = np.array([xxhash.xxh3_64_intdigest(b"minimum %d" % i) | 1 for i in range(TREES * DEPTH)], np.uint64)
 MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)]
@@ -77,26 +83,21 @@ def _signer(words: int):
     return sign
 
 
-def _brancher(sketch: bool):
-    """A row for each set and tree: region (hash of tree and first DEPTH minima), the start of the minima after, and if asked
-    for a byte of each minimum."""
-    def branch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                part = batch.slice(at, 1024)
-                ids = part.column(0).to_numpy()
-                minima = np.frombuffer(b"".join(part.column(1).to_pylist()), ">u4").astype(np.uint64).reshape(len(ids), -1)
-                low = [part.column(2), pa.array([x.tobytes() for x in minima.astype(np.uint8)], pa.binary())] if sketch else []
-                for tree in range(TREES):
-                    order = np.roll(minima, -DEPTH * tree, axis=1)
-                    region = np.full(len(ids), (tree + 1) * int(MIX[2]) % 2 ** 64, np.uint64)
-                    for i in range(DEPTH):
-                        region = (region ^ order[:, i]) * MIX[0]
-                        region ^= region >> np.uint64(29)
-                    deeper = ((order[:, DEPTH:DEPTH + DEEPER] * MIX[1]) >> np.uint64(56)).astype(np.uint8)
-                    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(region.view(np.int64)), pa.array([x.tobytes() for x in deeper], pa.binary()), *low], names=["id", "region", "deeper", *(["component", "sketch"] if sketch else [])])
-
-    return branch
+def _brancher(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row for each set and tree: id, region (hash of tree and first DEPTH minima), the start of the minima after."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, 1024):
+            part = batch.slice(at, 1024)
+            ids = part.column(0).to_numpy()
+            minima = np.frombuffer(b"".join(part.column(1).to_pylist()), ">u4").astype(np.uint64).reshape(len(ids), -1)
+            for tree in range(TREES):
+                order = np.roll(minima, -DEPTH * tree, axis=1)
+                region = np.full(len(ids), (tree + 1) * int(MIX[2]) % 2 ** 64, np.uint64)
+                for i in range(DEPTH):
+                    region = (region ^ order[:, i]) * MIX[0]
+                    region ^= region >> np.uint64(29)
+                deeper = ((order[:, DEPTH:DEPTH + DEEPER] * MIX[1]) >> np.uint64(56)).astype(np.uint8)
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(region.view(np.int64)), pa.array([x.tobytes() for x in deeper], pa.binary())], names=["id", "region", "deeper"])
 
 
 def _shared(regions: np.ndarray) -> np.ndarray:
@@ -132,64 +133,16 @@ def _chained(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield _pairs(a, b)
 
 
-def plausible(owners: np.ndarray, sketches: np.ndarray) -> np.ndarray:
-    """Which rows have one of another owner whose sketch agrees at LEAST places or more."""
-    agree = (sketches[:, None, :] == sketches[None, :, :]).sum(axis=2)
-    return ((agree >= LEAST) & (owners[:, None] != owners[None, :])).any(axis=1)
-
-
-def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The same rows with components and sketches, cut into blocks of 2 * NEAR rows of a region, each half shared with the
-    next one. Rows without a plausible partner of another component in their block are left out."""
-    last, held, fresh, number = None, [], 0, 0
-    keys, names, components_ = [], [], []
-
-    def close():
-        nonlocal held, fresh, number
-        owners = np.array([c for _, c, _ in held], np.int64)
-        if fresh and (owners != owners[0]).any():
-            keep = plausible(owners, np.frombuffer(b"".join(x for _, _, x in held), np.uint8).reshape(len(held), -1))
-            key = xxhash.xxh3_64_intdigest(b"%d:%d" % (last, number)) - (1 << 63)
-            for i in np.flatnonzero(keep):
-                keys.append(key)
-                names.append(held[i][0])
-                components_.append(held[i][1])
-        held, fresh, number = held[-NEAR:], 0, number + 1
-
-    def out():
-        batch = pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(names, pa.int64()), pa.array(components_, pa.int64())], names=["block", "id", "component"])
-        for x in (keys, names, components_):
-            x.clear()
-        return batch
-
-    for batch in batches:
-        regions, ids, joined, sketches = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy(), batch.column(3)
-        for i in _shared(regions) if len(regions) else ():
-            if regions[i] != last:
-                if last is not None:
-                    close()
-                last, held, fresh, number = int(regions[i]), [], 0, 0
-            held.append((int(ids[i]), int(joined[i]), sketches[int(i)].as_py()))
-            fresh += 1
-            if len(held) >= 2 * NEAR:
-                close()
-        if keys:
-            yield out()
-    if last is not None:
-        close()
-    if keys:
-        yield out()
-
-
-def shared_items(sets: list[np.ndarray], columns: int = 1 << 16) -> np.ndarray:
+def shared_items(sets: list[np.ndarray], cells: int = 1 << 23) -> np.ndarray:
     """Sizes of all pairwise intersections, by matrix products over the items that two sets or more hold."""
+    columns = max(1, cells // len(sets))
     n, rows = len(sets), np.repeat(np.arange(len(sets)), [len(x) for x in sets])
     _, place, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     number = np.cumsum(counts > 1) - 1
     some = counts[place] > 1
     rows, place = rows[some], number[place[some]]
     out = np.zeros((n, n), np.float32)
-    for at in range(0, int(number[-1]) + 1, columns):
+    for at in range(0, int(number[-1]) + 1 if len(number) else 0, columns):
         inside = (place >= at) & (place < at + columns)
         grid = np.zeros((n, min(columns, int(number[-1]) + 1 - at)), np.float32)
         grid[rows[inside], place[inside] - at] = 1
@@ -217,7 +170,7 @@ def _joining(percent: int):
                 yield min(ids[i], ids[j]), max(ids[i], ids[j])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Rows come sorted by block; a block has 2 * NEAR rows at most (more only where an id has several sets)."""
+        """Rows come sorted by block; a block has about 2 * TILE rows at most (more only where an id has several sets)."""
         last, ids, owners, sets = None, [], [], []
         for batch in batches:
             found = []
@@ -238,62 +191,71 @@ def _joining(percent: int):
     return run
 
 
-def forest(sets: DataFrame, sketch: bool = False) -> DataFrame:
-    """(id, region, deeper) of (id, signature), TREES rows a set; with sketch also (component, sketch) of (id, signature, component)."""
-    more = ", component long, sketch binary" if sketch else ""
-    return sets.select("id", "signature", *["component"] * sketch).mapInArrow(_brancher(sketch), f"id long, region long, deeper binary{more}")
-
+def forest(sets: DataFrame) -> DataFrame:
+    """(id, region, deeper) of (id, signature), TREES rows a set."""
+    return sets.select("id", "signature").mapInArrow(_brancher, "id long, region long, deeper binary")
 
-def heavy_regions(rows: DataFrame) -> DataFrame | None:
-    """(region, heavy) of regions of more than HEAVY forest rows, None if there is none."""
-    heavy = kept(rows.groupBy("region").count().where(F.col("count") > HEAVY).select("region", F.lit(True).alias("heavy")))
-    return heavy if heavy.limit(1).count() else None
 
+def candidates(sets: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Distinct (a, b), a < b, of (id, signature): chains and heads of regions; and (id) of all sets that share a region with another.
 
-def in_blocks(rows: DataFrame, heavy: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Rows of heavy regions, each as a row of its blocks: block k of a region has the rows from NEAR * k to NEAR * (k + 2) - 1 in
-    the order of (deeper, id), and is a region of its own from here on; and the pairs (a, b) of members
-    with the head of their region.
+    A region is in one task, one of more than HEAVY rows in several, where it is chained in parts."""
+    rows = forest(sets)
+    heavy = kept(rows.groupBy("region").count().where(F.col("count") > HEAVY).select("region", F.ceil(F.col("count") / HEAVY).alias("parts")))
+    some = heavy.limit(1).count() > 0
+    dealt = rows
+    if some:
+        dealt = rows.join(F.broadcast(heavy), "region", "left")  # of a share 1 / HEAVY of the rows at most
+        dealt = dealt.withColumn("region", F.when(F.col("parts").isNull(), F.col("region")).otherwise(F.xxhash64("region", F.pmod(F.xxhash64("id"), F.col("parts")))))
+    dealt = dealt.repartition("region").sortWithinPartitions("region", "deeper", "id")
+    pairs = kept(dealt.select("region", "id").mapInArrow(_chained, "a long, b long").distinct())
+    ends = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id")))
+    if some:
+        ends = ends.unionByName(rows.join(F.broadcast(heavy.select("region")), "region", "left_semi").select("id"))
+    return pairs, kept(ends.distinct())
 
-    Ranges of the order go to tasks; a row's place in its region is its place in the range and the region's rows in ranges before."""
-    part = rows.join(F.broadcast(heavy.select("region")), "region").repartitionByRange("region", "deeper", "id").withColumn("part", F.spark_partition_id())
-    part = written(part, "heavy")
-    before = part.groupBy("region", "part").count().withColumn("before", F.coalesce(F.sum("count").over(Window.partitionBy("region").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("count")
-    inside = part.withColumn("place", F.row_number().over(Window.partitionBy("part", "region").orderBy("deeper", "id")) - 1)
-    placed = inside.join(F.broadcast(before), ["region", "part"]).withColumn("place", F.col("place") + F.col("before")).drop("part", "before")
-    block = F.floor(F.col("place") / NEAR)
-    blocks = placed.withColumn("block", F.explode(F.when(block > 0, F.array(block - 1, block)).otherwise(F.array(block)))).withColumn("region", F.xxhash64("region", "block"))
-    heads = part.groupBy("region").agg(F.min(F.struct("deeper", "id"))["id"].alias("head"))
-    starts = part.join(F.broadcast(heads), "region").where("id <> head").select(F.least("id", "head").alias("a"), F.greatest("id", "head").alias("b"))
-    return blocks.select(*rows.columns), starts
 
-
-def dealt(rows: DataFrame) -> DataFrame:
-    """Forest rows sorted by region, deeper minima, id, each region in one task."""
-    return rows.repartition("region").sortWithinPartitions("region", "deeper", "id")
-
-
-def divided(rows: DataFrame, heavy: DataFrame | None) -> tuple[DataFrame, DataFrame | None]:
-    """dealt() rows, in which blocks stand for heavy regions, and the pairs (a, b) of the members of these with their heads."""
-    if heavy is None:
-        return dealt(rows), None
-    blocks, heads = in_blocks(rows, heavy)
-    return dealt(rows.join(F.broadcast(heavy.select("region")), "region", "left_anti").unionByName(blocks)), heads
-
-
-def candidates(sets: DataFrame, heavy: DataFrame | None) -> DataFrame:
-    """Distinct (a, b), a < b, of (id, signature): chains and heads of regions."""
-    rows, heads = divided(forest(sets), heavy)
-    pairs = rows.select("region", "id").mapInArrow(_chained, "a long, b long")
-    return (pairs if heads is None else pairs.unionByName(heads)).distinct()
-
-
-def crossing(sets: DataFrame, heavy: DataFrame | None, joined: DataFrame, items: DataFrame, percent: int) -> DataFrame:
-    """(a, b): confirmed links between components (id, component), from blocks of neighbours; sets: (id, signature), items: (id, items).
+def _exploded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(id, component, own, n, item) of (id, component, items), an item a row; own: a number of the set, as an id may have several."""
+    for batch in batches:
+        for id_, component, items in zip(*batch.columns):
+            item, own = np.frombuffer(items.as_py(), np.uint64).view(np.int64), xxhash.xxh3_64_intdigest(items.as_py()) - (1 << 63)
+            for at in range(0, len(item), 1 << 16):
+                part = item[at:at + (1 << 16)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), id_.as_py(), np.int64)), pa.array(np.full(len(part), component.as_py(), np.int64)), pa.array(np.full(len(part), own, np.int64)), pa.array(np.full(len(part), len(item), np.int64)), pa.array(part)], names=["id", "component", "own", "n", "item"])
+
+
+def sharing(members: DataFrame, items: DataFrame, percent: int) -> DataFrame:
+    """(block, id, component): blocks in which all pairs of members (id, component) of different components meet that can have a
+    Jaccard of percent / 100; an exact set join by first items."""
+    rows = members.join(items, "id").select("id", "component", "items").mapInArrow(_exploded, "id long, component long, own long, n long, item long")
+    common = written(rows.groupBy("item").count().where(F.col("count") > COMMON).select("item", F.col("count").alias("holders")), "common", True)
+    order = Window.partitionBy("id", "own").orderBy(F.coalesce("holders", F.lit(0)), "item")
+    rows = rows.join(small_or_plain(common, MOST), "item", "left").withColumn("place", F.row_number().over(order))
+    first = written(rows.where(F.col("place") <= F.col("n") - F.ceil(F.col("n") * percent / 100) + 1).select("id", "component", "item").distinct(), "first-items", True)
+    groups = first.groupBy("item").agg(F.count("*").alias("size"), F.min("component").alias("low"), F.max("component").alias("high")).where("size > 1 and low < high")
+    groups = written(groups.select("item", F.ceil(F.col("size") / TILE).alias("tiles")), "groups", True)
+    own = F.pmod(F.xxhash64("id"), F.col("tiles"))
+    pair = F.transform(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1), lambda t: F.least(t, own) * F.col("tiles") + F.greatest(t, own))
+    rows = first.join(small_or_plain(groups, MOST), "item").select("item", "id", "component", F.explode(pair).alias("pair"))
+    return rows.select(F.xxhash64("item", "pair").alias("block"), "id", "component")
+
+
+def crossing(sets: DataFrame, joined: DataFrame, items: DataFrame, percent: int) -> DataFrame:
+    """(a, b): confirmed links between components (id, component), from all pairs of each region; sets: (id, signature), items: (id, items).
 
     A set's items go to each of its blocks once, and pairs are formed inside a block only."""
-    rows = forest(sets.join(joined, "id", "left").withColumn("component", F.coalesce("component", "id")), True)
-    blocks = divided(rows, heavy)[0].select("region", "id", "component", "sketch").mapInArrow(_blocks, "block long, id long, component long").join(items, "id")
+    rows = written(forest(sets).select("region", "id").join(joined, "id", "left").select("region", "id", F.coalesce("component", "id").alias("component")), "forest", True)
+    mixed = rows.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("low"), F.max("component").alias("high"), F.bit_xor(F.xxhash64("id")).alias("members"))
+    mixed = written(mixed.where("low < high").select("region", "size", "members"), "mixed", True)
+    inside = rows.join(small_or_plain(mixed, MOST), "region")
+    # regions of the same sets in several trees are one block
+    blocks = inside.where(F.col("size") <= SMALL).select(F.xxhash64("members", "size").alias("block"), "id", "component")
+    large = inside.where(F.col("size") > SMALL)
+    if large.limit(1).count():
+        members = written(large.select("id", "component").distinct(), "dense", True)
+        blocks = blocks.unionByName(sharing(members, items, percent))
+    blocks = blocks.distinct().join(items, "id")
     return blocks.repartition("block").sortWithinPartitions("block", "id").select("block", "id", "component", "items").mapInArrow(_joining(percent), "a long, b long")
 
 
@@ -362,22 +324,22 @@ def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFr
     signed = kept(texts.mapInArrow(_signer(words), "doc_id long, n_shingles long, set_key binary, signature binary"))
     usable = signed.where("set_key is not null and doc_id is not null")
     # equal sets have equal signatures; a doc_id that stands for two sets (repeated ids) gets both, and its links join
-    sets = kept(usable.groupBy("set_key").agg(F.min("doc_id").alias("id"), F.first("signature").alias("signature")))
-    heavy = heavy_regions(forest(sets))
-    pairs = kept(candidates(sets, heavy))
-    ends = kept(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
-    few = small_or_plain(ends, 1_000_000)
+    sets = kept(usable.groupBy("set_key").agg(F.min("doc_id").alias("id"), F.first("signature").alias("signature"), F.count("*").alias("copies")))
+    pairs, ends = candidates(sets)
+    few = small_or_plain(ends, MOST)
     # dealt by id once: the joins with it need no further shuffle of whole sets
     parts = int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    items = kept(texts.join(few, "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary").repartition(parts, "id"))
+    items = kept(texts.join(few.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary").repartition(parts, "id"))
     star = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
     links = written(confirmed(star, items, percent).distinct(), "links", True)
     links = links.unionByName(written(confirmed(between(pairs, components(links)), items, percent).distinct(), "links", True))
-    # a region of two sets or more gave each of its sets a pair, so `items` holds all that can cross
-    mixed = sets.join(few.withColumnRenamed("doc_id", "id"), "id", "left_semi")
-    found = components(links.unionByName(crossing(mixed, heavy, components(links), items, percent)))
-    known = sets.join(found, "id", "left").select("set_key", F.coalesce("component", "id").alias("class_component"))
-    out = signed.join(known, "set_key", "left").select("doc_id", "n_shingles", F.coalesce("class_component", "doc_id").alias("component_id"))
+    mixed = sets.join(few, "id", "left_semi")
+    found = components(links.unionByName(crossing(mixed, components(links), items, percent)))
+    # documents whose set nobody else has, and that no link reaches, need no row here
+    known = sets.join(found, "id", "left").select("set_key", F.coalesce("component", "id").alias("class_component"), "id", "copies").where("copies > 1 or class_component <> id")
+    known = small_or_plain(written(known.select("set_key", "class_component"), "classes", True), MOST)
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("class_component", "doc_id"))
+    out = signed.join(known, "set_key", "left").select("doc_id", "n_shingles", component.alias("component_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
 
