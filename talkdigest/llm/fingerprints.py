@@ -2,36 +2,36 @@
 
 For a text c_0 .. c_n-1 of code points the prefix array holds S_i = sum of (c_j + 1) * B^j below i, modulo a prime.
 The hash of any span is (S_b - S_a) * B^-a, so spans are compared in constant time and the longest common extension
-of two positions is found by binary search. A fingerprint is the hash of the whole text under two primes, its length,
-and the KEPT least mixed hashes of all its spans of WIDE and of NARROW code points, the latter for short texts.
-The likeness of two fingerprints estimates the share of spans that they have in common (Dice), 0 to 1.
+of two positions, to either side, is found by binary search. A fingerprint is the hash of the whole text under two
+primes, its length, and the KEPT least hashes of its spans of WIDTH code points, for those who keep no texts.
 
-The next document is found without a global sort: doc_ids are cut into at most CHUNKS ranges; each range is sorted in
-a task and streamed, and a copy of the first document of the next range ends it. Only the first ids of the ranges,
-at most CHUNKS numbers, pass through the driver.
+The likeness of two fingerprints is computed from the prefix arrays behind them: the share of the code points of both
+texts that lie in a span of WIDTH or more that the other text holds too, or in the longest common prefix or suffix. It
+is exact but for collisions under two primes, at any length of text; resemblance() estimates from the strings alone.
+
+The next document is found without a global sort: doc_ids are cut into ranges at quantiles, an id or a null that many rows
+have also by the hash of the text; each range is sorted in a task and streamed, and a copy of the first document of the next
+range ends it. Only the cuts and the firsts of the ranges, at most CHUNKS numbers each, pass through the driver.
 
 Defined results: null text is empty; the only document is its own next one; repeated or null doc_ids are ordered by
-text (nulls before all others); equal texts have equal fingerprints; two empty texts are alike (1), an empty and
-another one aren't (0); empty table: no rows.
+a hash of the text (nulls before all others); equal texts have equal fingerprints; two empty texts are alike (1), an empty
+and another one aren't (0); any ids, of the whole long range, will do; empty table: no rows; further columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
-import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import BinaryType
 
 PRIMES = (2147483647, 2147483629)
 BASES = (1000003, 998244353)
-WIDE, NARROW, KEPT = 16, 4, 48
-SHORT = 64  # texts below this many code points are compared by their NARROW spans
-CHUNKS = 4096
+WIDTH, KEPT = 24, 32
+CHUNKS = 1 << 15
 ROWS_A_CHUNK = 512
 
 
@@ -59,7 +59,7 @@ def points(text: str) -> np.ndarray:
 class Prefixes:
     def __init__(self, code: np.ndarray):
         self.n, values = len(code), code.astype(np.uint64) + np.uint64(1)
-        self.sums = []
+        self.sums, self._sorted = [], None
         for powers in POWERS:
             powers.grow(self.n + 1)
             prime = np.uint64(powers.prime)
@@ -70,11 +70,20 @@ class Prefixes:
     def span(self, a: int, b: int) -> tuple[int, ...]:
         return tuple(int((int(s[b]) - int(s[a])) % p.prime * int(p.down[a]) % p.prime) for s, p in zip(self.sums, POWERS))
 
-    def spans(self, width: int) -> np.ndarray:
-        """Hashes of all spans of a width, under the first prime."""
-        s, p = self.sums[0], POWERS[0]
-        prime = np.uint64(p.prime)
-        return (s[width:] + (prime - s[:-width])) % prime * p.down[:self.n - width + 1] % prime
+    def spans(self, start: int = 0, end: int | None = None, width: int = WIDTH) -> np.ndarray:
+        """Hashes of all spans of a width from start on, before end: both primes in one number."""
+        end = self.n if end is None else end
+        if end - start < width:
+            return np.empty(0, np.uint64)
+        one, two = ((s[start + width:end + 1] + (prime - s[start:end + 1 - width])) % prime * p.down[start:end + 1 - width] % prime
+                    for s, p in zip(self.sums, POWERS) for prime in (np.uint64(p.prime),))
+        return one << np.uint64(32) | two
+
+    def sorted(self) -> np.ndarray:
+        """Hashes of all spans of WIDTH, ascending."""
+        if self._sorted is None:
+            self._sorted = np.sort(self.spans())
+        return self._sorted
 
 
 def common_extension(a: Prefixes, i: int, b: Prefixes, j: int) -> int:
@@ -89,51 +98,61 @@ def common_extension(a: Prefixes, i: int, b: Prefixes, j: int) -> int:
     return low
 
 
-def _least(prefixes: Prefixes, width: int) -> np.ndarray:
-    if prefixes.n < width:
-        return np.empty(0, np.uint32)
-    x = prefixes.spans(width) * np.uint64(0x9E3779B97F4A7C15)
-    x = ((x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(32)).astype(np.uint32)
-    if len(x) > 16 * KEPT:  # the least hashes lie below a bound that few exceed
-        few = x[x < np.uint32(min(2 ** 32 - 1, int(2 ** 32 * 8 * KEPT / len(x))))]
-        few = np.unique(few)
-        if len(few) >= KEPT:
-            return few[:KEPT]
-    return np.unique(x)[:KEPT]
-
-
-def fingerprint(code: np.ndarray) -> tuple[int, tuple[int, ...], np.ndarray, np.ndarray]:
-    return printed(Prefixes(code))
-
-
-def printed(prefixes: Prefixes) -> tuple[int, tuple[int, ...], np.ndarray, np.ndarray]:
-    return prefixes.n, prefixes.span(0, prefixes.n), _least(prefixes, WIDE), _least(prefixes, NARROW)
+def common_extension_back(a: Prefixes, i: int, b: Prefixes, j: int) -> int:
+    """Length of the longest common suffix of a's text before i and b's text before j."""
+    low, high = 0, min(i, j)
+    while low < high:
+        middle = (low + high + 1) // 2
+        if a.span(i - middle, i) == b.span(j - middle, j):
+            low = middle
+        else:
+            high = middle - 1
+    return low
 
 
-def shown(print_) -> str:
-    n, whole, wide, narrow = print_
-    return f"{n:x}.{whole[0]:08x}{whole[1]:08x}.{wide.astype('>u4').tobytes().hex()}.{narrow.astype('>u4').tobytes().hex()}"
+def covered(a: Prefixes, b: Prefixes, prefix: int, suffix: int) -> int:
+    """How many code points of a lie in a span of WIDTH or more that b holds too, or in the common prefix or suffix."""
+    start, end = max(0, prefix - WIDTH + 1), min(a.n, a.n - suffix + WIDTH - 1)  # spans that reach between the two
+    mine, there = a.spans(start, end), b.sorted()
+    if not len(mine) or not len(there):
+        return min(a.n, prefix + suffix)
+    at = np.minimum(np.searchsorted(there, mine), len(there) - 1)
+    inside = np.zeros(a.n + 1, np.int32)
+    inside[0] += 1
+    inside[prefix] -= 1
+    inside[a.n - suffix] += 1
+    hits = start + np.flatnonzero(there[at] == mine)
+    inside[hits] += 1
+    inside[hits + WIDTH] -= 1
+    return int((np.cumsum(inside[:-1]) > 0).sum())
+
+
+def likeness(a: Prefixes, b: Prefixes) -> float:
+    if a.n == b.n and a.span(0, a.n) == b.span(0, b.n):
+        return 1.0
+    if not a.n or not b.n:
+        return 0.0
+    prefix = common_extension(a, 0, b, 0)
+    suffix = common_extension_back(a, a.n, b, b.n)
+    return (covered(a, b, prefix, suffix) + covered(b, a, prefix, suffix)) / (a.n + b.n)
 
 
-def read(text: str):
-    n, whole, wide, narrow = text.split(".")
-    return int(n, 16), (int(whole[:8], 16), int(whole[8:], 16)), *(np.frombuffer(bytes.fromhex(x), ">u4").astype(np.uint32) for x in (wide, narrow))
+def shown(prefixes: Prefixes) -> str:
+    """The fingerprint as a string."""
+    whole, least = prefixes.span(0, prefixes.n), prefixes.sorted()
+    some = np.unique(least[:8 * KEPT])[:KEPT]
+    if len(some) < KEPT:
+        some = np.unique(least)[:KEPT]
+    return f"{prefixes.n:x}.{whole[0]:08x}{whole[1]:08x}.{some.astype('>u8').tobytes().hex()}"
 
 
-def likeness(a, b) -> float:
-    """Of two fingerprints (as fingerprint() gives or read() reads them)."""
-    if a[:2] == b[:2]:
+def resemblance(a: str, b: str) -> float:
+    """Of two strings of shown(): 1 if equal, else an estimate of the Jaccard of their spans of WIDTH from the least hashes."""
+    if a == b:
         return 1.0
-    k = 3 if min(a[0], b[0]) < SHORT else 2
-    x, y = a[k], b[k]
-    if not len(x) or not len(y):
-        return 0.0
-    both = np.union1d(x, y)[:KEPT]
-    if len(x) < KEPT and len(y) < KEPT:
-        both = np.union1d(x, y)  # whole sets
-    shared = np.intersect1d(x, y, assume_unique=True)
-    j = np.isin(both, shared, assume_unique=True).sum() / len(both)
-    return float(2 * j / (1 + j))
+    x, y = (np.frombuffer(bytes.fromhex(s.rpartition(".")[2]), ">u8").astype(np.uint64) for s in (a, b))
+    both = np.union1d(x, y)[:KEPT] if max(len(x), len(y)) >= KEPT else np.union1d(x, y)
+    return float(np.isin(both, np.intersect1d(x, y)).mean()) if len(both) else 0.0
 
 
 def edited(code: np.ndarray, following: np.ndarray) -> np.ndarray:
@@ -142,6 +161,9 @@ def edited(code: np.ndarray, following: np.ndarray) -> np.ndarray:
     return np.concatenate([code[:len(code) - k], following[:k]])
 
 
+OUT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, same_prefix long"
+
+
 def _stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows are sorted by chunk, then order; `ends` marks the copy that only ends a chunk."""
     held = None
@@ -151,18 +173,16 @@ def _stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cols = list(zip(*out))
         out.clear()
         kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64(), pa.int64())
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "same_prefix"])
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=[c.split()[0] for c in OUT.split(", ")])
 
     for batch in batches:
-        for chunk, ends, doc_id, packed in zip(*(batch.column(batch.schema.get_field_index(c)) for c in ("chunk", "ends", "doc_id", "packed"))):
-            code = points(zlib.decompress(packed.as_py()).decode())
-            prefixes = Prefixes(code)
-            mine = (chunk.as_py(), doc_id.as_py(), code, printed(prefixes), prefixes)
+        for chunk, ends, doc_id, text in zip(*(batch.column(batch.schema.get_field_index(c)) for c in ("chunk", "ends", "doc_id", "text"))):
+            code = points(text.as_py())
+            mine = (chunk.as_py(), doc_id.as_py(), code, Prefixes(code))
             if held is not None and held[0] == mine[0]:
                 changed = edited(held[2], code)
                 after = Prefixes(changed)
-                new = printed(after)
-                out.append((held[1], len(held[2]), hashlib.sha256(changed.tobytes().decode("utf-32-le").encode()).hexdigest(), shown(held[3]), shown(new), likeness(held[3], new), likeness(held[3], mine[3]), common_extension(held[4], 0, after, 0)))
+                out.append((held[1], len(held[2]), hashlib.sha256(changed.tobytes().decode("utf-32-le").encode()).hexdigest(), shown(held[3]), shown(after), likeness(held[3], after), likeness(held[3], mine[3]), common_extension(held[3], 0, after, 0)))
             held = None if ends.as_py() else mine
             if len(out) >= 512:
                 yield flush()
@@ -170,28 +190,54 @@ def _stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield flush()
 
 
-@F.pandas_udf(BinaryType())
-def _packed(text):
-    return text.map(lambda x: zlib.compress((x or "").encode(), 1))
+def cuts(documents: DataFrame, n: int) -> list[int]:
+    """Ids that cut n rows into about equal ranges; an id that many rows have stands several times. Any cuts give right results."""
+    chunks = max(1, min(CHUNKS, -(-n // ROWS_A_CHUNK)))
+    shares = [k / chunks for k in range(1, chunks)]
+    found = documents.where("doc_id is not null").select(F.col("doc_id").cast("double").alias("at")).approxQuantile("at", shares, max(1e-5, 0.2 / chunks)) if shares else []
+    return sorted(max(-(1 << 63), min((1 << 63) - 1, int(x))) for x in found)
+
+
+def _at_most(bounds: Column, n: int, below) -> Column:
+    """How many of n ascending bounds satisfy below(bound), which holds for a first part of them: a binary search."""
+    place = F.lit(0)
+    for k in reversed(range(n.bit_length())):
+        ahead = place + (1 << k)
+        place = F.when((ahead <= n) & below(F.get(bounds, F.least(ahead, F.lit(n)) - 1)), ahead).otherwise(place)
+    return place
+
+
+def _share(order_key: Column) -> Column:
+    """A hash as a share, 0 to below 1, in the hash's order."""
+    return F.least(order_key / float(1 << 64) + 0.5, F.lit(1 - 2.0 ** -53))
+
+
+def chunked(rows: DataFrame, bounds: list[int], nulls: int) -> DataFrame:
+    """rows (doc_id, order_key, ...) with `chunk`, which grows with (doc_id nulls first, order_key)."""
+    if bounds:
+        table = F.split(F.lit(",".join(map(str, bounds))), ",").cast("array<bigint>")  # folded to one literal
+        rows = rows.withColumn("under", _at_most(table, len(bounds), lambda b: b < F.col("doc_id")))
+        rows = rows.withColumn("upto", _at_most(table, len(bounds), lambda b: b <= F.col("doc_id")))
+    else:
+        rows = rows.withColumn("under", F.lit(0)).withColumn("upto", F.lit(0))
+    parts = max(1, -(-nulls // ROWS_A_CHUNK))
+    within = F.floor(_share(F.col("order_key")) * (F.col("upto") - F.col("under") + 1))
+    chunk = F.when(F.col("doc_id").isNull(), F.floor(_share(F.col("order_key")) * parts) - parts).otherwise(F.col("under") + within)
+    return rows.withColumn("chunk", chunk.cast("long")).drop("under", "upto")
 
 
 def fingerprinted(documents: DataFrame) -> DataFrame:
     """(doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next, same_prefix), one row a document; same_prefix: code points that
     the text and the edited text have in common from the start."""
-    low, high, n = documents.agg(F.min("doc_id"), F.max("doc_id"), F.count("*")).first()
-    chunks = max(1, min(CHUNKS, -(-n // ROWS_A_CHUNK)))
-    low, width = low or 0, max(1, -(-((high or 0) - (low or 0) + 1) // chunks))
-    chunk = F.coalesce(F.floor((F.col("doc_id") - low) / width), F.lit(-1)).cast("int")
-    firsts = sorted((r[0], r[1]) for r in documents.groupBy(chunk.alias("chunk")).agg(F.min("doc_id")).collect())  # at most CHUNKS + 1 rows
-    spark = documents.sparkSession
-    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), chunk.alias("own"))
-    rows = rows.withColumn("order_key", F.xxhash64("text"))
-    # the first row of a chunk also ends the one before it; among repeated ids, the one with the least order
-    ends = spark.createDataFrame([(own, id_, firsts[i - 1][0]) for i, (own, id_) in enumerate(firsts)] or [(0, 0, 0)], "of_chunk int, first_id long, ended int")
-    rows = rows.join(F.broadcast(ends), (F.col("own") == F.col("of_chunk")) & F.col("doc_id").eqNullSafe(F.col("first_id")), "left")
-    rows = rows.withColumn("packed", _packed("text")).drop("text")
-    goes = F.when(F.col("ended").isNull(), F.array(F.struct(F.col("own").alias("chunk"), F.lit(False).alias("ends")))).otherwise(
-        F.array(F.struct(F.col("own").alias("chunk"), F.lit(False).alias("ends")), F.struct(F.col("ended").alias("chunk"), F.lit(True).alias("ends"))))
-    rows = rows.select("doc_id", "order_key", "packed", F.inline(goes))
+    n, nulls = documents.agg(F.count("*"), F.count_if(F.col("doc_id").isNull())).first()
+    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = chunked(rows.withColumn("order_key", F.xxhash64("text")), cuts(documents, n), nulls)
+    firsts = sorted((r.chunk, r.first) for r in rows.groupBy("chunk").agg(F.min(F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id", "order_key")).alias("first")).collect())  # at most CHUNKS rows, and the nulls' parts
+    # the first row of a chunk also ends the one before it
+    ends = rows.sparkSession.createDataFrame([(own, x.doc_id, x.order_key, firsts[i - 1][0]) for i, (own, x) in enumerate(firsts)] or [(0, 0, 0, 0)], "of_chunk long, first_id long, first_key long, ended long")
+    rows = rows.join(F.broadcast(ends), (F.col("chunk") == F.col("of_chunk")) & F.col("doc_id").eqNullSafe(F.col("first_id")) & (F.col("order_key") == F.col("first_key")), "left")
+    goes = F.when(F.col("ended").isNull(), F.array(F.struct("chunk", F.lit(False).alias("ends")))).otherwise(
+        F.array(F.struct("chunk", F.lit(False).alias("ends")), F.struct(F.col("ended").alias("chunk"), F.lit(True).alias("ends"))))
+    rows = rows.select("doc_id", "order_key", "text", F.inline(goes))
     spread = rows.repartition("chunk").sortWithinPartitions("chunk", "ends", F.asc_nulls_first("doc_id"), "order_key")
-    return spread.select("chunk", "ends", "doc_id", "packed").mapInArrow(_stream, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, same_prefix long")
+    return spread.select("chunk", "ends", "doc_id", "text").mapInArrow(_stream, OUT)
