@@ -16,10 +16,17 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import small_or_plain
+from .common import kept, small_or_plain
 
-HEX = 3  # 4,096 buckets of the seeded hash
-CUTS = 4096  # buckets of the fractional rank
+ROWS_A_BUCKET = 1_000_000
+
+
+def hex_digits(n: int) -> int:
+    """Of the seeded hash: as many as give buckets of up to about ROWS_A_BUCKET rows, 4,096 buckets at least."""
+    digits = 3
+    while n > ROWS_A_BUCKET * 16 ** digits:
+        digits += 1
+    return digits
 
 
 def ranked(df: DataFrame, bucket: str, order: list, *by: str) -> DataFrame:
@@ -41,14 +48,16 @@ def interleaved(documents: DataFrame, shards: int = 16, seed: int = 1) -> DataFr
     text = F.coalesce(F.col("text"), F.lit(""))
     rows = documents.select("doc_id", F.col("source").alias("stratum"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"),
                             F.md5(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).cast("binary")).alias("shuffled"))
-    rows = rows.withColumn("hash_bucket", F.substring("shuffled", 1, HEX))
+    rows = kept(rows)  # numbers and a hash; read by both ranks and their counts
+    n = rows.count()
+    digits = hex_digits(n)
+    rows = rows.withColumn("hash_bucket", F.substring("shuffled", 1, digits))
     rows = ranked(rows, "hash_bucket", ["shuffled", F.asc_nulls_last("doc_id"), "size", "text_crc32"], "stratum").withColumnRenamed("place", "stratum_rank")
-    totals = documents.groupBy(F.col("source").alias("of_stratum")).agg(F.count("*").alias("stratum_rows"))
+    totals = rows.groupBy(F.col("stratum").alias("of_stratum")).agg(F.count("*").alias("stratum_rows"))
     rows = rows.join(small_or_plain(totals, 100_000), F.col("stratum").eqNullSafe(F.col("of_stratum")))
     rows = rows.withColumn("fraction", (2 * F.col("stratum_rank") + 1) / (2.0 * F.col("stratum_rows")))
-    rows = rows.withColumn("cut", F.floor(F.col("fraction") * CUTS)).withColumn("all_rows", F.lit("all"))
+    rows = rows.withColumn("cut", F.floor(F.col("fraction") * 16 ** digits)).withColumn("all_rows", F.lit("all"))
     rows = ranked(rows, "cut", ["fraction", F.asc_nulls_last("stratum"), "shuffled", F.asc_nulls_last("doc_id"), "size", "text_crc32"], "all_rows")
-    n = documents.count()
     shard = F.expr(f"cast((place * {shards}) div {max(1, n)} as int)")
     first = F.expr(f"(shard * {max(1, n)}L + {shards - 1}) div {shards}")
     return rows.withColumn("shard", shard).select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", (F.col("place") - first).cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), F.col("stratum").alias("source"))
