@@ -25,7 +25,8 @@ from pyspark.sql import functions as F
 from .common import kept, small_or_plain, word_count
 
 MOST = 3
-LEVELS = (4096, 64, 1)  # buckets of a source at each level of the tree
+FAN = 64
+ROWS_A_BUCKET = 200_000
 ROW = "row_key long, pivot_source string, size long, fraction double, draw double"
 
 
@@ -92,11 +93,19 @@ def _level(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         yield carry.drop(columns="bucket_key")
 
 
-def rounded(rows: DataFrame) -> DataFrame:
-    """(row_key, up 0/1) of rows (row_key, pivot_source, size, fraction, draw) with fractions in (0, 1) and sizes over 0."""
-    done = None
-    for buckets in LEVELS:
-        key = F.xxhash64("pivot_source", F.pmod(F.xxhash64(F.lit("level"), "row_key"), F.lit(LEVELS[0])) % buckets)
+def levels(n: int) -> list[int]:
+    """Buckets of a source at each level of the tree over n rows: leaves of about ROWS_A_BUCKET rows at most, then FAN to one."""
+    out = [1, FAN, FAN ** 2]
+    while n > ROWS_A_BUCKET * out[-1]:
+        out.append(FAN * out[-1])
+    return out[::-1]
+
+
+def rounded(rows: DataFrame, n: int) -> DataFrame:
+    """(row_key, up 0/1) of n rows at most (row_key, pivot_source, size, fraction, draw) with fractions in (0, 1) and sizes over 0."""
+    done, tree = None, levels(n)
+    for buckets in tree:
+        key = F.xxhash64("pivot_source", F.pmod(F.xxhash64(F.lit("level"), "row_key"), F.lit(tree[0])) % buckets)
         out = rows.withColumn("bucket_key", key).repartition("bucket_key").sortWithinPartitions("bucket_key", "row_key").mapInPandas(_level, ROW)
         out = kept(out)
         whole = out.where("fraction <= 0 or fraction >= 1").select("row_key", F.col("fraction").cast("int").alias("up"))
@@ -121,7 +130,7 @@ def mixed(documents: DataFrame, weights=(1, 2, 3), most: int = MOST, seed: int =
     docs = docs.withColumn("whole", F.floor(copies)).withColumn("fraction", copies - F.floor(copies))
     open_ = docs.where("size > 0 and fraction > 0").select("row_key", F.coalesce(F.concat(F.lit("s"), "source"), F.lit("null")).alias("pivot_source"), "size", "fraction",
                                                           (F.pmod(F.xxhash64(F.lit("draw"), "row_key"), F.lit(1 << 30)) / float(1 << 30)).alias("draw"))
-    docs = docs.join(rounded(open_), "row_key", "left")
+    docs = docs.join(rounded(open_, docs.count()), "row_key", "left")
     docs = docs.withColumn("copies", F.col("whole") + F.coalesce(F.col("up"), F.lit(0)))
     return docs.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), "content_key", "repeat")
 
