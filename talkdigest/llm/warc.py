@@ -1,15 +1,16 @@
 """WARC: records from pages, and a Merkle audit of replicas.
 
-Pages become WARC response records in numbered volumes; a record's place in its volume and its byte offset follow
+Pages become WARC resource records in numbered volumes; a record's place in its volume and its byte offset follow
 from the order of page ids. Leaves of a volume's tree are the SHA-256 of its records with their offset ranges, in
-order; FAN ordered nodes make one node of the next level, up to a root a volume and one root over all. An audit
-compares the replicas' roots and goes down only from nodes that differ, so it reads hashes along damaged branches
-only. Leaves stand at ordinals, so a lost or additional record makes all later leaves of its volume differ; the records
+order; FAN ordered nodes make one node of the next level, up to a root a volume; those are the leaves of a tree over
+ranges of volume numbers, up to one root over all. Every level is a table, written once. An audit compares the replicas'
+roots first and goes down only from nodes that differ, so it reads hashes along damaged branches only. Leaves stand at ordinals, so a lost or additional record makes all later leaves of its volume differ; the records
 of differing leaves are therefore matched by content and by page id before they are judged.
 
 Defined results: null url or html are empty strings; repeated page ids are records of their own; a record that one
 replica lacks is `missing` (or `extra`); one with the same bytes at another ordinal or offset is `moved`; one with the
-same page id and other bytes is `damaged`, as is one whose id can't be read where a master's record is lacking; equal replicas and empty tables give no rows; further columns are ignored.
+same page id and other bytes is `damaged`, as is one whose id can't be read where a master's record is lacking; null page ids go to NULL_VOLUMES volumes
+of negative numbers, by content; equal replicas and empty tables give no rows; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,30 +25,39 @@ from pyspark.sql import functions as F
 
 from .common import written
 
-FAN = 16
+FAN = 16  # four bits of a node's number
+NULL_VOLUMES = 1024
+#: Pages carry no time of capture, and equal pages must give equal records; a parameter of record().
+DATE = "2020-01-01T00:00:00Z"
 CRLF = "\r\n"
 
 
-def record(url: Column, html: Column, page_id: Column) -> Column:
+def record(url: Column, html: Column, page_id: Column, date: str = DATE) -> Column:
     body = F.coalesce(html, F.lit(""))
-    head = [("WARC-Type", F.lit("resource")), ("WARC-Record-ID", F.concat(F.lit("<urn:page:"), F.coalesce(page_id.cast("string"), F.lit("")), F.lit(">"))), ("WARC-Target-URI", F.coalesce(url, F.lit(""))),
+    head = [("WARC-Type", F.lit("resource")), ("WARC-Date", F.lit(date)), ("WARC-Record-ID", F.concat(F.lit("<urn:page:"), F.coalesce(page_id.cast("string"), F.lit("")), F.lit(">"))), ("WARC-Target-URI", F.coalesce(url, F.lit(""))),
             ("Content-Type", F.lit("text/html; charset=utf-8")), ("Content-Length", F.octet_length(body).cast("string"))]
     parts = [F.lit(f"WARC/1.0{CRLF}")] + [x for name, value in head for x in (F.lit(f"{name}: "), value, F.lit(CRLF))]
     return F.concat(*parts, F.lit(CRLF), body, F.lit(CRLF * 2))
 
 
-def volumes(pages: DataFrame, volume_pages: int = 1000) -> DataFrame:
-    """(volume, record_no, page_id, at, length, digest, record): volume_pages neighbouring page ids a volume; null ids go to volume -1."""
+def in_volumes(pages: DataFrame, volume_pages: int) -> DataFrame:
+    """(volume, page_id, record, digest): volume_pages neighbouring page ids a volume."""
     rows = pages.select("page_id", record(F.col("url"), F.col("html"), F.col("page_id")).alias("record"))
-    rows = rows.select(F.coalesce(F.floor(F.col("page_id") / volume_pages), F.lit(-1)).cast("long").alias("volume"), "page_id", F.octet_length("record").cast("long").alias("length"), F.sha2(F.col("record").cast("binary"), 256).alias("digest"))
+    rows = rows.withColumn("digest", F.sha2(F.col("record").cast("binary"), 256))
+    return rows.withColumn("volume", F.coalesce(F.floor(F.col("page_id") / volume_pages), -1 - F.pmod(F.xxhash64("digest"), F.lit(NULL_VOLUMES))).cast("long"))
+
+
+def volumes(pages: DataFrame, volume_pages: int = 1000) -> DataFrame:
+    """(volume, page_id, length, digest, record_no, at) of the records of pages."""
+    rows = in_volumes(pages, volume_pages).select("volume", "page_id", F.octet_length("record").cast("long").alias("length"), "digest")
     order = Window.partitionBy("volume").orderBy("page_id", "digest")
     return rows.withColumn("record_no", F.row_number().over(order) - 1).withColumn("at", F.coalesce(F.sum("length").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
 
 
 def write_volumes(pages: DataFrame, path: str, volume_pages: int = 1000) -> None:
-    """One WARC file a volume under path/volume=N; its bytes are the records in order, at the offsets that volumes() gives."""
-    rows = pages.select(F.coalesce(F.floor(F.col("page_id") / volume_pages), F.lit(-1)).cast("long").alias("volume"), "page_id", record(F.col("url"), F.col("html"), F.col("page_id")).alias("record"))
-    rows = rows.withColumn("digest", F.sha2(F.col("record").cast("binary"), 256)).repartition("volume").sortWithinPartitions("volume", "page_id", "digest")
+    """One WARC file a volume under path/volume=N; its bytes are the records in order, at the offsets that volumes() gives. The
+    files' names end in .txt, as those of Spark's text writer do."""
+    rows = in_volumes(pages, volume_pages).repartition("volume").sortWithinPartitions("volume", "page_id", "digest")
     # the writer ends each row by the line break that ends a record
     rows.select("volume", F.expr("substring(record, 1, length(record) - 2)").alias("value")).write.partitionBy("volume").option("lineSep", CRLF).text(path)
 
@@ -89,43 +99,50 @@ def leaves(records: DataFrame) -> DataFrame:
 
 def parents(level: DataFrame) -> DataFrame:
     kids = level.groupBy("volume", F.shiftright("node", 4).alias("node")).agg(F.sort_array(F.collect_list(F.struct("node", "hash"))).alias("kids"))
-    return kids.select("volume", "node", F.sha2(F.array_join(F.transform("kids", lambda x: x["hash"]), "").cast("binary"), 256).alias("hash"))
-
-
-def tree(records: DataFrame, levels: int) -> list[DataFrame]:
-    """Levels from the leaves to one node a volume; a node has at most FAN children."""
-    out = [leaves(records)]
-    for _ in range(levels):
-        out.append(parents(out[-1]))
+    return kids.select("volume", "node", F.sha2(F.array_join(F.transform("kids", lambda x: F.concat_ws(":", x["node"], x["hash"])), " ").cast("binary"), 256).alias("hash"))
+
+
+def levels_for(*replicas: DataFrame) -> tuple[int, int]:
+    """Levels above the leaves of a volume and above the volumes, enough for all replicas to end in one node each."""
+    inside, above = 1, 1
+    for records in replicas:
+        most, low, high = records.agg(F.max("record_no"), F.min("volume"), F.max("volume")).first()
+        inside = max(inside, -(-int(most or 0).bit_length() // 4))
+        # the root's number is 0 for volumes from 0 on, and shifted negative numbers end at -1
+        above = max(above, -(-max(int(x or 0).bit_length() for x in (low, high)) // 4))
+    return inside, above
+
+
+def tree(records: DataFrame, inside: int, above: int) -> list[DataFrame]:
+    """Levels (volume, node, hash) from the leaves to one node a volume, then (volume 0, node, hash) from the volumes to the root
+    (two if there are volumes of negative numbers); a node has at most FAN children. Each is a table, made from the one below."""
+    out = [written(leaves(records), "leaves", True)]
+    for _ in range(inside):
+        out.append(written(parents(out[-1]), "level", True))
+    for step in range(above):
+        below = out[-1] if step else out[-1].select(F.lit(0).cast("long").alias("volume"), F.col("volume").alias("node"), "hash")
+        out.append(written(parents(below), "level", True))
     return out
 
 
-def levels_for(records: DataFrame) -> int:
-    most = records.agg(F.max("record_no")).first()[0] or 0
-    return max(1, (int(most).bit_length() + 3) // 4)
-
-
-def root_hash(roots: DataFrame) -> str | None:
-    """One hash over the roots of all volumes: they are the leaves of a further tree."""
-    level = roots.select(F.lit(0).cast("long").alias("volume"), F.row_number().over(Window.orderBy("volume")).cast("long").alias("node"), "hash")
-    level = written(level.withColumn("node", F.col("node") - 1), "roots")
-    for _ in range(max(1, (level.count().bit_length() + 3) // 4)):
-        level = parents(level)
-    top = level.first()
-    return top and top["hash"]
+def root_hash(levels: list[DataFrame]) -> str:
+    """One hash over all of tree(); that of no text for no records."""
+    return hashlib.sha256("".join(f"{r['node']}:{r['hash']} " for r in sorted(levels[-1].collect(), key=lambda r: r["node"])).encode()).hexdigest()  # two rows at most
 
 
-def differing(mine: list[DataFrame], other: list[DataFrame]) -> DataFrame:
+def differing(mine: list[DataFrame], other: list[DataFrame], above: int) -> DataFrame:
     """(volume, node) of the leaves under branches that differ or exist in one replica only."""
     found = None
-    for a, b in zip(reversed(mine), reversed(other)):
+    for depth, (a, b) in enumerate(zip(reversed(mine), reversed(other))):
         a = a.select("volume", "node", F.col("hash").alias("hash_a"))
         b = b.select("volume", "node", F.col("hash").alias("hash_b"))
         if found is not None:
-            above = found.select("volume", F.col("node").alias("above"))
-            a = a.withColumn("above", F.shiftright("node", 4)).join(above, ["volume", "above"], "left_semi").drop("above")
-            b = b.withColumn("above", F.shiftright("node", 4)).join(above, ["volume", "above"], "left_semi").drop("above")
-        found = a.join(b, ["volume", "node"], "full").where(~F.col("hash_a").eqNullSafe(F.col("hash_b"))).select("volume", "node")
+            up = found.select(F.col("volume").alias("up_volume"), F.col("node").alias("up"))
+            # the roots of volumes are the children of the lowest nodes over volumes
+            own = (F.lit(0).cast("long"), F.shiftright("volume", 4)) if depth == above else (F.col("volume"), F.shiftright("node", 4))
+            a, b = (x.join(up, (own[0] == F.col("up_volume")) & (own[1] == F.col("up")), "left_semi") for x in (a, b))
+        # written at each level, as both replicas go down from it
+        found = written(a.join(b, ["volume", "node"], "full").where(~F.col("hash_a").eqNullSafe(F.col("hash_b"))).select("volume", "node"), "branches", True)
     return found
 
 
@@ -161,8 +178,10 @@ def aligned(rows: DataFrame) -> DataFrame:
 def audit(master: DataFrame, replica: DataFrame) -> DataFrame:
     """(volume, record_no, page_id, at, length, status, expected, found) of records that differ. Both: as volumes() gives."""
     master, replica = written(master, "records"), written(replica, "records")  # digests and offsets only
-    levels = max(levels_for(master), levels_for(replica))
-    bad = differing(tree(master, levels), tree(replica, levels)).select("volume", F.col("node").alias("record_no"))
+    inside, above = levels_for(master, replica)
+    mine, other = tree(master, inside, above), tree(replica, inside, above)
+    bad = differing(mine, other, above) if root_hash(mine) != root_hash(other) else mine[0].limit(0)
+    bad = bad.select("volume", F.col("node").alias("record_no"))
     # neighbouring ordinals are a run; records move inside runs only
     bad = written(bad.withColumn("run", F.col("record_no") - F.row_number().over(Window.partitionBy("volume").orderBy("record_no"))), "differing")
     sides = [x.join(bad, ["volume", "record_no"]).select("volume", "run", F.col("record_no").cast("long").alias("record_no"), "page_id", "at", "length", "digest", F.lit(mine).alias("mine")) for x, mine in ((master, True), (replica, False))]
