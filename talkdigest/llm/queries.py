@@ -52,8 +52,7 @@ def op9_warc_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pages = table(spark, sf_dir, "pages")
-    return urls.judged(pages, urls.bundled_list(pages))
+    return urls.judged(table(spark, sf_dir, "pages"), urls.bundled_list(spark))
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -88,7 +87,7 @@ FROM documents d JOIN m ON m.a = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id
 WARC_SQL = r"""
 WITH p AS (SELECT page_id, coalesce(url, '') AS url, html, CASE WHEN page_id % 97 = 5 THEN '#' || substring(html, 2) ELSE html END AS damaged,
                   NOT (floor(page_id / 1000) % 7 = 3 AND page_id % 1000 >= 990) AS there FROM pages),
-r AS (SELECT *, 'WARC/1.0' || chr(13) || chr(10) || 'WARC-Type: resource' || chr(13) || chr(10) || 'WARC-Record-ID: <urn:page:' || page_id || '>' || chr(13) || chr(10) || 'WARC-Target-URI: ' || url
+r AS (SELECT *, 'WARC/1.0' || chr(13) || chr(10) || 'WARC-Type: resource' || chr(13) || chr(10) || 'WARC-Date: 2020-01-01T00:00:00Z' || chr(13) || chr(10) || 'WARC-Record-ID: <urn:page:' || page_id || '>' || chr(13) || chr(10) || 'WARC-Target-URI: ' || url
         || chr(13) || chr(10) || 'Content-Type: text/html; charset=utf-8' || chr(13) || chr(10) || 'Content-Length: ' AS head, chr(13) || chr(10) || chr(13) || chr(10) AS gap FROM p),
 x AS (SELECT *, head || strlen(coalesce(html, '')) || gap || coalesce(html, '') || gap AS a, head || strlen(coalesce(damaged, '')) || gap || coalesce(damaged, '') || gap AS b FROM r),
 o AS (SELECT CAST(floor(page_id / 1000) AS BIGINT) AS volume, page_id, there, strlen(a) AS length, sha256(a) AS expected, CASE WHEN there THEN sha256(b) END AS found,
@@ -102,7 +101,9 @@ WITH s AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substring(url,
 h AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, rest FROM s),
 p AS (SELECT page_id, host, regexp_extract(substring(rest, length(host) + 1), '^[^?#]*') AS path FROM h),
 c AS (SELECT *, CASE WHEN host <> '' THEN regexp_replace(host, '^www\.', '') || regexp_replace(path, '/+$', '') END AS canonical FROM p),
-l AS (SELECT DISTINCT canonical FROM c WHERE regexp_matches(host, '(^|\.)(ads-track|spam-farm|casino-win|adult-x|cheap-pills|free-bets)\.')),
+l AS (SELECT prefix || label || '.example.' || zone || '/' || lang || '/' || n || ending AS canonical
+      FROM range(1000) t(n), (SELECT unnest(['', 'm.', 'blog.']) AS prefix), (SELECT unnest(['ads-track', 'spam-farm', 'casino-win', 'adult-x', 'cheap-pills', 'free-bets']) AS label),
+           (SELECT unnest(['com', 'net', 'org']) AS zone), (SELECT unnest(['en', 'de', 'fr', 'es']) AS lang), (SELECT unnest(['', '.html']) AS ending) WHERE n % 5 <> 3),
 r AS (SELECT page_id, host, path, c.canonical IN (SELECT canonical FROM l) AS listed,
         CASE WHEN (host = 'example.net' OR host LIKE '%.example.net') AND path LIKE '/en/%' THEN 'example.net/en/'
              WHEN (host = 'example.com' OR host LIKE '%.example.com') AND path LIKE '/de/%' THEN 'example.com/de/'
