@@ -65,10 +65,37 @@ def test_kernel_weights_fold_exactly():
     assert langid.predict(["\u4e2d\u6587"], model) == (["de"], [0.0])
     x = langid.presence(["the cat"], model)[0]
     own = {"the cat"[i:i + n] for n in (1, 2, 3) for i in range(8 - n)}
-    assert x.sum() == len(own)
+    marks = {t[i:i + n] for t, _ in rows[:4] for n in (1, 2, 3) for i in range(len(t) - n + 1)}
+    assert x.sum() == len(own & marks)
     assert langid.fit([]) is None and langid.predict(["a"], None) == (["und"], [0.0])
 
 
+def test_every_script_counts():
+    """Random words over alphabets of which two have thousands of characters."""
+    rng = random.Random(8)
+    scripts = {"en": (0x61, 26), "ru": (0x430, 32), "el": (0x3B1, 24), "he": (0x5D0, 27), "zh": (0x4E00, 4096), "ko": (0xAC00, 4096)}
+    prose = lambda at, n: " ".join("".join(chr(at + rng.randrange(n)) for _ in range(rng.randint(2, 6))) for _ in range(60))
+    rows = [(prose(*scripts[lang]), lang) for _ in range(40) for lang in scripts]
+    model = langid.fit(rows)
+    asked = [(prose(*scripts[lang]), lang) for _ in range(30) for lang in scripts]
+    got, scores = langid.predict([t for t, _ in asked], model)
+    assert got == [lang for _, lang in asked] and min(scores) >= 0.2
+
+
+def test_kernel_against_sets():
+    rng = random.Random(9)
+    rows = [("".join(rng.choice("abcé中文 ") for _ in range(rng.randint(1, 60))) + "a", lang) for lang in ("x", "y", "z") for _ in range(12)]
+    model = langid.fit(rows, landmarks=9)
+    sets = [{t[i:i + n] for n in (1, 2, 3) for i in range(len(t) - n + 1)} for t, _ in rows]
+    known = set().union(*[sets[i] for i in (0, 1, 2, 12, 13, 14, 24, 25, 26)])
+    found = [langid.found(t, model) for t, _ in rows]
+    assert len(known) == model.columns and [len(f) for f in found] == [len(s & known) for s in sets]
+    own = langid.kernel(found, found[:3], model.columns, width=7)
+    for i, s in enumerate(sets):
+        for j in range(3):
+            assert own[i, j] == pytest.approx(len(s & sets[j]) / math.sqrt(len(s & known) * len(sets[j])))
+
+
 def test_language_edges(spark, edges, empty):
     got = {(r.doc_id): r.lang_pred for r in langid.identified(edges, langid.trained(edges)).collect()}
     assert got[1] == got[2] == got[3] == got[4] == "und"
@@ -93,6 +120,25 @@ def test_topk_against_brute_force(spark):
     assert [(q, k, c, s) for q, k, c, s in got] == sorted(want)
 
 
+def test_topk_with_repeated_query_ids(spark):
+    rows = [(20, [1]), (20, [2]), (1, [5]), (2, [4]), (3, [3])]
+    vectors = spark.createDataFrame(rows, "vec_id long, grid array<long>")
+    got = [tuple(r) for r in topk.top_k(vectors.where("vec_id = 20"), vectors, 3).orderBy("rank").collect()]
+    assert got == [(20, 1, 1, 5), (20, 2, 2, 4), (20, 3, 3, 3)]
+
+
+def test_topk_merges_through_many_levels(spark):
+    rng = random.Random(4)
+    rows = [(i, [rng.randrange(-3, 4), rng.randrange(-40_000, 40_000)]) for i in range(700)]
+    vectors = spark.createDataFrame(rows, "vec_id long, grid array<long>")
+    got = sorted(tuple(r) for r in topk.top_k(vectors.where("vec_id % 350 = 0"), vectors, 4, rows_per_shard=8).collect())
+    want = []
+    for q in (0, 350):
+        best = sorted((-sum(a * b for a, b in zip(rows[q][1], v)), i) for i, v in rows if i != q)[:4]
+        want += [(q, k, i, -s) for k, (s, i) in enumerate(best, 1)]
+    assert got == want
+
+
 def test_topk_empty(spark):
     none = topk.quantised(spark.createDataFrame([], "vec_id long, embedding array<double>"))
     assert topk.top_k(none, none).count() == 0
@@ -150,9 +196,72 @@ def test_registered_line_dedup_against_brute_force(spark, documents):
     assert max(map(len, kept.values())) == 1
 
 
+def brute_templates(rows, min_docs=2, min_tokens=3, depth=lines.DEPTH, similar=lines.SIMILAR):
+    """{doc_id: lines dropped} by a plain walk down the tree: leaves, consensus of their distinct lines, templates, first places."""
+    field, leaves, distinct = "<*>", collections.defaultdict(list), collections.defaultdict(set)
+    mask = lambda ts: tuple(field if re.search("[0-9]", t) else t for t in ts)
+    for i, text in rows:
+        for k, line in enumerate((text or "").split("\n")):
+            ts = tuple(t for t in re.split("[ \t\x0b\x0c\r]", line) if t)
+            if ts:
+                leaf = ("short", ts) if len(ts) < min_tokens else (len(ts), mask(ts[:depth]))
+                leaves[leaf].append((i, k, ts))
+    templates = collections.defaultdict(set)
+    for leaf, held in leaves.items():
+        if len({i for i, _, _ in held}) < 2 or len(held) < min_docs:
+            continue
+        plain = leaf[0] == "short" or len({ts for _, _, ts in held}) == 1
+        bodies = {ts if plain else mask(ts) for _, _, ts in held}
+        wide = len(held[0][2])
+        consensus = []
+        for p in range(depth, wide):
+            n = collections.Counter(b[p] for b in bodies)
+            best = max(n.items(), key=lambda x: (x[1], x[0]))
+            consensus.append(best[0] if 2 * best[1] > len(bodies) else field)
+        for i, k, ts in held:
+            body = ts if plain else mask(ts)
+            same = sum(a == b for a, b in zip(body[depth:], consensus))
+            key = (leaf,) if plain or same >= similar * len(consensus) else (leaf, body)
+            templates[key].add((i, k))
+    out = collections.defaultdict(set)
+    for places in templates.values():
+        if len({i for i, _ in places}) >= min_docs:
+            for i, k in places - {min(places)}:
+                out[i].add(k)
+    return dict(out)
+
+
+def test_templates_against_brute_force(spark, documents):
+    got = {r.doc_id: set(r.drops) for r in lines.recurring(documents, min_docs=2, short=True).collect()}
+    assert got == brute_templates([(r.doc_id, r.text) for r in documents.collect()])
+
+
+def test_templates_with_variable_fields_against_brute_force(spark, monkeypatch):
+    rng = random.Random(6)
+    line = lambda: " ".join([rng.choice(["get", "put"]), rng.choice(["file", f"n{rng.randrange(9)}"]), rng.choice("ab"), *[rng.choice(["on", "off", f"{rng.randrange(99)}"]) for _ in range(rng.randint(0, 5))]])
+    rows = [(i, "\n".join(line() for _ in range(rng.randint(0, 7)))) for i in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_templates(rows)
+    for most in (lines.MOST, 0):  # with and without broadcasts
+        monkeypatch.setattr(lines, "MOST", most)
+        assert {r.doc_id: set(r.drops) for r in lines.recurring(docs, min_docs=2, short=True).collect()} == want
+    texts = {r.doc_id: r for r in lines.deduplicated(docs, min_docs=2, short=True).collect()}
+    for i, t in rows:
+        assert texts[i].text == "\n".join(x for k, x in enumerate(t.split("\n")) if k not in want.get(i, ())) and texts[i].n_dropped == len(want.get(i, ()))
+
+
+def test_rows_of_one_id_with_other_texts_keep_their_own_lines(spark):
+    rows = [(1, "one two three four\nfive six seven"), (2, "eight nine ten\none two three four"), (2, "eleven twelve thirteen\nonly here of all")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(r.text for r in lines.deduplicated(docs, min_docs=2).collect()) == ["eight nine ten", "eleven twelve thirteen\nonly here of all", "one two three four\nfive six seven"]
+
+
 def test_line_edges(spark, edges, empty):
     rows = lines.deduplicated(edges).collect()
     assert len(rows) == edges.count() and {r.text for r in rows if r.doc_id == 1} == {None}
+    clash = edges.withColumn("n_lines", F.lit("own")).withColumn("n_dropped", F.lit("own"))
+    assert lines.deduplicated(clash).columns == [*edges.columns, "n_lines", "n_dropped"] and {r.n_lines for r in lines.deduplicated(clash).collect()} != {"own"}
+    assert lines.cleaned(clash).columns == clash.columns and {r.n_lines for r in lines.cleaned(clash).collect()} == {"own"}
     assert lines.deduplicated(empty).count() == 0
 
 
@@ -186,7 +295,7 @@ def test_near_dedup_equals_brute_force(spark, documents):
 
 
 def test_large_group_of_near_copies(spark):
-    """A dense region larger than NEAR, a chain whose ends are unlike, and pairs at the threshold."""
+    """A dense region, a chain whose ends are unlike, and pairs at the threshold."""
     rng = random.Random(5)
     base = [f"b{i}" for i in range(120)]
     rows = []
@@ -203,36 +312,60 @@ def test_large_group_of_near_copies(spark):
     assert got == brute_components(rows)
 
 
-def test_heavy_regions_are_dealt_out_by_depth(spark, documents, monkeypatch):
-    monkeypatch.setattr(neardup, "HEAVY", 1)
-    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.clustered(documents).collect()}
-    want = brute_components([(r.doc_id, r.text) for r in documents.collect()])
-    assert {i: n for i, (n, _) in got.items()} == {i: n for i, (n, _) in want.items()}
-    assert sum(got[i] == want[i] for i in want) >= 0.95 * len(want)  # regions of two are cut here, which HEAVY forbids
+def family(rng, n, places=100, kinds=None):
+    """Texts that share about 0.7 of their shingles with each other: each changes words that stand far apart, to one of `kinds` values or to
+    one of its own; and pairs of them at 0.8 or more, which nothing else links."""
+    base = [f"t{i}" for i in range(4 * places)]
 
+    def text(i, changes):
+        out = list(base)
+        for p in changes:
+            out[4 * p] = f"k{p}x{rng.randrange(kinds)}" if kinds else f"u{i}x{p}"
+        return out
 
-def test_heavy_regions_give_the_same_components(spark, documents, monkeypatch):
-    monkeypatch.setattr(neardup, "HEAVY", 1)
-    monkeypatch.setattr(neardup, "NEAR", 4)  # so that regions have many blocks
-    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.clustered(documents).collect()}
-    assert got == brute_components([(r.doc_id, r.text) for r in documents.collect()])
-
-
-def test_heavy_regions_compare_the_pairs_of_light_ones(spark):
-    rng = np.random.default_rng(3)
-    rows = [(i, bytes([0] * 7 + [int(rng.integers(3))]), 7 + i % 2) for i in rng.permutation(900).tolist()]
-    frame = spark.createDataFrame([(i, r, bytearray(d)) for i, d, r in rows], "id long, region long, deeper binary")
-    heavy = spark.createDataFrame([(7, True)], "region long, heavy boolean")
-    seen = []
-    for h in (None, heavy):
-        out, heads = neardup.divided(frame, h)
-        pairs = out.select("region", "id").mapInArrow(neardup._chained, "a long, b long")
-        seen.append({(r.a, r.b) for r in (pairs if heads is None else pairs.unionByName(heads)).collect()})
-    assert seen[0] <= seen[1]
-    blocks = neardup.in_blocks(frame, heavy)[0].groupBy("region").agg(F.collect_set("id").alias("ids")).collect()
-    order = [i for _, i in sorted((d, i) for i, d, r in rows if r == 7)]
-    want = {frozenset(order[k:k + 2 * neardup.NEAR]) for k in range(0, len(order), neardup.NEAR)}
-    assert {frozenset(b.ids) for b in blocks} == want
+    rows = []
+    for i in range(n):
+        t = text(i, rng.sample(range(places), places // 5))
+        rows.append((2 * i, " ".join(t)))
+        if i % 10 == 0:
+            for p in rng.sample(range(4 * places), 8):
+                t[p] = f"v{i}x{p}"
+            rows.append((2 * i + 1, " ".join(t)))
+    return rows
+
+
+@pytest.mark.parametrize("kinds", [None, 2])
+def test_dense_families_lose_no_link(spark, kinds):
+    """Regions larger than SMALL with sole links in them."""
+    rows = family(random.Random(11), 330, 40, kinds)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.clustered(docs).collect()}
+    assert got == brute_components(rows)
+
+
+def test_large_and_heavy_regions_give_the_same_components(spark, documents, monkeypatch):
+    """All regions are dealt to several tasks, go through the set join, and their groups are cut into tiles."""
+    for name, value in (("HEAVY", 1), ("SMALL", 1), ("TILE", 2), ("COMMON", 1), ("MOST", 0)):
+        monkeypatch.setattr(neardup, name, value)
+    rows = [(r.doc_id, r.text) for r in documents.collect()] + [(10 ** 6 + i, t) for i, t in family(random.Random(12), 40, 30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.clustered(docs).collect()}
+    assert got == brute_components(rows)
+
+
+def test_set_join_meets_every_pair_at_the_similarity(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "TILE", 4)
+    rng = random.Random(13)
+    sets = [set(rng.sample(range(40), rng.randint(1, 30))) for _ in range(60)]
+    sets += [s | {100 + i} for i, s in enumerate(sets)] + [set(list(s)[1:]) | {200} for s in sets if len(s) > 1]
+    items = spark.createDataFrame([(i, bytearray(np.array(sorted(s), np.uint64).tobytes())) for i, s in enumerate(sets)], "id long, items binary")
+    members = spark.createDataFrame([(i, i) for i in range(len(sets))], "id long, component long")
+    met = collections.defaultdict(set)
+    for r in neardup.sharing(members, items, 80).collect():
+        met[r.block].add(r.id)
+    pairs = {(a, b) for held in met.values() for a in held for b in held if a < b}
+    want = {(a, b) for a in range(len(sets)) for b in range(a + 1, len(sets)) if 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])}
+    assert want and want <= pairs and len(pairs) < len(sets) ** 2 / 2
 
 
 def test_near_dedup_edges(spark, edges, empty):
@@ -240,12 +373,33 @@ def test_near_dedup_edges(spark, edges, empty):
     assert len(rows) == edges.count()
     by = {r.doc_id: r for r in rows}
     assert by[1].kept and by[1].component_id == 1 and by[6].component_id == 5 and not by[6].kept and by[8].component_id == 7 and by[None].kept
+    more = neardup.clustered(edges.unionByName(edges.where("doc_id = 7").withColumn("doc_id", F.lit(None).cast("long")))).where("doc_id is null").collect()
+    assert len(more) == 2 and all(r.kept and r.component_id is None for r in more)
     assert neardup.clustered(empty).count() == 0
     assert neardup.deduplicated(edges).columns == edges.columns
 
 
 # fingerprints
 
+def brute_likeness(a, b, width=fingerprints.WIDTH):
+    """Code points in spans of `width` that the other text holds too, or in the common prefix or suffix, counted by strings."""
+    if a == b:
+        return 1.0
+    if not a or not b:
+        return 0.0
+    prefix = len(os.path.commonprefix([a, b]))
+    suffix = len(os.path.commonprefix([a[::-1], b[::-1]]))
+
+    def share(x, y):
+        inside, there = [i < prefix or i >= len(x) - suffix for i in range(len(x))], {y[i:i + width] for i in range(len(y) - width + 1)}
+        for i in range(len(x) - width + 1):
+            if x[i:i + width] in there:
+                inside[i:i + width] = [True] * width
+        return sum(inside)
+
+    return (share(a, b) + share(b, a)) / (len(a) + len(b))
+
+
 def test_fingerprints(spark, documents):
     texts = {r.doc_id: r.text or "" for r in documents.collect()}
     rows = {r.doc_id: r for r in fingerprints.fingerprinted(documents).collect()}
@@ -257,20 +411,13 @@ def test_fingerprints(spark, documents):
         new = t[:len(t) - k] + texts[j][:k]
         assert rows[i].n_chars == len(t) and rows[i].edited_sha256 == hashlib.sha256(new.encode()).hexdigest()
         assert seen.setdefault(t, rows[i].fingerprint) == rows[i].fingerprint
-        assert fingerprints.shown(fingerprints.fingerprint(fingerprints.points(new))) == rows[i].edited_fingerprint
+        assert seen.setdefault(new, rows[i].edited_fingerprint) == rows[i].edited_fingerprint
+        assert rows[i].same_prefix == len(os.path.commonprefix([t, new]))
+        if len(t) + len(texts[j]) < 30_000:
+            assert rows[i].near_edited == pytest.approx(brute_likeness(t, new)) and rows[i].near_next == pytest.approx(brute_likeness(t, texts[j]))
     assert len(set(seen.values())) == len(seen)
     far = [r for r in rows.values() if r.n_chars >= 40]
     assert sum(r.near_edited > r.near_next for r in far) / len(far) > 0.97
-    a = fingerprints.read(rows[ids[0]].fingerprint)
-    assert fingerprints.likeness(a, a) == 1.0
-
-
-def test_query_gives_the_common_prefix_with_the_edited_text(spark, documents):
-    texts = {r.doc_id: r.text or "" for r in documents.collect()}
-    ids, rows = sorted(texts), {r.doc_id: r for r in fingerprints.fingerprinted(documents).collect()}
-    for i, j in zip(ids, ids[1:] + ids[:1]):
-        t, k = texts[i], len(texts[i]) // 4
-        assert rows[i].same_prefix == len(os.path.commonprefix([t, t[:len(t) - k] + texts[j][:k]]))
 
 
 def test_spans_and_extensions():
@@ -280,20 +427,25 @@ def test_spans_and_extensions():
     for _ in range(300):
         i, j, n = rng.randrange(500), rng.randrange(500), rng.randrange(1, 60)
         assert (p.span(i, min(i + n, 600)) == p.span(j, min(j + n, 600))) == (text[i:min(i + n, 600)] == text[j:min(j + n, 600)])
-    assert fingerprints.common_extension(p, 0, p, 300) == 300
+    assert fingerprints.common_extension(p, 0, p, 300) == 300 == fingerprints.common_extension_back(p, 300, p, 600)
     for _ in range(50):
         i, j = rng.randrange(600), rng.randrange(600)
-        want = next((k for k in range(600 - max(i, j)) if text[i + k] != text[j + k]), 600 - max(i, j))
-        assert fingerprints.common_extension(p, i, p, j) == want
+        assert fingerprints.common_extension(p, i, p, j) == len(os.path.commonprefix([text[i:], text[j:]]))
+        assert fingerprints.common_extension_back(p, i, p, j) == len(os.path.commonprefix([text[:i][::-1], text[:j][::-1]]))
 
 
-def test_likeness_estimates_shared_spans():
+def test_likeness_against_brute_force():
     rng = random.Random(2)
-    a = "".join(rng.choice("abcdefgh ") for _ in range(4000))
-    b = a[:3000] + "".join(rng.choice("abcdefgh ") for _ in range(1000))
-    sets = [{t[i:i + 16] for i in range(len(t) - 15)} for t in (a, b)]
-    dice = 2 * len(sets[0] & sets[1]) / (len(sets[0]) + len(sets[1]))
-    assert abs(fingerprints.likeness(*(fingerprints.fingerprint(fingerprints.points(t)) for t in (a, b))) - dice) < 0.2
+    prose = lambda n, letters="ab": "".join(rng.choice(letters) for _ in range(n))
+    shared = prose(300, "abcdefgh ")
+    pairs = [(prose(n), prose(m)) for n in (0, 1, 5, 23, 24, 25, 90) for m in (0, 1, 24, 70)]
+    pairs += [(prose(900, "xyz") + shared + prose(5000, "uvw"), prose(40, "pq") + shared + prose(9, "rs")), ("a" * 200, "a" * 90), (shared, shared + "!"), (shared[:30] + shared[200:], shared)]
+    for a, b in pairs:
+        x, y = (fingerprints.Prefixes(fingerprints.points(t)) for t in (a, b))
+        assert fingerprints.likeness(x, y) == pytest.approx(brute_likeness(a, b)) == pytest.approx(fingerprints.likeness(y, x))
+        assert (fingerprints.shown(x) == fingerprints.shown(y)) == (a == b) and 0 <= fingerprints.resemblance(fingerprints.shown(x), fingerprints.shown(y)) <= 1
+    far = fingerprints.likeness(*(fingerprints.Prefixes(fingerprints.points(t)) for t in pairs[-4]))
+    assert far > 0.08  # a short passage in long texts counts
 
 
 def test_fingerprint_edges(spark, edges, empty):
@@ -303,6 +455,20 @@ def test_fingerprint_edges(spark, edges, empty):
     assert len(one) == 1 and one[0].near_next == 1.0
 
 
+def test_next_documents_with_any_ids(spark, monkeypatch):
+    """Ids of the whole long range, an id of many texts, and many nulls, in ranges of a few rows."""
+    monkeypatch.setattr(fingerprints, "ROWS_A_CHUNK", 3)
+    ids = [-(2 ** 63), 2 ** 63 - 1, 0, 1, 2, 3, *range(2 ** 60, 2 ** 60 + 20), *[77] * 40, *[None] * 25]
+    docs = spark.createDataFrame([(i, f"text {k} " * 9, "x", "y") for k, i in enumerate(ids)], "doc_id long, text string, chunk string, order_key string")
+    rows = fingerprints.fingerprinted(docs).collect()
+    keyed = sorted(((r.doc_id is not None, r.doc_id or 0, r.k, r.text) for r in docs.withColumn("k", F.xxhash64("text")).collect()))
+    want = collections.Counter()
+    for (known, i, _, t), (*_, u) in zip(keyed, keyed[1:] + keyed[:1]):
+        k = len(t) // 4
+        want[(i if known else None, hashlib.sha256((t[:len(t) - k] + u[:k]).encode()).hexdigest())] += 1
+    assert collections.Counter((r.doc_id, r.edited_sha256) for r in rows) == want
+
+
 # shards
 
 def test_shards(spark, documents):
@@ -448,18 +614,35 @@ def test_audit_finds_planted_faults(spark):
     assert got == {(i, "damaged") for i in range(2500) if i % 97 == 5 and i in there} | {(i, "missing") for i in range(2500) if i not in there}
     assert warc.audit(warc.volumes(pages), warc.volumes(pages)).count() == 0
     a, b = (warc.volumes(x) for x in (pages, bad))
-    n = warc.levels_for(a)
-    assert warc.root_hash(warc.tree(a, n)[-1]) == warc.root_hash(warc.tree(a.repartition(5), n)[-1]) != warc.root_hash(warc.tree(b, n)[-1])
+    n = warc.levels_for(a, b)
+    assert warc.root_hash(warc.tree(a, *n)) == warc.root_hash(warc.tree(a.repartition(5), *n)) != warc.root_hash(warc.tree(b, *n))
 
 
 def test_descent_visits_damaged_branches_only(spark):
     pages = spark.createDataFrame([(i, "u", f"{i}") for i in range(400)], "page_id long, url string, html string")
     other = pages.withColumn("html", F.when(F.col("page_id") == 123, "???").otherwise(F.col("html")))
     a, b = warc.volumes(pages), warc.volumes(other)
-    found = [(r.volume, r.node) for r in warc.differing(warc.tree(a, 3)[1:], warc.tree(b, 3)[1:]).collect()]
+    n = warc.levels_for(a, b)
+    found = [(r.volume, r.node) for r in warc.differing(warc.tree(a, *n)[1:], warc.tree(b, *n)[1:], n[1]).collect()]
     assert found == [(0, 123 >> 4)]
 
 
+def test_audit_over_many_volumes_and_ids_of_either_sign(spark):
+    pages = spark.createDataFrame([(i, "u", f"{i}") for i in (*range(-70, 900), 10 ** 15, -(10 ** 15))] + [(None, "u", f"n{i}") for i in range(60)], "page_id long, url string, html string")
+    other = pages.withColumn("html", F.when(F.col("page_id").isin(-33, 500, 10 ** 15), "???").otherwise(F.col("html")))
+    got = {(r.page_id, r.status) for r in warc.audit(warc.volumes(pages, 10), warc.volumes(other, 10)).collect()}
+    assert got == {(-33, "damaged"), (500, "damaged"), (10 ** 15, "damaged")}
+    lost = pages.where("html <> 'n7'")
+    assert [(r.page_id, r.status, r.expected is None) for r in warc.audit(warc.volumes(pages, 10), warc.volumes(lost, 10)).collect() if r.status != "moved"] == [(None, "missing", False)]
+
+
+def test_records_have_the_mandatory_fields(spark):
+    page = spark.createDataFrame([(7, "http://h/", "<p>x</p>")], "page_id long, url string, html string")
+    head = page.select(warc.record(F.col("url"), F.col("html"), F.col("page_id"), "2021-05-06T07:08:09Z")).first()[0].partition("\r\n\r\n")[0]
+    fields = dict(x.split(": ", 1) for x in head.split("\r\n")[1:])
+    assert {"WARC-Type", "WARC-Date", "WARC-Record-ID", "Content-Length"} <= set(fields) and fields["WARC-Date"] == "2021-05-06T07:08:09Z"
+
+
 def test_warc_files_round_trip_and_are_audited(spark, tmp_path):
     pages = spark.createDataFrame([(i, f"http://h/{i}", f"<p>é\r\n\r\nWARC/1.0 {i}</p>") for i in range(60)] + [(60, None, None)], "page_id long, url string, html string")
     path = f"{tmp_path}/warc"
@@ -525,11 +708,30 @@ def test_small_bloom_filter_gives_false_positives_that_the_join_removes(spark):
     listed = spark.createDataFrame([(f"h{i}.com/p",) for i in range(0, 600, 2)], "canonical string")
     rows = urls.judged(pages, listed, blocks=4).collect()
     assert {r.page_id for r in rows if r.verdict == "block"} == set(range(0, 600, 2))
+    assert [urls.blocks_for(n) for n in (0, 1, 5, 6, 1000)] == [1, 1, 1, 2, 256]
+
+
+def test_url_filter_without_broadcasts(spark, monkeypatch):
+    monkeypatch.setattr(urls, "MOST", 0)
+    pages = spark.createDataFrame([(i, f"http://h{i % 100}.com/p") for i in range(300)] + [(None, None), (None, "none"), (1, None)], "page_id long, url string")
+    rows = urls.judged(pages, spark.createDataFrame([(f"h{i}.com/p",) for i in range(0, 200, 2)] * 2, "canonical string")).collect()
+    assert len(rows) == 303 and {r.host for r in rows if r.listed} == {f"h{i}.com" for i in range(0, 100, 2)}
+
+
+def test_the_bundled_list_is_no_pattern_of_the_pages(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    rows = urls.judged(pages, urls.bundled_list(spark)).collect()
+    on_listed_hosts = [r for r in rows if any(f"{x}.example" in r.host for x in urls.LISTED_LABELS)]
+    assert any(r.listed for r in on_listed_hosts) and not all(r.listed for r in on_listed_hosts)
+    assert urls.bundled_list(spark).count() > 10 * len(rows)
 
 
 def test_url_edges(spark):
     pages = spark.createDataFrame([], "page_id long, url string")
-    assert urls.judged(pages, urls.bundled_list(pages)).count() == 0
+    assert urls.judged(pages, urls.bundled_list(spark)).count() == 0
+    some = spark.createDataFrame([(1, "http://m.adult-x.example.com/en/0", "a", "b", "c", "d")], "page_id long, url string, canonical string, hit string, block string, key string")
+    assert [(r.verdict, r.listed) for r in urls.judged(some, urls.bundled_list(spark)).collect()] == [("block", True)]
+    assert [r.verdict for r in urls.judged(some, urls.bundled_list(spark).limit(0)).collect()] == ["allow"]
 
 
 # pipeline
@@ -551,6 +753,23 @@ def test_pipeline_stages(spark, documents):
     assert last.count() == docs.count()
 
 
+CLASHES = ("n_lines", "n_dropped", "drops", "cleaned", "doc", "row", "mix_row", "mix_key", "copies", "component_id", "kept", "n_shingles", "lang_pred", "score", "id", "region", "text_key", "template", "leaf", "line_no")
+
+
+def test_stages_keep_columns_with_the_names_of_their_own(spark, edges):
+    docs = edges
+    for name in CLASHES:
+        docs = docs.withColumn(name, F.lit(f"own {name}"))
+    kept = docs
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        kept = stage(spark, kept, SF)
+        assert kept.columns == docs.columns, name
+        assert all(r[c] == f"own {c}" for r in kept.collect() for c in (*CLASHES,) if c != "row"), name
+    assert corpus_pipeline.STAGES[-1][1](spark, kept, SF).count() == kept.count()
+    for made in (langid.identified(docs, None), lines.deduplicated(docs), neardup.clustered(docs), fingerprints.fingerprinted(docs), shards.interleaved(docs), mixing.mixed(docs)):
+        assert made.count() == docs.count() and len(set(made.columns)) == len(made.columns)
+
+
 def test_pipeline_takes_edges(spark, edges, empty):
     for docs in (edges, empty):
         kept = docs
