@@ -39,7 +39,7 @@ from .common import kept, small_or_plain, written
 TREES, DEPTH, DEEPER = 24, 4, 8
 SMALL = 128  # sets of a region up to which all its pairs are compared at once
 TILE = 256  # sets of a tile of a larger group
-COMMON = 16  # sets from which on an item's count decides its place in the order
+CELLS = 1 << 20  # counts by which items are ordered from rare to common; any order gives all pairs
 HEAVY = 50_000  # rows of a region from which on several tasks chain it
 MOST = 1_000_000  # rows up to which a side is broadcast
 BLOCK = 2048
@@ -215,30 +215,58 @@ def candidates(sets: DataFrame) -> tuple[DataFrame, DataFrame]:
     return pairs, kept(ends.distinct())
 
 
-def _exploded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(id, component, own, n, item) of (id, component, items), an item a row; own: a number of the set, as an id may have several."""
+def _cell_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(cell, n): how many items of a task's sets fall into each of CELLS cells."""
+    counts = np.zeros(CELLS, np.int64)
     for batch in batches:
-        for id_, component, items in zip(*batch.columns):
-            item, own = np.frombuffer(items.as_py(), np.uint64).view(np.int64), xxhash.xxh3_64_intdigest(items.as_py()) - (1 << 63)
-            for at in range(0, len(item), 1 << 16):
-                part = item[at:at + (1 << 16)]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), id_.as_py(), np.int64)), pa.array(np.full(len(part), component.as_py(), np.int64)), pa.array(np.full(len(part), own, np.int64)), pa.array(np.full(len(part), len(item), np.int64)), pa.array(part)], names=["id", "component", "own", "n", "item"])
+        for items in batch.column(0):
+            np.add.at(counts, np.frombuffer(items.as_py(), np.uint64).view(np.int64) & (CELLS - 1), 1)
+    cells = np.flatnonzero(counts)
+    yield pa.RecordBatch.from_arrays([pa.array(cells, pa.int64()), pa.array(counts[cells], pa.int64())], names=["cell", "n"])
+
+
+def _first_items(counts, percent: int):
+    """(item, id, component) of (id, component, items): of each set's n items the first n - ceil(percent * n / 100) + 1, those of the
+    least counts first; two sets at the similarity share one of these."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for id_, component, items in zip(*batch.columns):
+                item = np.frombuffer(items.as_py(), np.uint64).view(np.int64)
+                keep = len(item) + -percent * len(item) // 100 + 1
+                first = item[np.lexsort((item, counts.value[item & (CELLS - 1)]))[:keep]]
+                same = lambda x: pa.array(np.full(len(first), x.as_py(), np.int64))
+                yield pa.RecordBatch.from_arrays([pa.array(first), same(id_), same(component)], names=["item", "id", "component"])
+
+    return run
 
 
 def sharing(members: DataFrame, items: DataFrame, percent: int) -> DataFrame:
     """(block, id, component): blocks in which all pairs of members (id, component) of different components meet that can have a
     Jaccard of percent / 100; an exact set join by first items."""
-    rows = members.join(items, "id").select("id", "component", "items").mapInArrow(_exploded, "id long, component long, own long, n long, item long")
-    common = written(rows.groupBy("item").count().where(F.col("count") > COMMON).select("item", F.col("count").alias("holders")), "common", True)
-    order = Window.partitionBy("id", "own").orderBy(F.coalesce("holders", F.lit(0)), "item")
-    rows = rows.join(small_or_plain(common, MOST), "item", "left").withColumn("place", F.row_number().over(order))
-    first = written(rows.where(F.col("place") <= F.col("n") - F.ceil(F.col("n") * percent / 100) + 1).select("id", "component", "item").distinct(), "first-items", True)
-    groups = first.groupBy("item").agg(F.count("*").alias("size"), F.min("component").alias("low"), F.max("component").alias("high")).where("size > 1 and low < high")
-    groups = written(groups.select("item", F.ceil(F.col("size") / TILE).alias("tiles")), "groups", True)
-    own = F.pmod(F.xxhash64("id"), F.col("tiles"))
-    pair = F.transform(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1), lambda t: F.least(t, own) * F.col("tiles") + F.greatest(t, own))
-    rows = first.join(small_or_plain(groups, MOST), "item").select("item", "id", "component", F.explode(pair).alias("pair"))
-    return rows.select(F.xxhash64("item", "pair").alias("block"), "id", "component")
+    sets = members.join(items, "id").select("id", "component", "items")
+    counts = np.zeros(CELLS, np.int64)
+    found = sets.select("items").mapInArrow(_cell_counts, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()  # CELLS rows at most
+    counts[found["cell"].to_numpy()] = found["n"].to_numpy()
+    order = members.sparkSession.sparkContext.broadcast(counts)
+    first = written(sets.mapInArrow(_first_items(order, percent), "item long, id long, component long").distinct(), "first-items", True)
+    return tiled(first).select("block", "id", "component")
+
+
+def tiled(first: DataFrame) -> DataFrame:
+    """(item, block, id, component) of (item, id, component): the sets of an item, if of several components, so dealt to blocks of up to
+    about 2 * TILE sets that all pairs across components meet. As pairs within a component need not meet, the item's most
+    frequent component is cut into tiles that meet the tiles of all others, and only those meet each other."""
+    counts = first.groupBy("item", "component").agg(F.count("*").alias("n"))
+    groups = counts.groupBy("item").agg(F.sum("n").alias("size"), F.max(F.struct("n", "component")).alias("main")).where(F.col("main.n") < F.col("size"))
+    groups = written(groups.select("item", F.col("main.component").alias("main"), F.ceil(F.col("main.n") / TILE).alias("tiles"), F.ceil((F.col("size") - F.col("main.n")) / TILE).alias("others")), "groups", True)
+    is_main = F.col("component") == F.col("main")
+    own = F.pmod(F.xxhash64("id"), F.when(is_main, F.col("tiles")).otherwise(F.col("others")))
+    upto = lambda n: F.sequence(F.lit(0).cast("long"), F.col(n) - 1)
+    met = F.transform(upto("others"), lambda u: F.struct(F.lit(0).alias("kind"), own.alias("x"), u.alias("y")))
+    meets = F.transform(upto("tiles"), lambda t: F.struct(F.lit(0).alias("kind"), t.alias("x"), own.alias("y")))
+    beside = F.transform(F.filter(upto("others"), lambda u: u != own), lambda u: F.struct(F.lit(1).alias("kind"), F.least(u, own).alias("x"), F.greatest(u, own).alias("y")))
+    rows = first.join(small_or_plain(groups, MOST), "item").withColumn("at", F.explode(F.when(is_main, met).otherwise(F.concat(meets, beside))))
+    return rows.select("item", F.xxhash64("item", "at.kind", "at.x", "at.y").alias("block"), "id", "component")
 
 
 def crossing(sets: DataFrame, joined: DataFrame, items: DataFrame, percent: int) -> DataFrame:

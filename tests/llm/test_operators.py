@@ -345,7 +345,7 @@ def test_dense_families_lose_no_link(spark, kinds):
 
 def test_large_and_heavy_regions_give_the_same_components(spark, documents, monkeypatch):
     """All regions are dealt to several tasks, go through the set join, and their groups are cut into tiles."""
-    for name, value in (("HEAVY", 1), ("SMALL", 1), ("TILE", 2), ("COMMON", 1), ("MOST", 0)):
+    for name, value in (("HEAVY", 1), ("SMALL", 1), ("TILE", 2), ("MOST", 0)):
         monkeypatch.setattr(neardup, name, value)
     rows = [(r.doc_id, r.text) for r in documents.collect()] + [(10 ** 6 + i, t) for i, t in family(random.Random(12), 40, 30)]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
@@ -368,6 +368,18 @@ def test_set_join_meets_every_pair_at_the_similarity(spark, monkeypatch):
     assert want and want <= pairs and len(pairs) < len(sets) ** 2 / 2
 
 
+def test_tiles_meet_across_components(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "TILE", 3)
+    rng = random.Random(14)
+    rows = [(item, i, 0 if rng.random() < main else rng.randrange(1, 9)) for item, n, main in ((1, 60, 0.8), (2, 40, 0.1), (3, 2, 0.5), (4, 30, 1.0)) for i in range(n)]
+    met = collections.defaultdict(set)
+    for r in neardup.tiled(spark.createDataFrame(rows, "item long, id long, component long")).collect():
+        met[(r.item, r.block)].add(r.id)
+    pairs = {(item, a, b) for (item, _), held in met.items() for a in held for b in held if a < b}
+    assert {(k, a, b) for k, a, x in rows for m, b, y in rows if k == m and a < b and x != y} <= pairs
+    assert max(map(len, met.values())) < 25 and not any(k == 4 for k, _ in met)
+
+
 def test_near_dedup_edges(spark, edges, empty):
     rows = neardup.clustered(edges).collect()
     assert len(rows) == edges.count()
