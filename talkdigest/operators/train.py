@@ -107,18 +107,20 @@ def direct_stride(rows: DataFrame, ridge: float = 1e-3) -> list[float]:
     return np.linalg.solve(a + ridge * np.trace(a) / width * np.eye(width), np.array([s[f"b{i}"] for i in range(width)])).tolist()
 
 
-def policy_gradient(reward: Callable[[list[float], int], list[tuple[np.ndarray, float]]], actions: int = 4, episodes: int = 5, lr: float = 0.5) -> list[tuple[int, list[float], float]]:
-    """[(episode, logits, mean reward)]. reward(logits, episode) runs one episode and gives (counts of actions, reward) of each meeting.
+def policy_gradient(reward: Callable[[list[float], int], tuple[int, float, np.ndarray, np.ndarray]], actions: int = 4, episodes: int = 5, lr: float = 0.5) -> list[tuple[int, list[float], float]]:
+    """[(episode, logits after its update, mean reward of the episode)]. reward(logits, episode) runs one episode and gives sums over
+    its meetings: their number, rewards r, counts c of the actions taken, and r * c.
 
-    The gradient of a softmax policy is the sum of (one-hot - p) over steps, times reward less the running mean."""
+    The gradient of a softmax policy is the sum of (one-hot - p) over steps, times reward less the running mean; it follows from the sums."""
     logits, mean, out = np.zeros(actions), None, []
     for e in range(episodes):
-        found = reward(logits.tolist(), e)
+        n, total, taken, paid = reward(logits.tolist(), e)
         p = np.exp(logits - logits.max())
         p /= p.sum()
-        got = float(np.mean([r for _, r in found])) if found else 0.0
+        got = total / n if n else 0.0
         mean = got if mean is None else 0.9 * mean + 0.1 * got
+        if n:
+            gain = paid - mean * taken
+            logits = logits + lr * (gain - p * gain.sum()) / n
         out.append((e, logits.tolist(), got))
-        if found:
-            logits = logits + lr * np.mean([(r - mean) * (c - c.sum() * p) for c, r in found], axis=0)
     return out
