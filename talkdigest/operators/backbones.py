@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -90,15 +91,40 @@ def cosine(a: Counter, b: Counter) -> float:
 
 
 def gap_scores(items: list[Counter], block: int) -> np.ndarray:
-    """Similarity of the `block` utterances before and after each inner gap."""
-    out = np.zeros(max(0, len(items) - 1))
-    for g in range(len(out)):
-        left, right = Counter(), Counter()
-        for x in items[max(0, g + 1 - block):g + 1]:
-            left += x
-        for x in items[g + 1:g + 1 + block]:
-            right += x
-        out[g] = cosine(left, right)
+    """Similarity of the `block` utterances before and after each inner gap, from running counts of both sides.
+
+    The counts, their squares and their product change word by word as the gap moves on, so a word is touched four times in all."""
+    n = len(items)
+    out = np.zeros(max(0, n - 1))
+    left, right = Counter(), Counter()
+    dot = aa = bb = 0
+
+    def into_left(x, sign):
+        nonlocal dot, aa
+        for w, c in x.items():
+            c, had = sign * c, left[w]
+            aa += c * (2 * had + c)
+            dot += c * right[w]
+            left[w] = had + c
+
+    def into_right(x, sign):
+        nonlocal dot, bb
+        for w, c in x.items():
+            c, had = sign * c, right[w]
+            bb += c * (2 * had + c)
+            dot += c * left[w]
+            right[w] = had + c
+
+    for x in items[:block]:
+        into_right(x, 1)
+    for g in range(n - 1):
+        into_right(items[g], -1)
+        into_left(items[g], 1)
+        if g + block < n:
+            into_right(items[g + block], 1)
+        if g >= block:
+            into_left(items[g - block], -1)
+        out[g] = dot / math.sqrt(aa * bb) if dot else 0.0
     return out
 
 
@@ -249,3 +275,45 @@ class PolicyBackbone(Backbone):
         cut = max(0, int(np.searchsorted(ends, j, "right")) - 1)
         inner = View(view.meeting_id, view.utt_nos, view.speakers, view.texts, view.n_tok, view.left, view.left + cut, view.k)
         return self.inner.generate(inner)[0], view.left + cut
+
+
+class Seq2SeqBackbone(Backbone):
+    """The encoder-decoder itself: a window's words are encoded, and decoding writes a snippet, the separator and the last supporting
+    utterance, which the run then looks up by its text.
+
+    Words are hashed to the model's vocabulary. A step scores the distinct words of the window (an output points at what was read;
+    a word is written once), and the snippet ends after q words or when the end token scores best. The supporting utterance is the
+    one whose words the decoder, after the separator, scores highest on average. Weights are seeded or given."""
+
+    name = "seq2seq"
+
+    def __init__(self, model, q: int = 12, sep: str = "[SEP]"):
+        self.model, self.q, self.sep = model, q, sep
+
+    def ids(self, words: list[str]) -> list[int]:
+        return [2 + zlib.crc32(w.encode()) % (self.model.vocabulary - 2) for w in words]
+
+    def written(self, view: View) -> str:
+        """What the decoder writes of a window."""
+        utterances = [WORD.findall((t or "").lower()) for t in view.texts[view.left:view.hi + 1]]
+        words = [w for u in utterances for w in u]
+        if not words:
+            return f"{self.sep} {view.texts[view.hi] or ''}"
+        encoded = np.vstack([self.model.encode(self.ids(words[i:i + view.k])) for i in range(0, len(words), view.k)])
+        open_ = list(dict.fromkeys(words))
+        out, snippet = [0], []
+        while open_ and len(snippet) < self.q:
+            logits = self.model.logits(out, encoded)[-1]
+            scores = logits[self.ids(open_)]
+            best = int(scores.argmax())
+            if snippet and logits[1] > scores[best]:
+                break
+            snippet.append(open_.pop(best))
+            out.append(self.ids(snippet[-1:])[0])
+        logits = self.model.logits(out + [1], encoded)[-1]
+        means = [float(logits[self.ids(u)].mean()) if u else -math.inf for u in utterances]
+        return f"{' '.join(snippet)} {self.sep} {view.texts[view.left + int(np.argmax(means))]}"
+
+    def generate(self, view: View):
+        snippet, _, support = self.written(view).partition(f"{self.sep} ")
+        return snippet.rstrip(), support

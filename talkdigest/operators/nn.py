@@ -152,17 +152,30 @@ def block_context(blocks: list[np.ndarray]) -> np.ndarray:
     return np.mean([b.mean(0) for b in blocks], axis=0)
 
 
-def encode_column(df: DataFrame, model: Seq2Seq, ids: str = "ids", window: int = 1024) -> DataFrame:
-    """df (key, ids array<int>) with the mean encoding of each row; rows longer than a window are encoded block by block."""
+def encode_column(df: DataFrame, model: Seq2Seq, ids: str = "ids", window: int = 1024, band: int | None = None) -> DataFrame:
+    """df (key, ids array<int>) with the mean encoding of each row; rows longer than a window are encoded block by block. band: how far
+    attention reaches, all of the window by default."""
+    mask = lambda n: None if band is None else banded(n, band)
     shared = df.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("array<double>")
     def run(column: pd.Series) -> pd.Series:
-        return column.map(lambda x: block_context([shared.value.encode(list(x[i:i + window])) for i in range(0, len(x), window)]).tolist() if len(x) else [])
+        return column.map(lambda x: block_context([shared.value.encode(part, mask(len(part))) for i in range(0, len(x), window) for part in (list(x[i:i + window]),)]).tolist() if len(x) else [])
 
     return df.withColumn("encoded", run(ids))
 
 
+def decode_column(df: DataFrame, model: Seq2Seq, ids: str = "ids", window: int = 1024, most: int = 16, beam: int = 1) -> DataFrame:
+    """df (key, ids array<int>) with `outputs`: the ids that the model writes of each window of a row, in order."""
+    shared = df.sparkSession.sparkContext.broadcast(model)
+
+    @F.pandas_udf("array<array<int>>")
+    def run(column: pd.Series) -> pd.Series:
+        return column.map(lambda x: [shared.value.decode(list(x[i:i + window]), most, beam) for i in range(0, len(x), window)])
+
+    return df.withColumn("outputs", run(ids))
+
+
 def dot(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
 
