@@ -20,6 +20,6 @@ def positions(df: DataFrame, bucket: Column, order: list[str], by: list[str], na
     return rows.join(counts, on).select(*df.columns, (F.col("before_bucket") + F.col("in_bucket")).cast("long").alias(name))
 
 
-def text_bucket(column: Column, n_bytes: int = 4) -> Column:
+def text_bucket(column: Column, n_bytes: int = 8) -> Column:
     """An order-preserving bucket of a string: its first bytes."""
     return F.substring(F.hex(column.cast("binary")), 1, 2 * n_bytes)

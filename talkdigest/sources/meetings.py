@@ -11,7 +11,7 @@ from ..operators.ranking import positions
 from ..schema import ROLES, positive, require
 
 COLUMNS = ["meeting_id", "agenda_no", "utt_no", "speaker", "text", "tokens", "n_tok", "tok_start", "tok_end", "char_start", "char_end"]
-ID_BUCKET = 1024  # neighbouring document ids a rank bucket
+ID_BUCKET, ID_BUCKETS = 1024, 1 << 16  # neighbouring document ids a rank bucket at least, and buckets at most
 
 
 def finished(rows: DataFrame) -> DataFrame:
@@ -25,7 +25,9 @@ def from_documents(documents: DataFrame, per: int = 12) -> DataFrame:
     positive(per=per)
     require(documents, "doc_id any, lang string, text string")
     docs = documents.select("doc_id", F.coalesce("lang", F.lit("und")).alias("lang"), "text")
-    docs = positions(docs, F.floor(F.col("doc_id") / ID_BUCKET), ["doc_id"], ["lang"], "place")
+    low, high = docs.agg(F.min("doc_id"), F.max("doc_id")).first()
+    width = max(ID_BUCKET, -(-((high or 0) - (low or 0) + 1) // ID_BUCKETS))  # so that the counts before a bucket fit one task
+    docs = positions(docs, F.floor(F.col("doc_id") / width), ["doc_id"], ["lang"], "place")
     meeting = F.concat_ws("-", "lang", F.expr(f"place div {per}").cast("string"))
     rows = docs.select(meeting.alias("meeting_id"), F.pmod("place", F.lit(per)).cast("int").alias("agenda_no"), F.posexplode(T.sentences(F.col("text"))).alias("piece", "text"))
     utt = F.row_number().over(Window.partitionBy("meeting_id").orderBy("agenda_no", "piece")) - 1
