@@ -102,7 +102,9 @@ AGREE_SQL = {
     "rank": f"WITH {GOLD}, y AS (SELECT meeting_id, row_number() OVER (PARTITION BY meeting_id ORDER BY seg_start, seg_end, sent_no) = row_number() OVER (PARTITION BY meeting_id ORDER BY sent_no) AS hit FROM sn), x AS (SELECT count(*) FILTER (hit) AS hits, count(*) AS total FROM y GROUP BY meeting_id) " + AGREE.format(m="rank"),
     "adjacent": f"WITH {GOLD}, y AS (SELECT meeting_id, seg_start, lag(seg_start) OVER (PARTITION BY meeting_id ORDER BY sent_no) AS b FROM sn), x AS (SELECT count(*) FILTER (b <= seg_start) AS hits, count(*) AS total FROM y WHERE b IS NOT NULL GROUP BY meeting_id) " + AGREE.format(m="adjacent"),
     "kendall": f"WITH {GOLD}, x AS (SELECT count(*) FILTER (a.seg_start <= b.seg_start) AS hits, count(*) AS total FROM sn a JOIN sn b ON a.meeting_id = b.meeting_id AND a.sent_no < b.sent_no GROUP BY a.meeting_id) " + AGREE.format(m="kendall"),
-    "lis": None,
+    "lis": f"""WITH RECURSIVE {GOLD}, q AS (SELECT meeting_id, row_number() OVER (PARTITION BY meeting_id ORDER BY sent_no) AS i, seg_start FROM sn),
+r AS (SELECT meeting_id, i, seg_start, 1 AS l FROM q UNION SELECT q.meeting_id, q.i, q.seg_start, r.l + 1 FROM r JOIN q ON q.meeting_id = r.meeting_id AND q.i > r.i AND q.seg_start >= r.seg_start),
+x AS (SELECT meeting_id, max(l) AS hits, max(i) AS total FROM r GROUP BY meeting_id) """ + AGREE.format(m="lis"),
 }
 for _measure, _sql in AGREE_SQL.items():
     query(f"order_agreement_{_measure}", _sql)(lambda spark, d, m=_measure: analysis.order_agreement(analysis.support_spans(bundles_and_gold(spark, d)[1]), m))

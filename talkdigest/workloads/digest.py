@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..operators import analysis, baselines, boundary, convert, experiments, measures, rouge, runs, windows
-from ..operators.backbones import CohesionBackbone, GoldBackbone, IndicatorBackbone, LeadBackbone, RandomBackbone
+from ..operators.backbones import CohesionBackbone, GoldBackbone, IndicatorBackbone, LeadBackbone, RandomBackbone, Seq2SeqBackbone
 from ..sources import gold as planted
 from .base import BUNDLES, GOLD, MERGED, TALKS, bundles, bundles_and_gold, hashed_text, lead_steps, query, rouge_sql, table, talks, window_parts
 
@@ -131,25 +131,69 @@ def run_dynamic_indicator(spark, d):
     return runs.dynamic(bundles(spark, d), IndicatorBackbone(), K)
 
 
-@query("run_dynamic_random")
+PICKED = f""", pk AS (SELECT st.*, u.text, u.utt_no, row_number() OVER (PARTITION BY st.meeting_id, step ORDER BY (u.utt_no * 7919) % 104729, u.utt_no) AS nth FROM st JOIN u ON u.meeting_id = st.meeting_id AND u.utt_no BETWEEN left_utt AND hi_utt)
+SELECT meeting_id, step, left_utt, hi_utt, i_left, i_right, md5(string_agg(text, ' ' ORDER BY utt_no)) AS snippet, boundary_utt, stride_tok FROM pk WHERE nth <= {Q} GROUP BY ALL"""
+
+
+@query("run_dynamic_random", f"WITH RECURSIVE {BUNDLES}{lead_steps(K, 10 ** 9)}{PICKED}")
 def run_dynamic_random(spark, d):
-    return runs.dynamic(bundles(spark, d), RandomBackbone(Q), K)
+    return hashed_text(runs.dynamic(bundles(spark, d), RandomBackbone(Q), K))
+
+
+@query("talks_dynamic_seq2seq")
+def talks_dynamic_seq2seq(spark, d):
+    """The dynamic run with the (untrained, seeded) encoder-decoder as its generator."""
+    from ..operators import nn
+
+    return runs.dynamic(talks(spark, d), Seq2SeqBackbone(nn.Seq2Seq(1000)), 128)
+
+
+@query("talks_consistency_seq2seq")
+def talks_consistency_seq2seq(spark, d):
+    """(run, meetings, grams, supported) of the truncated and the dynamic run of the encoder-decoder: bigrams of what it wrote that the source has."""
+    from ..operators import nn
+
+    utts, backbone, out = talks(spark, d), Seq2SeqBackbone(nn.Seq2Seq(1000)), None
+    for run, steps in (("truncate", runs.truncate_run(utts, backbone, 128)), ("dynamic", runs.dynamic(utts, backbone, 128))):
+        row = measures.consistency(runs.assemble(steps), utts).agg(F.count("*").alias("meetings"), F.sum("grams").alias("grams"), F.sum("supported").alias("supported")).withColumn("run", F.lit(run))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _talk_ids(spark, d):
+    ids = F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("utt_no", "tokens"))), lambda x: x["tokens"]))
+    return talks(spark, d).groupBy("meeting_id").agg(F.transform(ids, lambda w: F.pmod(F.xxhash64(w), F.lit(1000)).cast("int")).alias("ids"))
+
+
+@query("decoder_outputs")
+def decoder_outputs(spark, d):
+    """(meeting_id, outputs): up to eight ids that six encoder and six decoder layers write of each window of a talk, greedily."""
+    from ..operators import nn
+
+    return nn.decode_column(_talk_ids(spark, d), nn.Seq2Seq(1000), most=8).select("meeting_id", "outputs")
+
+
+@query("banded_encoding")
+def banded_encoding(spark, d):
+    """(meeting_id, encoding): as encoder_layers, with attention to places at most 16 apart."""
+    from ..operators import nn
+
+    return nn.encode_column(_talk_ids(spark, d), nn.Seq2Seq(1000), band=16).select("meeting_id", F.col("encoded").alias("encoding"))
 
 
 @query("run_dynamic_learned")
 def run_dynamic_learned(spark, d):
     utts, gold = bundles_and_gold(spark, d)
-    backbone, _ = experiments.learned(utts, gold, epochs=10)
+    backbone, _ = experiments.learned(utts, gold)
     return runs.dynamic(utts, backbone, K)
 
 
 @query("training_history")
 def training_history(spark, d):
-    """(epoch, loss, val_r2) of the boundary head; null val_r2 where an epoch was not validated."""
+    """(epoch, loss, val_r2, chosen) of the boundary head over 20 epochs; the chosen one has the best ROUGE-2 on validation."""
     utts, gold = bundles_and_gold(spark, d)
-    _, history = experiments.learned(utts, gold, epochs=10)
-    scores = {e: s for e, _, s in experiments.validated(utts, gold, history, 5)}
-    return spark.createDataFrame([(e, float(loss), scores.get(e)) for e, _, loss in history], "epoch int, loss double, val_r2 double")
+    backbone, history = experiments.learned(utts, gold)
+    return spark.createDataFrame([(e, float(loss), s, w == backbone.coefs) for e, w, loss, s in history], "epoch int, loss double, val_r2 double, chosen boolean")
 
 
 @query("run_dynamic_stride")
@@ -161,8 +205,8 @@ def run_dynamic_stride(spark, d):
 @query("run_dynamic_policy")
 def run_dynamic_policy(spark, d):
     utts, gold = bundles_and_gold(spark, d)
-    backbone, _ = experiments.policy(utts, gold, LeadBackbone(8), 256, episodes=3, most=20)
-    return runs.dynamic(utts, backbone, 256)
+    backbone, _ = experiments.policy(utts, gold, LeadBackbone(8), K, episodes=3)
+    return runs.dynamic(utts, backbone, K)
 
 
 @query("run_dynamic_gold", f"WITH {MERGED} SELECT meeting_id, snip_no AS step, seg_end AS boundary_utt FROM sg")
@@ -249,7 +293,7 @@ def boundary_distance(spark, d):
 def boundary_distance_by_backbone(spark, d):
     """(backbone, n, utterances, characters, hit_rate): gold is 0 off, then lead, cohesion and learned."""
     utts, gold = bundles_and_gold(spark, d)
-    trained, _ = experiments.learned(utts, gold, epochs=10)
+    trained, _ = experiments.learned(utts, gold)
     out = None
     for name, backbone in (("lead", LeadBackbone(Q)), ("cohesion", CohesionBackbone()), ("learned", trained)):
         rows = boundary.summary(experiments.boundary_distances(utts, gold, lambda b=backbone: b, K)).withColumn("backbone", F.lit(name))
@@ -289,7 +333,10 @@ for _run in ("truncate", "dynamic"):
     query(f"consistency_rate_{_run}", assembled_sql(_run) + SUPPORTED)(_consistency)
 
 
-@query("consistency_window")
+@query("consistency_window", "WITH RECURSIVE " + BUNDLES + lead_steps(K, Q) + r""",
+oo AS (SELECT DISTINCT meeting_id, step, t[i] || ' ' || t[i + 1] AS g FROM (SELECT meeting_id, step, t, unnest(range(1, len(t))) AS i FROM (SELECT meeting_id, step, regexp_extract_all(lower(x), '[\p{L}\p{N}]+') AS t FROM (SELECT meeting_id, step, unnest(string_split_regex(snippet, '[.!?\n]+')) AS x FROM st)))),
+ss AS (SELECT DISTINCT meeting_id, step, tokens[i] || ' ' || tokens[i + 1] AS g FROM (SELECT st.meeting_id, step, tokens, unnest(range(1, len(tokens))) AS i FROM st JOIN u ON u.meeting_id = st.meeting_id AND u.utt_no BETWEEN left_utt AND hi_utt))
+SELECT oo.meeting_id, oo.step, count(*) AS grams, count(ss.g) AS supported FROM oo LEFT JOIN ss ON ss.meeting_id = oo.meeting_id AND ss.step = oo.step AND ss.g = oo.g GROUP BY oo.meeting_id, oo.step""")
 def consistency_window(spark, d):
     utts = bundles(spark, d)
     return measures.window_consistency(runs.dynamic(utts, LeadBackbone(Q), K), utts)
@@ -322,7 +369,7 @@ def window_cost(spark, d):
     return out
 
 
-SWEEP = (64, 128, 256)
+SWEEP = (64, 128, 256, 512, 1024)
 
 
 def _sweep_sql() -> str:
@@ -341,10 +388,24 @@ def k_sweep(spark, d):
     return out
 
 
-@query("k_sweep_recall")
+RECALL_SWEEP = (64, 128, 256, 512, 1024)
+
+
+def _recall_sql() -> str:
+    """Steps, cost and support recall of the lead run for each window size."""
+    one = lambda k: f"""SELECT * FROM (WITH RECURSIVE {GOLD}{lead_steps(k, 8)},
+ kc AS (SELECT count(*) AS steps, sum(i_right - i_left) AS tokens, max(i_right) - min(i_left) AS reach, sum((i_right - i_left) * (i_right - i_left)) AS attention FROM st GROUP BY meeting_id),
+ kw AS (SELECT meeting_id, s AS utt_no FROM gold WHERE annotated UNION SELECT meeting_id, t FROM gold WHERE annotated),
+ kr AS (SELECT count(*) AS n, count(*) FILTER (EXISTS (SELECT 1 FROM st WHERE st.meeting_id = kw.meeting_id AND kw.utt_no BETWEEN st.left_utt AND st.boundary_utt)) AS seen FROM kw)
+ SELECT CAST({k} AS BIGINT) AS k, CAST(sum(steps) AS BIGINT) AS steps, CAST(sum(tokens) AS BIGINT) AS tokens, CAST(sum(greatest(0, tokens - reach)) AS BIGINT) AS again, CAST(sum(attention) AS BIGINT) AS attention,
+  (SELECT round(seen / n, 6) FROM kr) AS recall FROM kc)"""
+    return " UNION ALL ".join(one(k) for k in RECALL_SWEEP)
+
+
+@query("k_sweep_recall", _recall_sql())
 def k_sweep_recall(spark, d):
     utts, gold = bundles_and_gold(spark, d)
-    return experiments.sweep_k(utts, gold, 8, (256, 1024))
+    return experiments.sweep_k(utts, gold, 8, RECALL_SWEEP)
 
 
 @query("segmentation_quality")
@@ -498,6 +559,4 @@ def encoder_layers(spark, d):
     """(meeting_id, encoding): encoding of all word ids of each talk under six seeded layers, in windows of up to 1,024."""
     from ..operators import nn
 
-    ids = F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("utt_no", "tokens"))), lambda x: x["tokens"]))
-    rows = talks(spark, d).groupBy("meeting_id").agg(F.transform(ids, lambda w: F.pmod(F.xxhash64(w), F.lit(1000)).cast("int")).alias("ids"))
-    return nn.encode_column(rows, nn.Seq2Seq(1000)).select("meeting_id", F.col("encoded").alias("encoding"))
+    return nn.encode_column(_talk_ids(spark, d), nn.Seq2Seq(1000)).select("meeting_id", F.col("encoded").alias("encoding"))

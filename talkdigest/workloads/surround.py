@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -11,11 +9,11 @@ from ..functions import register as R
 from ..functions import subword
 from ..functions import text as T
 from ..operators import relational
-from ..operators.iteration import cut
+from ..operators.iteration import cut, shared_dir
 from ..plans import planner
 from ..sources import io, layout
 from ..streaming import live
-from .base import BUNDLES, GOLD, TALKS, bundles, bundles_and_gold, query, table, talks
+from .base import BUNDLES, GOLD, TALKS, bundles, bundles_and_gold, lead_steps, query, table, talks
 
 
 def one(name: str, sql: str, spark_sql: str | None = None):
@@ -51,8 +49,7 @@ for _fmt in ("json", "csv", "orc", "text"):
 
 
 def shared(spark) -> str:
-    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    return folder.rstrip("/") if folder else f"file://{tempfile.mkdtemp(prefix='talkdigest-')}"
+    return shared_dir(spark)
 
 
 def unique() -> str:
@@ -243,7 +240,7 @@ def udf_lcs(spark, d):
     return rows.where("before is not null").select("meeting_id", "utt_no", F.expr("lcs_length(tokens, before)").alias("lcs"))
 
 
-@query("udtf_slide")
+@query("udtf_slide", f"WITH RECURSIVE {TALKS}{lead_steps(128, 10 ** 9)} SELECT st.meeting_id, step AS win, left_utt AS first_utt, hi_utt AS last_utt, CAST(sum(n_tok) AS BIGINT) AS tokens FROM st JOIN u ON u.meeting_id = st.meeting_id AND u.utt_no BETWEEN left_utt AND hi_utt GROUP BY ALL")
 def udtf_slide(spark, d):
     R.register(spark)
     talks(spark, d).select("meeting_id", "utt_no", "n_tok").createOrReplaceTempView("slide_input")
