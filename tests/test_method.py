@@ -11,8 +11,8 @@ from pyspark.sql import functions as F
 from talkdigest import schema
 from talkdigest.functions import subword
 from talkdigest.functions import text as T
-from talkdigest.operators import analysis, baselines, boundary, convert, coref, experiments, measures, nn, ranking, relational, rouge, runs, split, train, windows
-from talkdigest.operators.backbones import CohesionBackbone, GoldBackbone, IndicatorBackbone, LeadBackbone, LearnedBackbone, PolicyBackbone, RandomBackbone, StrideBackbone, TextBoundary
+from talkdigest.operators import analysis, backbones, baselines, boundary, convert, coref, experiments, measures, nn, ranking, relational, rouge, runs, split, train, windows
+from talkdigest.operators.backbones import CohesionBackbone, GoldBackbone, IndicatorBackbone, LeadBackbone, LearnedBackbone, PolicyBackbone, RandomBackbone, Seq2SeqBackbone, StrideBackbone, TextBoundary
 from talkdigest.operators.positions import attach
 from talkdigest.sources import gold as planted
 from talkdigest.sources import io, layout, meetings
@@ -414,6 +414,11 @@ def test_adamw_equals_one_node(spark):
 def test_learned_backbones_run(utts, gold):
     backbone, history = experiments.learned(utts, gold, epochs=4)
     assert isinstance(backbone, LearnedBackbone) and history[-1][2] < history[0][2]
+    best = max(h[3] for h in history)
+    assert backbone.coefs == next(h[1] for h in history if h[3] == best)  # the earliest of the best on validation
+    names = split.assign(utts).where("split = 'validation'")
+    text = runs.assemble(runs.dynamic(utts.join(names, "meeting_id", "left_semi"), backbone, 1024))
+    assert rouge.means(rouge.ngram(rouge.pairs(text, rouge.reference_texts(gold.join(names, "meeting_id", "left_semi"))), 2), "r2").first().f == best
     assert runs.dynamic(utts, backbone, 1024).count() > 0
     stride = experiments.direct(utts, gold, LeadBackbone(10))
     assert isinstance(stride, StrideBackbone) and runs.dynamic(utts, stride, 1024).count() > 0
@@ -425,18 +430,51 @@ def test_policy_gradient_finds_the_paying_action():
     def reward(logits, episode):
         p = PolicyBackbone(LeadBackbone(), logits).probabilities()
         rng = np.random.default_rng(episode)
-        out = []
-        for _ in range(40):
-            counts = np.bincount(rng.choice(4, size=5, p=p), minlength=4).astype(float)
-            out.append((counts, counts[2] / 5))
-        return out
+        counts = np.array([np.bincount(rng.choice(4, size=5, p=p), minlength=4) for _ in range(40)], float)
+        paid = counts[:, 2] / 5
+        return 40, paid.sum(), counts.sum(0), (paid[:, None] * counts).sum(0)
     history = train.policy_gradient(reward, 4, 25, 0.5)
     assert int(np.argmax(history[-1][1])) == 2 and history[-1][2] > history[0][2]
 
 
 def test_policy_runs_distributed(utts, gold):
-    backbone, history = experiments.policy(utts, gold, LeadBackbone(4), 256, episodes=2, most=4)
-    assert len(history) == 2 and all(0 < h[2] < 1 for h in history) and backbone.greedy
+    backbone, history = experiments.policy(utts, gold, LeadBackbone(4), 256, episodes=2)
+    assert len(history) == 2 and all(0 < h[2] < 1 for h in history) and backbone.greedy and backbone.logits == history[-1][1] != history[0][1]
+
+
+def test_policy_gradient_from_sums_equals_that_from_meetings():
+    rng = np.random.default_rng(4)
+    counts, paid = rng.integers(0, 5, (30, 4)).astype(float), rng.random(30)
+    got = train.policy_gradient(lambda logits, e: (30, paid.sum(), counts.sum(0), (paid[:, None] * counts).sum(0)), 4, 1, 0.5)
+    want = 0.5 * np.mean([(r - paid.mean()) * (c - c.sum() / 4) for c, r in zip(counts, paid)], axis=0)
+    assert np.allclose(got[0][1], want)
+
+
+def test_seq2seq_backbone_writes_snippet_and_boundary(spark):
+    talk = [("m", 0, i, s, t) for i, (s, t) in enumerate([("PM", "the remote costs twelve euro"), ("ME", "users want a ball"), ("ID", ""), ("UI", "the case is rubber"), ("PM", "we close now")])]
+    utts = meetings.finished(spark.createDataFrame(talk, "meeting_id string, agenda_no int, utt_no long, speaker string, text string"))
+    backbone = Seq2SeqBackbone(nn.Seq2Seq(50, seed=3), q=4)
+    steps = runs.dynamic(utts, backbone, 10).orderBy("step").collect()
+    source = {w for _, _, _, _, t in talk for w in t.split()}
+    assert steps[-1].boundary_utt == 4 and [s.left_utt for s in steps[1:]] == [s.boundary_utt + 1 for s in steps[:-1]]
+    assert all(s.snippet.split() and set(s.snippet.split()) <= source and len(s.snippet.split()) <= 4 and "[SEP]" not in s.snippet for s in steps)
+    # step by step in one process, with the boundary looked up by hand
+    texts, n = [t for *_, t in talk], np.array([len(t.split()) for *_, t in talk])
+    view = windows.View("m", np.arange(5), ["x"] * 5, texts, n, 0, int(steps[0].hi_utt), 10)
+    snippet, support = backbone.written(view).split(" [SEP] ")
+    assert steps[0].snippet == snippet and texts.index(support) == steps[0].boundary_utt
+    one = nn.decode_column(spark.createDataFrame([(1, [5, 6, 7, 8, 9])], "k int, ids array<int>"), nn.Seq2Seq(20, layers=2), window=3, most=4).first()
+    model = nn.Seq2Seq(20, layers=2)
+    assert [list(x) for x in one.outputs] == [model.decode([5, 6, 7], 4), model.decode([8, 9], 4)]
+
+
+def test_running_gap_scores_equal_sums_of_blocks():
+    rng = np.random.default_rng(5)
+    items = [Counter(rng.choice(list("abcdefg"), rng.integers(0, 6)).tolist()) for _ in range(40)]
+    for block in (1, 3, 50):
+        for g, s in enumerate(backbones.gap_scores(items, block)):
+            a, b = (sum(part, Counter()) for part in (items[max(0, g + 1 - block):g + 1], items[g + 1:g + 1 + block]))
+            assert s == pytest.approx(backbones.cosine(a, b))
 
 
 def test_scoreboard_trends_on_planted_data(utts, gold):
