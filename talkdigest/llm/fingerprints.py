@@ -200,11 +200,13 @@ def cuts(documents: DataFrame, n: int) -> list[int]:
 
 def _at_most(bounds: Column, n: int, below) -> Column:
     """How many of n ascending bounds satisfy below(bound), which holds for a first part of them: a binary search."""
-    place = F.lit(0)
-    for k in reversed(range(n.bit_length())):
-        ahead = place + (1 << k)
-        place = F.when((ahead <= n) & below(F.get(bounds, F.least(ahead, F.lit(n)) - 1)), ahead).otherwise(place)
-    return place
+    steps = F.array(*[F.lit(1 << k) for k in reversed(range(n.bit_length()))])
+
+    def ahead(place, step):
+        there = place + step
+        return F.when((there <= n) & below(F.get(bounds, F.least(there, F.lit(n)) - 1)), there).otherwise(place)
+
+    return F.aggregate(steps, F.lit(0), ahead)
 
 
 def _share(order_key: Column) -> Column:
