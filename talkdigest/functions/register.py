@@ -39,7 +39,7 @@ class Slide:
 
 
 def slide_udtf() -> UserDefinedTableFunction:
-    return F.udtf(Slide, returnType="meeting_id string, win long, first_utt long, last_utt long, tokens long")
+    return F.udtf(Slide, returnType="meeting_id string, win long, first_utt long, last_utt long, tokens long", useArrow=True)
 
 
 def register(spark: SparkSession) -> None:

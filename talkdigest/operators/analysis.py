@@ -45,6 +45,22 @@ def longest_in_order(starts) -> int:
     return len(tails)
 
 
+def pairs_in_order(starts) -> int:
+    """Pairs whose later member does not start earlier, without visiting each pair."""
+    seen: list[int] = []
+    hits = 0
+    for x in starts:
+        at = bisect_right(seen, x)
+        hits += at
+        seen.insert(at, x)
+    return hits
+
+
+def starts_in_order(spans: DataFrame) -> DataFrame:
+    """(meeting_id, starts): a meeting's segment starts in the order of its summary."""
+    return spans.groupBy("meeting_id").agg(F.transform(F.sort_array(F.collect_list(F.struct("sent_no", "seg_start"))), lambda x: x["seg_start"]).alias("starts"))
+
+
 def agreement_by_meeting(spans: DataFrame, measure: str = "rank") -> DataFrame:
     """(meeting_id, hits, total) of a measure: rank, adjacent, lis or kendall."""
     if measure == "rank":
@@ -57,11 +73,14 @@ def agreement_by_meeting(spans: DataFrame, measure: str = "rank") -> DataFrame:
         def longest(starts: pd.Series) -> pd.Series:
             return starts.map(longest_in_order)
 
-        rows = spans.groupBy("meeting_id").agg(F.transform(F.sort_array(F.collect_list(F.struct("sent_no", "seg_start"))), lambda x: x["seg_start"]).alias("starts"))
-        return rows.select("meeting_id", longest("starts").alias("hits"), F.size("starts").cast("long").alias("total"))
+        return starts_in_order(spans).select("meeting_id", longest("starts").alias("hits"), F.size("starts").cast("long").alias("total"))
     if measure == "kendall":
-        a, b = spans.select("meeting_id", F.col("sent_no").alias("i"), F.col("seg_start").alias("x")), spans.select("meeting_id", F.col("sent_no").alias("j"), F.col("seg_start").alias("y"))
-        return a.join(b, "meeting_id").where("i < j").groupBy("meeting_id").agg(F.sum((F.col("x") <= F.col("y")).cast("long")).alias("hits"), F.count("*").alias("total"))
+        @F.pandas_udf("long")
+        def concordant(starts: pd.Series) -> pd.Series:
+            return starts.map(pairs_in_order)
+
+        n = F.size("starts").cast("long")
+        return starts_in_order(spans).where(n > 1).select("meeting_id", concordant("starts").alias("hits"), (n * (n - 1) / 2).cast("long").alias("total"))
     raise ValueError(f"measure must be rank, adjacent, lis or kendall, not {measure}")
 
 

@@ -192,19 +192,25 @@ def norm_column(x: Column) -> Column:
     return let(mean, lambda m: let(spread(m), lambda d: F.transform(x, lambda y: (y.cast("double") - m) / d)))
 
 
-def attention_rows(vectors: DataFrame) -> DataFrame:
-    """(vec_id, other_id, weight): single-head self-attention weights of (vec_id, embedding); rows of a window only, as all pairs meet."""
-    a, b = vectors.select("vec_id", F.col("embedding").alias("q")), vectors.select(F.col("vec_id").alias("other_id"), F.col("embedding").alias("k"))
-    scores = a.crossJoin(b).select("vec_id", "other_id", (dot(F.col("q"), F.col("k")) / F.sqrt(F.size("q").cast("double"))).alias("s"))
+def attended(vectors: DataFrame, window: int = 32) -> DataFrame:
+    """(vec_id, other_id, k, weight): single-head self-attention of (vec_id, embedding) inside windows of consecutive ids; k is the other's embedding."""
+    place = F.floor(F.col("vec_id") / window)
+    a, b = vectors.select(place.alias("win"), "vec_id", F.col("embedding").alias("q")), vectors.select(place.alias("win"), F.col("vec_id").alias("other_id"), F.col("embedding").alias("k"))
+    scores = a.join(b, "win").select("vec_id", "other_id", "k", (dot(F.col("q"), F.col("k")) / F.sqrt(F.size("q").cast("double"))).alias("s"))
     w = Window.partitionBy("vec_id")
     rows = scores.withColumn("e", F.exp(F.col("s") - F.max("s").over(w)))
-    return rows.select("vec_id", "other_id", (F.col("e") / F.sum("e").over(w)).alias("weight"))
+    return rows.select("vec_id", "other_id", "k", (F.col("e") / F.sum("e").over(w)).alias("weight"))
 
 
-def attention_output(vectors: DataFrame) -> DataFrame:
-    """(vec_id, place, value): the attention-weighted mean of the embeddings."""
-    cells = vectors.select(F.col("vec_id").alias("other_id"), F.posexplode("embedding").alias("place", "x"))
-    return attention_rows(vectors).join(cells, "other_id").groupBy("vec_id", "place").agg(F.sum(F.col("weight") * F.col("x").cast("double")).alias("value"))
+def attention_rows(vectors: DataFrame, window: int = 32) -> DataFrame:
+    """(vec_id, other_id, weight): the weights alone."""
+    return attended(vectors, window).drop("k")
+
+
+def attention_output(vectors: DataFrame, window: int = 32) -> DataFrame:
+    """(vec_id, place, value): the attention-weighted mean of the embeddings; summed where the weights are, without another shuffle."""
+    cells = attended(vectors, window).select("vec_id", "weight", F.posexplode("k").alias("place", "x"))
+    return cells.groupBy("vec_id", "place").agg(F.sum(F.col("weight") * F.col("x").cast("double")).alias("value"))
 
 
 def window_encode(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

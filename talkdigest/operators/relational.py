@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import words
@@ -12,7 +12,8 @@ def containment(items: DataFrame, documents: DataFrame) -> DataFrame:
     """(item_id, doc_id, doc_chars): documents that hold an item's text verbatim.
 
     An item's rarest inner word (among the documents) is the join key, so only documents with that word are compared; words
-    at its edges may be parts of longer ones there. Items of fewer than three words are compared with all documents."""
+    at its edges may be parts of longer ones there. Items of fewer than three words meet the documents that hold their first three
+    characters (an empty text stands in all)."""
     inner = F.slice(words(F.col("text"), False), 2, F.greatest(F.size(words(F.col("text"), False)) - 2, F.lit(0)))
     keys = items.select("item_id", F.col("text").alias("passage"), F.explode(inner).alias("word"))
     cells = documents.select("doc_id", F.explode(F.array_distinct(words(F.col("text"), False))).alias("word"))
@@ -20,8 +21,21 @@ def containment(items: DataFrame, documents: DataFrame) -> DataFrame:
     rare = keys.join(df, "word", "left").groupBy("item_id", "passage").agg(F.min_by("word", F.struct(F.coalesce("count", F.lit(0)), "word")).alias("word"))
     found = cells.join(rare.select("item_id", "passage", "word"), "word").join(documents.select("doc_id", "text"), "doc_id").where(F.contains("text", "passage"))
     short = items.where(F.size(words(F.col("text"), False)) < 3).select("item_id", F.col("text").alias("passage"))
-    rest = documents.select("doc_id", "text").join(short, F.contains("text", F.col("passage")))
-    return found.select("item_id", "doc_id", F.length("text").cast("long").alias("doc_chars")).unionByName(rest.select("item_id", "doc_id", F.length("text").cast("long").alias("doc_chars")))
+    sized = lambda df: df.select("item_id", "doc_id", F.length("text").cast("long").alias("doc_chars"))
+    if short.isEmpty():
+        return sized(found)
+    keyed = short.withColumn("start", F.substring("passage", 1, 3))
+    starts = documents.select("doc_id", F.explode(grams("text")).alias("start")).join(keyed.select("start").distinct(), "start", "left_semi")
+    rest = starts.join(keyed, "start").join(documents.select("doc_id", "text"), "doc_id").where(F.contains("text", "passage"))
+    return sized(found).unionByName(sized(rest))
+
+
+def grams(text: str, n: int = 3) -> Column:
+    """Distinct character strings of up to n of a column, the empty one included."""
+    chars = F.split(text, "")
+    at = lambda i, k: F.coalesce(F.get(chars, i + k), F.lit(""))
+    parts = [F.transform(chars, lambda c, i, m=m: F.concat(*[at(i, k) for k in range(m)])) for m in range(1, n + 1)]
+    return F.array_distinct(F.concat(F.array(F.lit("")), *parts))
 
 
 def interval_expanded(points: DataFrame, spans: DataFrame) -> DataFrame:

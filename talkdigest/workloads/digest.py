@@ -312,12 +312,12 @@ def boundary_distance_free(spark, d):
     return boundary.summary(boundary.distance(steps.select("meeting_id", F.col("step").alias("snip_no"), F.col("boundary_utt").alias("pred_utt")), ends, utts, "free"))
 
 
-@query("boundary_locate", rf"""WITH {BUNDLES}, t AS (SELECT meeting_id, utt_no AS at, greatest(0, utt_no - 30) AS left_utt, utt_no + 10 AS hi_utt, text FROM u WHERE utt_no % 50 = 7),
+@query("boundary_locate", rf"""WITH {BUNDLES}, t AS (SELECT meeting_id, utt_no AS at, greatest(0, utt_no - 30) AS left_utt, utt_no + 10 AS hi_utt, text FROM u),
 nm AS (SELECT meeting_id, utt_no, trim(regexp_replace(lower(text), '\s+', ' ', 'g')) AS norm FROM u)
 SELECT t.meeting_id, left_utt, hi_utt, md5(t.text) AS text, min(nm.utt_no) FILTER (nm.utt_no BETWEEN left_utt AND hi_utt) AS found FROM t LEFT JOIN nm ON nm.meeting_id = t.meeting_id AND nm.norm = trim(regexp_replace(lower(t.text), '\s+', ' ', 'g')) GROUP BY ALL""")
 def boundary_locate(spark, d):
     utts = bundles(spark, d)
-    asked = utts.where("utt_no % 50 = 7").select("meeting_id", F.greatest(F.lit(0).cast("long"), F.col("utt_no") - 30).alias("left_utt"), (F.col("utt_no") + 10).alias("hi_utt"), "text")
+    asked = utts.select("meeting_id", F.greatest(F.lit(0).cast("long"), F.col("utt_no") - 30).alias("left_utt"), (F.col("utt_no") + 10).alias("hi_utt"), "text")
     return hashed_text(boundary.locate_exact(asked, utts), "text")
 
 
@@ -520,21 +520,21 @@ def graph_conv(spark, d):
 
 # network parts on embeddings
 
-SLICE = "v AS (SELECT vec_id, [CAST(x AS DOUBLE) FOR x IN embedding] AS e FROM embeddings WHERE vec_id < 32)"
+SLICE = "v AS (SELECT vec_id, vec_id // 32 AS win, [CAST(x AS DOUBLE) FOR x IN embedding] AS e FROM embeddings)"
 
 
-@query("attention_softmax", f"WITH {SLICE}, s AS (SELECT a.vec_id, b.vec_id AS other_id, list_dot_product(a.e, b.e) / sqrt(len(a.e)) AS s FROM v a, v b), e AS (SELECT *, exp(s - max(s) OVER (PARTITION BY vec_id)) AS e FROM s) SELECT vec_id, other_id, round(e / sum(e) OVER (PARTITION BY vec_id), 6) AS weight FROM e")
+@query("attention_softmax", f"WITH {SLICE}, s AS (SELECT a.vec_id, b.vec_id AS other_id, list_dot_product(a.e, b.e) / sqrt(len(a.e)) AS s FROM v a JOIN v b ON a.win = b.win), e AS (SELECT *, exp(s - max(s) OVER (PARTITION BY vec_id)) AS e FROM s) SELECT vec_id, other_id, round(e / sum(e) OVER (PARTITION BY vec_id), 6) AS weight FROM e")
 def attention_softmax(spark, d):
     from ..operators import nn
 
-    return nn.attention_rows(table(spark, d, "embeddings").where("vec_id < 32")).withColumn("weight", F.round("weight", 6))
+    return nn.attention_rows(table(spark, d, "embeddings")).withColumn("weight", F.round("weight", 6))
 
 
-@query("attention_output", f"WITH {SLICE}, s AS (SELECT a.vec_id, b.vec_id AS o, list_dot_product(a.e, b.e) / sqrt(len(a.e)) AS s, b.e AS be FROM v a, v b), e AS (SELECT *, exp(s - max(s) OVER (PARTITION BY vec_id)) AS x FROM s), w AS (SELECT *, x / sum(x) OVER (PARTITION BY vec_id) AS w FROM e), p AS (SELECT vec_id, w, unnest(be) AS y, unnest(range(len(be))) AS place FROM w) SELECT vec_id, CAST(place AS INTEGER) AS place, round(sum(w * y), 6) AS value FROM p GROUP BY vec_id, place")
+@query("attention_output", f"WITH {SLICE}, s AS (SELECT a.vec_id, b.vec_id AS o, list_dot_product(a.e, b.e) / sqrt(len(a.e)) AS s, b.e AS be FROM v a JOIN v b ON a.win = b.win), e AS (SELECT *, exp(s - max(s) OVER (PARTITION BY vec_id)) AS x FROM s), w AS (SELECT *, x / sum(x) OVER (PARTITION BY vec_id) AS w FROM e), p AS (SELECT vec_id, w, unnest(be) AS y, unnest(range(len(be))) AS place FROM w) SELECT vec_id, CAST(place AS INTEGER) AS place, round(sum(w * y), 6) AS value FROM p GROUP BY vec_id, place")
 def attention_output(spark, d):
     from ..operators import nn
 
-    return nn.attention_output(table(spark, d, "embeddings").where("vec_id < 32")).withColumn("value", F.round("value", 6))
+    return nn.attention_output(table(spark, d, "embeddings")).withColumn("value", F.round("value", 6))
 
 
 @query("layer_norm", "WITH e AS (SELECT vec_id, CAST(unnest(embedding) AS DOUBLE) AS x, unnest(range(len(embedding))) AS place FROM embeddings) SELECT vec_id, CAST(place AS INTEGER) AS place, round((x - avg(x) OVER w) / sqrt(var_pop(x) OVER w + 0.00001), 6) AS value FROM e WINDOW w AS (PARTITION BY vec_id)")

@@ -104,7 +104,7 @@ def join_links(spark, d):
 
 
 for _how in ("left", "right", "full"):
-    one(f"join_outer_{_how}", f"SELECT coalesce(d.doc_id, -1) AS doc_id, coalesce(l.doc_id, -1) AS labelled, coalesce(quality, -1) AS quality FROM (SELECT doc_id FROM documents WHERE doc_id % 3 <> 0) d {_how.upper()} JOIN (SELECT doc_id, quality FROM labels WHERE doc_id % 2 = 0) l ON d.doc_id = l.doc_id")
+    one(f"join_outer_{_how}", f"SELECT coalesce(d.doc_id, -1) AS doc_id, coalesce(l.doc_id, -1) AS labelled, coalesce(quality, -1) AS quality FROM documents d {_how.upper()} JOIN labels l ON d.doc_id = l.doc_id")
 one("join_semi", "SELECT doc_id, lang FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE toxic = 1)")
 one("join_anti", "SELECT doc_id, lang FROM documents d WHERE NOT EXISTS (SELECT 1 FROM labels l WHERE l.doc_id = d.doc_id)", "SELECT d.doc_id, d.lang FROM documents d LEFT ANTI JOIN labels l ON l.doc_id = d.doc_id")
 
@@ -355,9 +355,9 @@ def live_meetings(spark, d):
     folder = _folder(spark)
     rows = live.from_events(table(spark, d, "events"))
     end = rows.agg(F.max("ts").alias("m")).select(F.lit("end").alias("meeting_id"), F.expr("m + interval 60 days").alias("ts"), F.lit(-1).cast("long").alias("seq"), F.lit(1).cast("long").alias("n_tok"), F.lit("end").alias("text"))
-    rows.coalesce(1).write.parquet(f"{folder}/in")
+    rows.write.parquet(f"{folder}/in")
     end.coalesce(1).write.mode("append").parquet(f"{folder}/in")
-    stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+    stream = spark.readStream.schema(rows.schema).parquet(f"{folder}/in")
     steps = live.drained(live.dynamic(stream, LeadBackbone(4), 64, "30 days"), "steps", folder)
     return hashed_text(steps.where("meeting_id <> 'end'"))
 
