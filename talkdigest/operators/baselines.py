@@ -1,6 +1,6 @@
-"""Baselines of the comparison: two extractive ones in full, the distinguishing operator of six neural ones, and the quoted scores.
+"""Baselines of the comparison: two extractive ones, column forms of the distinguishing operator of six neural ones, and the quoted scores.
 
-The neural rows are cores with fixed or light weights; their scores are never those quoted.
+The column forms work on simple features (lengths); the networks themselves are in neural.py. Scores are never those quoted.
 """
 
 from __future__ import annotations
@@ -138,20 +138,23 @@ def textrank(utts: DataFrame, q: int = 10, rounds: int = ROUNDS, most_share: flo
 
 
 def greedy_labels(items: list[Counter], reference: Counter, most: int) -> set[int]:
-    """Utterances taken one by one while the unigram F1 with the reference grows."""
-    have, chosen, best = Counter(), set(), 0.0
+    """Utterances taken one by one while the unigram F1 with the reference grows; an utterance's gain is counted over its own words."""
+    have, chosen, best, hits, size, wanted = Counter(), set(), 0.0, 0, 0, sum(reference.values())
+    lengths = [sum(x.values()) for x in items]
     while len(chosen) < most:
-        gains = []
+        top = None
         for i, x in enumerate(items):
             if i not in chosen:
-                c = have + x
-                both = sum((c & reference).values())
-                gains.append((2 * both / (sum(c.values()) + sum(reference.values())) if both else 0.0, -i))
-        if not gains or max(gains)[0] <= best:
+                both = hits + sum(min(have[w] + n, reference[w]) - min(have[w], reference[w]) for w, n in x.items() if w in reference)
+                f = 2 * both / (size + lengths[i] + wanted) if both else 0.0
+                if top is None or f > top[0]:
+                    top = f, i, both
+        if top is None or top[0] <= best:
             break
-        best, i = max(gains)
-        chosen.add(-i)
-        have += items[-i]
+        best, i, hits = top
+        chosen.add(i)
+        have += items[i]
+        size += lengths[i]
     return chosen
 
 
@@ -300,13 +303,19 @@ def discourse_edges(utts: DataFrame) -> DataFrame:
     return rows.select("meeting_id", "a", F.inline(out)).where("b is not null")
 
 
-def graph_convolution(utts: DataFrame, edge_rows: DataFrame) -> DataFrame:
-    """(meeting_id, utt_no, value): one normalised step on a feature (tokens): own and neighbours' values over the roots of their degrees."""
-    both = edge_rows.select("meeting_id", "a", "b").unionByName(edge_rows.select("meeting_id", F.col("b").alias("a"), F.col("a").alias("b"))).unionByName(utts.select("meeting_id", F.col("utt_no").alias("a"), F.col("utt_no").alias("b")))
-    degree = both.groupBy("meeting_id", "a").agg(F.count("*").alias("d"))
+#: Weights of the one-feature convolution: the utterance itself and each relation (fixed values).
+RELATIONS = {"self": 1.0, "next": 0.5, "same": 0.25, "reply": 0.125}
+
+
+def graph_convolution(utts: DataFrame, edge_rows: DataFrame, weights: dict[str, float] = RELATIONS) -> DataFrame:
+    """(meeting_id, utt_no, value): one step on a feature (tokens) over typed edges, rectified: own value and, of each relation, the mean over
+    neighbours on both sides, each under its own weight."""
+    both = edge_rows.select("meeting_id", "a", "b", "relation").unionByName(edge_rows.select("meeting_id", F.col("b").alias("a"), F.col("a").alias("b"), "relation"))
     feature = utts.select("meeting_id", F.col("utt_no").alias("b"), F.col("n_tok").cast("double").alias("x"))
-    rows = both.join(degree, ["meeting_id", "a"]).join(degree.select("meeting_id", F.col("a").alias("b"), F.col("d").alias("e")), ["meeting_id", "b"]).join(feature, ["meeting_id", "b"])
-    return rows.groupBy("meeting_id", F.col("a").alias("utt_no")).agg(F.sum(F.col("x") / F.sqrt((F.col("d") * F.col("e")).cast("double"))).alias("value"))
+    means = both.join(feature, ["meeting_id", "b"]).groupBy("meeting_id", "a", "relation").agg(F.avg("x").alias("x"))
+    rows = means.unionByName(feature.select("meeting_id", F.col("b").alias("a"), F.lit("self").alias("relation"), "x"))
+    weight = F.element_at(F.create_map(*[F.lit(v) for pair in weights.items() for v in pair]), F.col("relation"))
+    return rows.groupBy("meeting_id", F.col("a").alias("utt_no")).agg(F.greatest(F.sum(F.col("x") * weight), F.lit(0.0)).alias("value"))
 
 
 def word_bag(text):

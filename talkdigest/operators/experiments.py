@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import analysis, boundary, convert, measures, rouge, runs, split, train
+from . import analysis, baselines, boundary, convert, measures, neural, rouge, runs, split, train
 from .backbones import Backbone, LearnedBackbone, LeadBackbone, PolicyBackbone, StrideBackbone
 
 
@@ -72,15 +72,44 @@ def validated(utts: DataFrame, gold: DataFrame, weights: dict[int, list[float]],
     some, reference = utts.join(names, "meeting_id", "left_semi").persist(), rouge.reference_texts(gold.join(names, "meeting_id", "left_semi"))
     texts = None
     for epoch, w in weights.items():
-        text = runs.assemble(runs.dynamic(some, LearnedBackbone(w), k)).withColumn("epoch", F.lit(epoch))
+        text = runs.assemble(runs.dynamic(some, LearnedBackbone(w), k)).withColumn("run", F.lit(str(epoch)))
         texts = text if texts is None else texts.unionByName(text)
     if texts is None:
         return {}
-    wanted = reference.crossJoin(F.broadcast(texts.sparkSession.createDataFrame([(e,) for e in weights], "epoch int")))  # a reference for each epoch
-    tag = lambda df: df.withColumn("meeting_id", F.concat_ws("@", F.col("epoch").cast("string"), "meeting_id"))
-    counts = rouge.ngram(rouge.pairs(tag(texts), tag(wanted)), 2)
-    rows = counts.groupBy(F.split("key", "@")[0].cast("int").alias("epoch")).agg(F.round(F.avg(rouge.scored(F.col("match"), F.col("cand"), F.col("ref"))["f"]), 6).alias("f")).collect()  # a row an epoch
-    return {r.epoch: r.f for r in rows}
+    rows = mean_scores(rouge.ngram(run_pairs(texts, reference, [str(e) for e in weights]), 2), "r2").collect()  # a row an epoch
+    return {int(r.run): r.f for r in rows}
+
+
+def run_pairs(texts: DataFrame, reference: DataFrame, names: list[str]) -> DataFrame:
+    """Pairs for ROUGE of several runs at once: texts (run, meeting_id, text) against the reference (meeting_id, text) of every meeting; keys are run@meeting."""
+    runs_ = texts.sparkSession.createDataFrame([(n,) for n in names], "run string")
+    tag = lambda df: df.select(F.concat_ws("@", "run", "meeting_id").alias("meeting_id"), "text")
+    return rouge.pairs(tag(texts), tag(reference.crossJoin(F.broadcast(runs_))))  # a reference for each of the few names
+
+
+def mean_scores(counts: DataFrame, measure: str) -> DataFrame:
+    """(run, measure, n, p, r, f): means over the meetings of each run."""
+    rows = counts.select(F.split("key", "@")[0].alias("run"), rouge.scored(F.col("match"), F.col("cand"), F.col("ref")).alias("s")).select("run", "s.*")
+    return rows.groupBy("run").agg(F.lit(measure).alias("measure"), F.count("*").alias("n"), *[F.round(F.avg(c), 6).alias(c) for c in ("p", "r", "f")])
+
+
+def compared(utts: DataFrame, gold: DataFrame, backbone: Backbone, q: int = 10, k: int = 1024) -> DataFrame:
+    """(run, measure, n, p, r, f) of ROUGE-1, -2 and -L on the test meetings: the extractive baselines, the networks with their trained read-outs,
+    segments by cohesion, and the four runs of a backbone. All runs are scored in one plan a measure."""
+    read_outs = neural.fitted(utts, gold, q)
+    names = split.assign(utts).where("split = 'test'").select("meeting_id")
+    some, wanted = utts.join(names, "meeting_id", "left_semi").persist(), gold.join(names, "meeting_id", "left_semi").persist()
+    chosen = {"textrank": baselines.textrank(some, q), "summary_runner": baselines.summary_runner(some, q, read_outs["runner"]), "lead": baselines.lead(some, q), "random": baselines.hashed(some, q)}
+    segments = baselines.topic_segments(some, baselines.topic_cuts(some))
+    made = {"topic_segments": runs.gold_run(some, segments, LeadBackbone(1), k), **outputs_of(some, wanted, backbone, k)}
+    nets = neural.picked(some, read_outs, q).select("run", "meeting_id", "utt_no")
+    for name, rows in chosen.items():
+        nets = nets.unionByName(rows.select(F.lit(name).alias("run"), "meeting_id", "utt_no"))
+    of_run = nets.join(some.select("meeting_id", "utt_no", "text"), ["meeting_id", "utt_no"]).groupBy("run", "meeting_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("utt_no", "text"))), lambda x: x["text"]), "\n").alias("text"))
+    for name, steps in made.items():
+        of_run = of_run.unionByName(runs.dedup_sentences(runs.assemble(steps)).select(F.lit(name).alias("run"), "meeting_id", "text"))
+    pairs = run_pairs(of_run, rouge.reference_texts(wanted), [*neural.NETWORKS, *chosen, *made]).persist()
+    return mean_scores(rouge.ngram(pairs, 1), "r1").unionByName(mean_scores(rouge.ngram(pairs, 2), "r2")).unionByName(mean_scores(rouge.longest(pairs), "rl"))
 
 
 def direct(utts: DataFrame, gold: DataFrame, inner: Backbone, k: int = 1024) -> StrideBackbone:

@@ -34,8 +34,11 @@ def grams(text: str, n: int = 3) -> Column:
     """Distinct character strings of up to n of a column, the empty one included."""
     chars = F.split(text, "")
     at = lambda i, k: F.coalesce(F.get(chars, i + k), F.lit(""))
-    parts = [F.transform(chars, lambda c, i, m=m: F.concat(*[at(i, k) for k in range(m)])) for m in range(1, n + 1)]
-    return F.array_distinct(F.concat(F.array(F.lit("")), *parts))
+
+    def of(m: int) -> Column:
+        return F.transform(chars, lambda c, i: F.concat(*[at(i, k) for k in range(m)]))
+
+    return F.array_distinct(F.concat(F.array(F.lit("")), *[of(m) for m in range(1, n + 1)]))
 
 
 def interval_expanded(points: DataFrame, spans: DataFrame) -> DataFrame:

@@ -274,6 +274,30 @@ def scoreboard(spark, d):
     return experiments.scoreboard(utts, gold, experiments.outputs_of(utts, gold, CohesionBackbone(), K))
 
 
+@query("scoreboard_baselines")
+def scoreboard_baselines(spark, d):
+    utts, gold = bundles_and_gold(spark, d)
+    return experiments.compared(utts, gold, CohesionBackbone(), k=K)
+
+
+@query("summary_runner_trained")
+def summary_runner_trained(spark, d):
+    """(meeting_id, utt_no, place, score) of all meetings, with weights from greedy labels of the training meetings."""
+    from ..operators import neural
+
+    utts, gold = bundles_and_gold(spark, d)
+    return baselines.summary_runner(utts, weights=neural.fitted(utts, gold)["runner"])
+
+
+@query("network_picks")
+def network_picks(spark, d):
+    """(run, meeting_id, utt_no, place, score) of all meetings, for each network."""
+    from ..operators import neural
+
+    utts, gold = bundles_and_gold(spark, d)
+    return neural.picked(utts, neural.fitted(utts, gold))
+
+
 @query("published_scores", "SELECT * FROM (VALUES " + ", ".join(f"('{m}', '{k}', CAST({a} AS DOUBLE), CAST({b} AS DOUBLE), CAST({c} AS DOUBLE))" for m, k, a, b, c in baselines.PUBLISHED) + ") AS t(model, kind, r1, r2, rl)")
 def published_scores(spark, d):
     return baselines.published(spark)
@@ -511,8 +535,9 @@ def discourse_edges(spark, d):
     return baselines.discourse_edges(talks(spark, d))
 
 
-@query("graph_conv", rf"""WITH {TALKS}{EDGES}, bo AS (SELECT meeting_id, a, b FROM eg UNION ALL SELECT meeting_id, b, a FROM eg UNION ALL SELECT meeting_id, utt_no, utt_no FROM u), dg AS (SELECT meeting_id, a, count(*) AS d FROM bo GROUP BY ALL)
-SELECT bo.meeting_id, bo.a AS utt_no, round(sum(u.n_tok / sqrt(x.d * y.d)), 6) AS value FROM bo JOIN dg x ON x.meeting_id = bo.meeting_id AND x.a = bo.a JOIN dg y ON y.meeting_id = bo.meeting_id AND y.a = bo.b JOIN u ON u.meeting_id = bo.meeting_id AND u.utt_no = bo.b GROUP BY bo.meeting_id, bo.a""")
+@query("graph_conv", rf"""WITH {TALKS}{EDGES}, bo AS (SELECT meeting_id, a, b, relation FROM eg UNION ALL SELECT meeting_id, b, a, relation FROM eg),
+mn AS (SELECT bo.meeting_id, a, relation, avg(n_tok) AS x FROM bo JOIN u ON u.meeting_id = bo.meeting_id AND u.utt_no = bo.b GROUP BY ALL UNION ALL SELECT meeting_id, utt_no, 'self', n_tok FROM u)
+SELECT meeting_id, a AS utt_no, round(greatest(sum(x * CASE relation WHEN 'self' THEN 1.0 WHEN 'next' THEN 0.5 WHEN 'same' THEN 0.25 ELSE 0.125 END), 0), 6) AS value FROM mn GROUP BY meeting_id, a""")
 def graph_conv(spark, d):
     utts = talks(spark, d)
     return baselines.graph_convolution(utts, baselines.discourse_edges(utts)).withColumn("value", F.round("value", 6))

@@ -539,3 +539,41 @@ def test_encoder_layers_reads_words_behind_the_first(spark, tmp_path):
         spark.createDataFrame(rows, spark.read.parquet("/root/testdata/sf0.001/conversations.parquet").select("conv_id", "turn", "role", "text").schema).write.parquet(f"{tmp_path}/{name}/conversations.parquet")
     a, b = ([list(r.encoding) for r in QUERIES["encoder_layers"](spark, f"{tmp_path}/{name}").collect()] for name in "ab")
     assert len(a) == len(b) == 1 and not np.allclose(a[0], b[0])
+
+
+def test_greedy_labels_equal_brute_force():
+    rng = np.random.default_rng(5)
+    for _ in range(20):
+        items = [Counter(rng.choice(list("abcdefgh"), rng.integers(0, 5)).tolist()) for _ in range(8)]
+        reference = Counter(rng.choice(list("abcdefgh"), 10).tolist())
+        have, want, best = Counter(), set(), 0.0
+        while len(want) < 4:
+            f1 = lambda c: 2 * sum((c & reference).values()) / (sum(c.values()) + sum(reference.values()))
+            f, i = max((f1(have + x), -i) for i, x in enumerate(items) if i not in want)
+            if f <= best:
+                break
+            best, have = f, have + items[-i]
+            want.add(-i)
+        assert baselines.greedy_labels(items, reference, 4) == want
+
+
+def test_networks_differ_in_their_distinguishing_part():
+    from talkdigest.operators import neural
+
+    items = [Counter(t.split()) for t in ("we talk about a button", "the button is red", "", "a red case looks fine", "we talk about a button")]
+    one, two = ["PM", "ME", "PM", "ID", "PM"], ["PM", "PM", "ME", "ID", "UI"]
+    for name, net in neural.NETWORKS.items():
+        x = net(items, one)
+        assert x.shape[0] == 5 and np.isfinite(x).all() and np.array_equal(x, net(items, one))
+        assert np.allclose(x, net(items, two)) == (name not in ("hierarchical", "graph"))  # only these look at speakers
+        assert net(items[:1], one[:1]).shape == (1, x.shape[1]) and np.isfinite(net([Counter()], ["PM"])).all()
+    first, second = [s[0] for s in list(neural.decoded(neural.states(neural.embed(items)), coverage=1.0))[:2]]
+    assert abs(first.sum() - 1) < 1e-9 and abs(second.sum() - 1) < 1e-9
+    assert neural.relations(one) == {"next": [(0, 1), (1, 2), (2, 3), (3, 4)], "reply": [(0, 1), (1, 2), (2, 3), (3, 4)], "same": [(0, 2), (2, 4)]}
+
+
+def test_short_items_meet_all_documents_that_hold_them(spark):
+    docs = spark.createDataFrame([(1, "the cat sat"), (2, "a concatenation"), (3, ""), (4, None), (5, "at 漢字")], "doc_id long, text string")
+    items = spark.createDataFrame([(1, "cat"), (2, "at"), (3, ""), (4, "漢"), (5, "dog")], "item_id long, text string")
+    got = {(r.item_id, r.doc_id) for r in relational.containment(items, docs).collect()}
+    assert got == {(i.item_id, d.doc_id) for i in items.collect() for d in docs.collect() if d.text is not None and i.text in d.text}
