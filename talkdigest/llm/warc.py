@@ -191,7 +191,11 @@ def audit(master: DataFrame, replica: DataFrame) -> DataFrame:
 
 
 def damaged_replica(pages: DataFrame) -> DataFrame:
-    """The pages of a replica with planted faults: one character changed in some, the ends of some volumes lost."""
-    hit = F.col("page_id") % 97 == 5
-    html = F.when(hit, F.concat(F.lit("#"), F.expr("substring(html, 2)"))).otherwise(F.col("html"))
-    return pages.withColumn("html", html).where(~((F.floor(F.col("page_id") / 1000) % 7 == 3) & (F.col("page_id") % 1000 >= 990)) | F.col("page_id").isNull())
+    """The pages of a replica with planted faults: one character changed in some; the ends of some volumes lost; in others three
+    pages lost in the middle and one that stands twice, so that all records behind them move."""
+    at, volume = F.col("page_id") % 1000, F.floor(F.col("page_id") / 1000) % 7
+    html = F.when(F.col("page_id") % 97 == 5, F.concat(F.lit("#"), F.expr("substring(html, 2)"))).otherwise(F.col("html"))
+    lost = ((volume == 3) & (at >= 990)) | ((volume == 0) & at.between(230, 232))
+    times = F.when(F.coalesce(lost, F.lit(False)), 0).when((volume == 0) & (at == 240), 2).otherwise(1)
+    copies = F.explode(F.array_repeat(F.lit(1), times)).alias("copy")
+    return pages.select("page_id", "url", html.alias("html"), copies).drop("copy")
