@@ -23,12 +23,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_or_plain, written
+from .common import written
 
 DEPTH = 3
 SIMILAR = 0.6
 FIELD = "<*>"
-MOST = 1_000_000  # rows of keys up to which a side is broadcast
+MOST = 50_000  # rows of keys up to which a side is broadcast: a few MB of the driver, whatever the input
+SIEVE = 1 << 17  # blocks of 64 bits that leaves leave a mark in, if they are too many to be broadcast: 5 MB at most
 
 
 def _lines(text):
@@ -68,32 +69,49 @@ def generalised(distinct: DataFrame, depth: int = DEPTH, similar: float = SIMILA
     common = counts.groupBy("leaf", "place").agg(F.max_by("token", F.struct("n", "token")).alias("token"), F.max("n").alias("most"), F.sum("n").alias("n"))
     common = common.select("leaf", F.struct("place", F.when(F.col("most") * 2 > F.col("n"), F.col("token")).otherwise(FIELD).alias("token")).alias("fixed"))
     templates = common.groupBy("leaf").agg(F.transform(F.sort_array(F.collect_list("fixed")), lambda x: x["token"]).alias("template_tail"))
-    rows = distinct.join(small_or_plain(written(templates, "templates"), MOST), "leaf", "left").withColumn("tail", F.expr(f"slice(tokens, {depth + 1}, greatest(size(tokens) - {depth}, 0))"))
+    # templates are long and as many as the leaves: never broadcast
+    rows = distinct.join(written(templates, "templates").hint("merge"), "leaf", "left").withColumn("tail", F.expr(f"slice(tokens, {depth + 1}, greatest(size(tokens) - {depth}, 0))"))
     same = F.aggregate(F.arrays_zip("tail", "template_tail"), F.lit(0), lambda a, x: a + F.when(x["tail"] == x["template_tail"], 1).otherwise(0))
     fits = (F.size("tail") == 0) | (F.coalesce(same, F.lit(0)) >= similar * F.size("tail"))
     return rows.select("line_key", F.when(fits, F.xxhash64(F.lit("leaf"), "leaf")).otherwise(F.xxhash64(F.lit("line"), "line_key")).alias("template"))
 
 
+def _keys(df: DataFrame) -> DataFrame:
+    """A written table of keys as a side of a join: broadcast if it has few rows, else always shuffled."""
+    return F.broadcast(df) if df.count() <= MOST else df.hint("merge")
+
+
+def _sieved(lines: DataFrame, leaves: DataFrame) -> DataFrame:
+    """lines joined with leaves (leaf, uniform). Of many leaves only their marks are broadcast, in a table of fixed size; most lines
+    without a leaf fall through before the shuffle that the exact join takes."""
+    if leaves.count() <= MOST:
+        return lines.join(F.broadcast(leaves), "leaf")
+    block, bit = F.expr(f"pmod(leaf, {SIEVE}L)"), F.expr("shiftleft(1L, cast(shiftrightunsigned(leaf, 58) as int))")
+    marks = leaves.groupBy(block.alias("block")).agg(F.bit_or(bit).alias("marks"))
+    possible = lines.withColumn("block", block).join(F.broadcast(marks), "block").where(F.col("marks").bitwiseAND(bit) != 0)
+    return possible.drop("block", "marks").join(leaves.hint("merge"), "leaf")
+
+
 def recurring(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3, short: bool = False) -> DataFrame:
     """(doc_id, text_key, drops array<int>): the line numbers that a document loses, ascending.
 
-    Keys, templates and first places are tables of their own, broadcast where they are small; else both sides of each join
-    are plain scans, so that a line or template that a third of all rows have is split at run time."""
+    Leaves, keys and first places are tables of their own, broadcast where they are few; else the joins are shuffled, and a line
+    or template that a third of all rows have is split at run time."""
     lines = placed_in_leaves(documents, min_tokens, short=short)
     # a leaf of fewer rows than min_docs, or of one document, holds no recurring template
     key = F.xxhash64("tokens")
     leaves = lines.groupBy("leaf").agg(F.count("*").alias("n"), F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), (F.min(key) == F.max(key)).alias("uniform"))
     leaves = written(leaves.where((F.col("n") >= min_docs) & (F.col("a") < F.col("b"))).select("leaf", "uniform"), "leaves")
-    held = written(parsed(lines.join(small_or_plain(leaves, MOST), "leaf")), "lines")
+    held = written(parsed(_sieved(lines, leaves)), "lines")
     varied = held.where("tokens is not null")
     distinct = varied.groupBy("leaf", "line_key").agg(F.first("tokens").alias("tokens"))
     keys = written(generalised(distinct), "line-keys")
     place = ("doc_id", "text_key", "line_no")
-    placed = varied.select(*place, "line_key").join(small_or_plain(keys, MOST), "line_key").select(*place, "template")
+    placed = varied.select(*place, "line_key").join(_keys(keys), "line_key").select(*place, "template")
     placed = placed.unionByName(held.where("tokens is null").select(*place, F.xxhash64(F.lit("leaf"), "leaf").alias("template")))
     first = placed.groupBy("template", "doc_id").agg(F.min(F.struct("text_key", "line_no")).alias("at")).groupBy("template").agg(F.count("*").alias("docs"), F.min(F.struct("doc_id", "at.text_key", "at.line_no")).alias("first"))
     first = written(first.where(F.col("docs") >= min_docs).select("template", "first"), "firsts")
-    again = placed.join(small_or_plain(first, MOST), "template").where(F.struct(*place) != F.col("first"))
+    again = placed.join(_keys(first), "template").where(F.struct(*place) != F.col("first"))
     return again.groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_set("line_no")).alias("drops"))
 
 
