@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..schema import positive
+from ..sources.layout import spans_of
 from .analysis import by_occurrence
 
 SEP = "[SEP]"
@@ -32,9 +33,9 @@ def merge(spans: DataFrame, min_overlap: int = 1, chain: bool = True) -> DataFra
 
 
 def snippet_words(snippets: DataFrame, utts: DataFrame) -> DataFrame:
-    """(meeting_id, snip_no, word): distinct words of each snippet's segment."""
-    flat = snippets.select("meeting_id", "snip_no", F.explode(F.sequence("seg_start", "seg_end")).alias("utt_no"))
-    return flat.join(utts.select("meeting_id", "utt_no", "tokens"), ["meeting_id", "utt_no"]).select("meeting_id", "snip_no", F.explode("tokens").alias("word")).distinct()
+    """(meeting_id, snip_no, words): the distinct words of each snippet's segment."""
+    rows = spans_of(snippets, utts, ["tokens"], ["snip_no"])
+    return rows.select("meeting_id", "snip_no", F.array_distinct(F.flatten(F.transform("u", lambda x: x["tokens"]))).alias("words"))
 
 
 def place_orphans(gold: DataFrame, spans_grouped: DataFrame, snippets: DataFrame, utts: DataFrame) -> DataFrame:
@@ -42,8 +43,10 @@ def place_orphans(gold: DataFrame, spans_grouped: DataFrame, snippets: DataFrame
 
     The snippet whose segment shares most distinct words, the earliest of equals; without any shared word, the snippet of
     the annotated sentence before it, else the first."""
-    orphans = gold.where("support is null").select("meeting_id", "sent_no", F.array_distinct("tokens").alias("tokens"))
-    shared = orphans.select("meeting_id", "sent_no", F.explode("tokens").alias("word")).join(snippet_words(snippets, utts), ["meeting_id", "word"]).groupBy("meeting_id", "sent_no", "snip_no").agg(F.count("*").alias("overlap"))
+    orphans = gold.where("support is null").groupBy("meeting_id").agg(F.collect_list(F.struct("sent_no", "tokens")).alias("orphans"))
+    # a snippet's words meet the meeting's orphans as sets, row by row: no word is a row of its own
+    shared = snippet_words(snippets, utts).join(orphans, "meeting_id")
+    shared = shared.select("meeting_id", "snip_no", F.inline(F.transform("orphans", lambda o: F.struct(o["sent_no"].alias("sent_no"), F.size(F.array_intersect(o["tokens"], "words")).cast("long").alias("overlap"))))).where("overlap > 0")
     best = shared.groupBy("meeting_id", "sent_no").agg(F.max(F.struct("overlap", (-F.col("snip_no")).alias("back"))).alias("best"))
     order = Window.partitionBy("meeting_id").orderBy("sent_no").rowsBetween(Window.unboundedPreceding, -1)
     before = gold.select("meeting_id", "sent_no", F.col("support").isNull().alias("orphan")).join(spans_grouped.select("meeting_id", "sent_no", F.col("snip_no").alias("own")), ["meeting_id", "sent_no"], "left").withColumn("previous", F.last("own", True).over(order)).where("orphan")
@@ -74,8 +77,8 @@ def converted(utts: DataFrame, gold: DataFrame, spans: DataFrame, min_overlap: i
 
 def span_text(rows: DataFrame, utts: DataFrame, keys: list[str]) -> DataFrame:
     """rows with `source`: the texts of utterances seg_start..seg_end."""
-    flat = rows.select(*keys, F.explode(F.sequence("seg_start", "seg_end")).alias("utt_no")).join(utts.select("meeting_id", "utt_no", F.col("text").alias("utt_text")), ["meeting_id", "utt_no"])
-    text = flat.groupBy(*keys).agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("utt_no", "utt_text"))), lambda x: x["utt_text"]), " ").alias("source"))
+    spans = spans_of(rows, utts, ["text"], [k for k in keys if k != "meeting_id"])
+    text = spans.select(*keys, F.array_join(F.transform("u", lambda x: x["text"]), " ").alias("source"))
     return rows.join(text, keys, "left")
 
 
