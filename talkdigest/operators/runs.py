@@ -14,9 +14,9 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.text import normal, sentences
+from ..functions.text import normal, sentences, words
 from ..schema import STEPS, positive
-from ..sources.layout import nest
+from ..sources.layout import nest, spans_of
 from .boundary import locate
 from .iteration import cut
 from .windows import View, advance, fixed, reach
@@ -151,7 +151,12 @@ def windowed(parts: DataFrame, backbone, k: int, group: str) -> DataFrame:
     parts: meeting_id, group, utt_no, speaker, n_tok, tok_start, tok_end, part (the text inside the window), part_tok."""
     rows = parts.groupBy("meeting_id", group).agg(F.sort_array(F.collect_list(F.struct("utt_no", "speaker", "part", "part_tok", "from_tok"))).alias("p"))
     rows = rows.select("meeting_id", F.col(group).cast("long").alias("step"), *[F.col(f"p.{c}").alias(c) for c in ("utt_no", "speaker", "part", "part_tok", "from_tok")])
-    shared = parts.sparkSession.sparkContext.broadcast(backbone)
+    return _generated(rows, backbone, k)
+
+
+def _generated(rows: DataFrame, backbone, k: int) -> DataFrame:
+    """As windowed(), of rows (meeting_id, step, and arrays utt_no, speaker, part, part_tok, from_tok)."""
+    shared = rows.sparkSession.sparkContext.broadcast(backbone)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -187,11 +192,17 @@ def truncate_run(utts: DataFrame, backbone, k: int = 1024) -> DataFrame:
 def gold_run(utts: DataFrame, segments: DataFrame, backbone, k: int = 1024) -> DataFrame:
     """Each gold segment (meeting_id, snip_no, seg_start, seg_end), cut to k tokens, is one input."""
     positive(k=k)
-    flat = segments.select("meeting_id", "snip_no", F.explode(F.sequence("seg_start", "seg_end")).alias("utt_no")).join(utts, ["meeting_id", "utt_no"])
-    first = F.min("tok_start").over(Window.partitionBy("meeting_id", "snip_no"))
-    rows = flat.withColumn("window", F.col("snip_no")).withColumn("first", first).where(F.col("tok_start") - F.col("first") < k)
-    rows = rows.withColumn("win_from", F.lit(0).cast("long")).withColumn("win_to", F.least("n_tok", k - (F.col("tok_start") - F.col("first"))))
-    return windowed(_parts(rows), backbone, k, "window")
+    spans = spans_of(segments, utts, ["speaker", "text", "n_tok", "tok_start"], ["snip_no"])
+    rows = spans.select("meeting_id", "snip_no", F.array_min(F.transform("u", lambda x: x["tok_start"])).alias("first"), "u")
+
+    def part(x):
+        """An utterance of the segment as far as the first k tokens reach."""
+        size = F.least(x["n_tok"], k - (x["tok_start"] - F.col("first")))
+        text = F.when(size == x["n_tok"], x["text"]).otherwise(F.array_join(F.slice(words(x["text"]), 1, F.greatest(size, F.lit(0)).cast("int")), " "))
+        return F.struct(x["utt_no"].alias("utt_no"), x["speaker"].alias("speaker"), text.alias("part"), F.greatest(size, F.lit(0).cast("long")).alias("part_tok"), x["tok_start"].alias("from_tok"))
+
+    rows = rows.withColumn("p", F.transform(F.filter("u", lambda x: x["tok_start"] - F.col("first") < k), part))
+    return _generated(rows.select("meeting_id", F.col("snip_no").cast("long").alias("step"), *[F.col(f"p.{c}").alias(c) for c in ("utt_no", "speaker", "part", "part_tok", "from_tok")]), backbone, k)
 
 
 def assemble(steps: DataFrame) -> DataFrame:
