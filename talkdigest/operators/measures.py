@@ -25,6 +25,15 @@ def window_consistency(steps: DataFrame, utts: DataFrame, n: int = 2) -> DataFra
     return mine.join(source, ["meeting_id", "step", "gram"], "left").groupBy("meeting_id", "step").agg(F.count("*").alias("grams"), F.count("hit").alias("supported"))
 
 
+def own_window_consistency(steps: DataFrame, n: int = 2) -> DataFrame:
+    """As window_consistency(), of steps that carry their source (runs.dynamic_with_source): row by row, without a shuffle."""
+    of_lines = lambda lines, tokens: F.array_distinct(F.flatten(F.transform(F.transform(lines, tokens), lambda t: grams(t, n))))  # noqa: E731  a line is cut once
+    mine = of_lines(F.split("snippet", r"[.!?\n]+"), lambda s: words(s))
+    rows = steps.select("meeting_id", "step", mine.alias("mine"), of_lines(F.split("source", "\n"), lambda s: F.array_remove(F.split(s, " "), "")).alias("theirs"))
+    rows = rows.select("meeting_id", "step", F.size("mine").cast("long").alias("grams"), F.size(F.array_intersect("mine", "theirs")).cast("long").alias("supported"))
+    return rows.where("grams > 0")
+
+
 def mention_support(outputs: DataFrame, utts: DataFrame, pattern: str) -> DataFrame:
     """(meeting_id, mentions, supported): distinct matches of pattern (names, numbers) in the output that the source has too."""
     mine = outputs.select("meeting_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(f"({pattern})"), F.lit(1))).alias("m")).distinct()

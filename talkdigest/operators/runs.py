@@ -85,6 +85,24 @@ def dynamic(utts: DataFrame, backbone, k: int = 1024, resume: str = "after", sto
     return arrays(nest(utts)).mapInPandas(run, STEPS)
 
 
+def dynamic_with_source(utts: DataFrame, backbone, k: int = 1024, resume: str = "after", stop: str = "boundary") -> DataFrame:
+    """As dynamic(), with `source`: the tokens of each window, an utterance a line; no join brings a window's utterances back."""
+    _check(k, resume, stop)
+    shared = utts.sparkSession.sparkContext.broadcast(backbone)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for record in batch.itertuples(index=False):
+                m, line, rows = Meeting(record), list(record.line), []
+                for s in steps_of(m, shared.value, k, resume, stop):
+                    left, hi = np.searchsorted(m.utt_no, (s[2], s[3]))
+                    rows.append((*s, "\n".join(line[left:hi + 1])))
+                yield pd.DataFrame(rows, columns=[*NAMES, "source"])
+
+    nested = nest(utts.withColumn("line", F.array_join("tokens", " ")), ("line",))
+    return nested.select("meeting_id", *[F.col(f"utterances.{c}").alias(c) for c in (*ARRAYS, "line")]).mapInPandas(run, f"{STEPS}, source string")
+
+
 def frontier(utts: DataFrame, backbone, k: int = 1024, resume: str = "after", stop: str = "boundary", keep=None) -> DataFrame:
     """The same steps, one distributed pass a step: every open meeting moves one window on. keep(df) cuts the lineage of each pass."""
     _check(k, resume, stop)

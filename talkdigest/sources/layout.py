@@ -8,9 +8,9 @@ from pyspark.sql import functions as F
 FIELDS = ["utt_no", "speaker", "text", "n_tok", "tok_start", "tok_end", "char_end"]
 
 
-def nest(utts: DataFrame) -> DataFrame:
-    """One row a meeting: (meeting_id, n_tok, utterances), utterances in order. A meeting must fit a task's memory."""
-    rows = utts.groupBy("meeting_id").agg(F.sum("n_tok").alias("n_tok"), F.sort_array(F.collect_list(F.struct(*FIELDS))).alias("utterances"))
+def nest(utts: DataFrame, also: tuple[str, ...] = ()) -> DataFrame:
+    """One row a meeting: (meeting_id, n_tok, utterances), utterances in order, with further fields. A meeting must fit a task's memory."""
+    rows = utts.groupBy("meeting_id").agg(F.sum("n_tok").alias("n_tok"), F.sort_array(F.collect_list(F.struct(*FIELDS, *also))).alias("utterances"))
     return rows.select("meeting_id", "n_tok", "utterances")
 
 

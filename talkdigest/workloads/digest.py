@@ -357,8 +357,7 @@ oo AS (SELECT DISTINCT meeting_id, step, t[i] || ' ' || t[i + 1] AS g FROM (SELE
 ss AS (SELECT DISTINCT meeting_id, step, tokens[i] || ' ' || tokens[i + 1] AS g FROM (SELECT st.meeting_id, step, tokens, unnest(range(1, len(tokens))) AS i FROM st JOIN u ON u.meeting_id = st.meeting_id AND u.utt_no BETWEEN left_utt AND hi_utt))
 SELECT oo.meeting_id, oo.step, count(*) AS grams, count(ss.g) AS supported FROM oo LEFT JOIN ss ON ss.meeting_id = oo.meeting_id AND ss.step = oo.step AND ss.g = oo.g GROUP BY oo.meeting_id, oo.step""")
 def consistency_window(spark, d):
-    utts = bundles(spark, d)
-    return measures.window_consistency(runs.dynamic(utts, LeadBackbone(Q), K), utts)
+    return measures.own_window_consistency(runs.dynamic_with_source(bundles(spark, d), LeadBackbone(Q), K))
 
 
 @query("mention_support", rf"""WITH {GOLD}{REFERENCE},

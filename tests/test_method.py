@@ -600,3 +600,12 @@ def test_spans_of_slices_and_gaps(spark):
         got = layout.spans_of(spark.createDataFrame([("m", *x) for x in asked], "meeting_id string, snip_no long, seg_start long, seg_end long"), u.withColumn("n", F.col("utt_no") * 2), ["n"], ["snip_no"])
         want = {k: [(i, 2 * i) for i in numbers if a <= i <= b] for k, a, b in asked}
         assert {r.snip_no: [tuple(x) for x in r.u] for r in got.collect()} == {k: v for k, v in want.items() if v}
+
+
+def test_windows_that_carry_their_source_need_no_join(talks):
+    """The same counts as against utterances joined back, from one pass."""
+    steps = runs.dynamic_with_source(talks, LeadBackbone(1), 128)
+    got = measures.own_window_consistency(steps)
+    assert "Join" not in plan_of(got)
+    want = measures.window_consistency(runs.dynamic(talks, LeadBackbone(1), 128), talks)
+    assert {tuple(r) for r in got.collect()} == {tuple(r) for r in want.collect()}
