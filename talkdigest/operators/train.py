@@ -64,11 +64,32 @@ def logistic_gradient(w: np.ndarray, x: np.ndarray, y: np.ndarray, positive: flo
     return x.T @ (weight * (p - y)), float(loss.sum()), float(weight.sum())
 
 
+def block_of(x: np.ndarray, y: np.ndarray) -> bytes:
+    """Rows of features and their y as doubles: one value for many rows, which passes to Python without a conversion of each."""
+    return np.column_stack([x, y]).astype("<f8").tobytes()
+
+
+def packed(rows: DataFrame) -> DataFrame:
+    """(block) of rows (x array<double>, y double)."""
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            if len(b):
+                yield pd.DataFrame({"block": [block_of(np.stack(b["x"].to_numpy()), b["y"].to_numpy(dtype=float))]})
+
+    return rows.select("x", "y").mapInPandas(run, "block binary")
+
+
 def adamw(rows: DataFrame, lr: float = 2e-5, epochs: int = 20, weight_decay: float = 0.01, steps_per_epoch: int = 1, positive: float = 1.0, width: int | None = None) -> DataFrame | list:
-    """[(epoch, weights, loss)] of a logistic head on rows (x, y). Each step is one pass: partial gradients per batch, one small sum.
+    """[(epoch, weights, loss)] of a logistic head on rows (x, y), or on blocks of them of `width` features. Each step is one pass: partial
+    gradients per task, one small sum.
 
     Bias-corrected moments, decay apart from the gradient; betas 0.9 and 0.999, epsilon 1e-8."""
-    width = width or len(rows.first()["x"])
+    own = None
+    if "block" not in rows.columns:
+        width = width or len(rows.first()["x"])
+        rows = own = packed(rows).persist()
+    if width is None:
+        raise ValueError("blocks need a width")
     w, m, v, t, out = np.zeros(width), np.zeros(width), np.zeros(width), 0, []
     spark = rows.sparkSession
     for epoch in range(1, epochs + 1):
@@ -79,17 +100,21 @@ def adamw(rows: DataFrame, lr: float = 2e-5, epochs: int = 20, weight_decay: flo
                 total, loss, weight = np.zeros(width), 0.0, 0.0
                 for b in batches:
                     if len(b):
-                        g, l, n = logistic_gradient(shared.value, np.stack(b["x"].to_numpy()), b["y"].to_numpy(dtype=float), positive)
+                        x = np.frombuffer(b"".join(b["block"]), "<f8").reshape(-1, width + 1)
+                        g, l, n = logistic_gradient(shared.value, x[:, :-1], x[:, -1], positive)
                         total, loss, weight = total + g, loss + l, weight + n
                 yield pd.DataFrame({"g": [total.tolist()], "loss": [loss], "weight": [weight]})
 
-            parts = rows.select("x", "y").mapInPandas(run, "g array<double>, loss double, weight double")
+            parts = rows.select("block").mapInPandas(run, "g array<double>, loss double, weight double")
             sums = parts.agg(*[F.sum(F.col("g")[i]).alias(f"g{i}") for i in range(width)], F.sum("loss").alias("loss"), F.sum("weight").alias("weight")).first()
             n = max(sums["weight"] or 0.0, 1e-12)
             g, t = np.array([sums[f"g{i}"] or 0.0 for i in range(width)]) / n, t + 1
             m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
             w = w - lr * (m / (1 - 0.9 ** t) / (np.sqrt(v / (1 - 0.999 ** t)) + 1e-8) + weight_decay * w)
+            shared.unpersist()
         out.append((epoch, w.tolist(), (sums["loss"] or 0.0) / n))
+    if own is not None:
+        own.unpersist()
     return out
 
 
@@ -104,7 +129,30 @@ def direct_stride(rows: DataFrame, ridge: float = 1e-3) -> list[float]:
     cells = [F.sum(F.col("x")[i] * F.col("x")[j]).alias(f"a{i}_{j}") for i in range(width) for j in range(i + 1)] + [F.sum(F.col("x")[i] * F.col("y")).alias(f"b{i}") for i in range(width)]
     s = rows.agg(*cells).first()
     a = np.array([[s[f"a{max(i, j)}_{min(i, j)}"] for j in range(width)] for i in range(width)])
-    return np.linalg.solve(a + ridge * np.trace(a) / width * np.eye(width), np.array([s[f"b{i}"] for i in range(width)])).tolist()
+    return solved(np.concatenate([a.ravel(), [s[f"b{i}"] for i in range(width)]]), ridge)
+
+
+def equations(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """The normal equations of least squares as one array: x'x by rows, then x'y."""
+    return np.concatenate([(x.T @ x).ravel(), x.T @ y])
+
+
+def summed(rows: DataFrame, column: str) -> np.ndarray:
+    """The sum of an array column, place by place: in each task first."""
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        total = sum((np.asarray(x, float) for b in batches for x in b[column]), np.zeros(1))
+        if total.size > 1:
+            yield pd.DataFrame({"x": [total.tolist()]})
+
+    places = rows.select(column).mapInPandas(run, "x array<double>").select(F.posexplode("x").alias("place", "x"))
+    return np.array([r.x for r in places.groupBy("place").agg(F.sum("x").alias("x")).orderBy("place").collect()])
+
+
+def solved(sums: np.ndarray, ridge: float = 1e-3) -> list[float]:
+    """Least squares from normal equations, as direct_stride() has it."""
+    width = int(np.sqrt(len(sums)))
+    a, b = sums[:width * width].reshape(width, width), sums[width * width:]
+    return np.linalg.solve(a + ridge * np.trace(a) / width * np.eye(width), b).tolist()
 
 
 def policy_gradient(reward: Callable[[list[float], int], tuple[int, float, np.ndarray, np.ndarray]], actions: int = 4, episodes: int = 5, lr: float = 0.5) -> list[tuple[int, list[float], float]]:

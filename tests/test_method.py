@@ -609,3 +609,65 @@ def test_windows_that_carry_their_source_need_no_join(talks):
     assert "Join" not in plan_of(got)
     want = measures.window_consistency(runs.dynamic(talks, LeadBackbone(1), 128), talks)
     assert {tuple(r) for r in got.collect()} == {tuple(r) for r in want.collect()}
+
+
+def drawn_meetings(seed: int = 7):
+    rng = np.random.default_rng(seed)
+    return [[Counter(rng.choice(list("abcdefghijklmnop"), rng.integers(0, 7)).tolist()) for _ in range(n)] for n in (1, 9, 40, 17)] + [[Counter()]]
+
+
+def test_runner_keeps_norms_up_as_sums_over_all_words_would():
+    from talkdigest.operators import neural
+
+    for items in drawn_meetings():
+        n, everything, have, soft, w = len(items), sum(items, Counter()), Counter(), Counter(), baselines.RUNNER_WEIGHTS
+        labels = {i for i in range(n) if i % 5 == 2}
+        got, scores = neural.taught(items, labels), baselines.runner_scores(baselines.Cells(items), w)
+        for i, x in enumerate(items):
+            plain = lambda taken: [1.0, np.log1p(sum(x.values())), backbones.cosine(x, everything), 1 - backbones.cosine(x, taken), np.log1p(i) / 8, i / max(1, n - 1)]  # noqa: B023, E731
+            assert np.allclose(got[i], plain(have))
+            p = 1 / (1 + np.exp(-np.dot(plain(soft), w)))
+            assert scores[i] == pytest.approx(p)
+            have += x if i in labels else Counter()
+            soft.update({word: c * p for word, c in x.items()})
+
+
+def test_runner_and_networks_grow_in_proportion_to_a_meeting():
+    import time
+
+    from talkdigest.operators import neural
+
+    def took(n):
+        rng, best = np.random.default_rng(1), 1e9
+        items = [Counter(f"w{i}x{j}" for j in rng.integers(0, 99, 8)) for i in range(n)]  # new words in each utterance
+        for _ in range(2):
+            began, cells = time.time(), neural.Items(items)
+            baselines.runner_scores(cells, baselines.RUNNER_WEIGHTS)
+            neural.taught(cells, {0, n // 2})
+            neural.pointer(cells, ["PM"] * n)
+            best = min(best, time.time() - began)
+        return best
+
+    assert took(8000) < 10 * took(2000)  # 16 times, if every utterance visits every word
+
+
+def test_meetings_pass_the_recurrent_layer_together():
+    from talkdigest.operators import neural
+
+    inputs = [neural.embed(items) for items in drawn_meetings()]
+    for x, h in zip(inputs, neural.states_together(inputs)):
+        w = {k: neural.seeded(f"cell {k}") for k in ("xz", "hz", "xr", "hr", "xh", "hh")}
+        one = np.zeros(neural.SIZE)
+        for row, got in zip(x, h):
+            one = baselines.recurrent_step(row, one, w)
+            assert np.allclose(one, got)
+
+
+def test_normal_equations_are_summed_in_tasks(spark):
+    rng = np.random.default_rng(3)
+    x, y = rng.normal(size=(60, 3)), rng.normal(size=60)
+    rows = spark.createDataFrame([(list(map(float, a)), float(b)) for a, b in zip(x, y)], "x array<double>, y double")
+    blocks = spark.createDataFrame([(train.equations(x[i:i + 20], y[i:i + 20]).tolist(), train.block_of(x[i:i + 20], y[i:i + 20])) for i in (0, 20, 40)], "sums array<double>, block binary")
+    assert np.allclose(train.solved(train.summed(blocks, "sums")), train.direct_stride(rows))
+    a, b = train.adamw(rows, 0.1, 3), train.adamw(blocks, 0.1, 3, width=3)
+    assert np.allclose([(*w, loss) for _, w, loss in a], [(*w, loss) for _, w, loss in b])
