@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 import zlib
 from collections import Counter
+from copy import copy
 
 import numpy as np
 
@@ -20,6 +21,10 @@ class Backbone:
     def generate(self, view: View):
         raise NotImplementedError
 
+    def of(self, meeting) -> Backbone:
+        """This backbone for the windows of one meeting, with what they share; itself if they share nothing."""
+        return self
+
     def spec(self) -> dict:
         return {"kind": type(self).__name__, **self.__dict__}
 
@@ -130,15 +135,15 @@ def gap_scores(items: list[Counter], block: int) -> np.ndarray:
 
 def depths(scores: np.ndarray) -> np.ndarray:
     """How far each gap lies below the nearest peaks on both sides."""
-    out = np.zeros(len(scores))
-    for g, s in enumerate(scores):
-        a = b = g
-        while a > 0 and scores[a - 1] >= scores[a]:
-            a -= 1
-        while b < len(scores) - 1 and scores[b + 1] >= scores[b]:
-            b += 1
-        out[g] = scores[a] - s + scores[b] - s
-    return out
+    def peaks(values: list[float]) -> list[float]:
+        """What a climb backwards from each place reaches: the climb of the place before goes on, unless that lies lower."""
+        out: list[float] = []
+        for g, s in enumerate(values):
+            out.append(out[-1] if g and values[g - 1] >= s else s)
+        return out
+
+    values = np.asarray(scores, float).tolist()
+    return np.array([a - s + b - s for a, s, b in zip(peaks(values), values, peaks(values[::-1])[::-1])])
 
 
 def salience(items: list[Counter], weights: dict | None = None) -> list[float]:
@@ -153,7 +158,80 @@ def best_in_order(scores: list[float], q: int) -> list[int]:
     return sorted(sorted(range(len(scores)), key=lambda i: (-scores[i], i))[:q])
 
 
-class CohesionBackbone(Backbone):
+class Sliding:
+    """A meeting's word counts with what its windows share: similarities at gaps that no edge of a window cuts, and where a word stood before."""
+
+    def __init__(self, items: list[Counter], speakers: list, block: int = 8):
+        self.items, self.block, last, before = items, block, {}, []
+        for i, x in enumerate(items):
+            before += [last.get(w, -1) for w in x]
+            last.update(dict.fromkeys(x, i))
+        self.before, self.n = np.array(before, np.int64), np.array([c for x in items for c in x.values()], np.int64)
+        self.at = np.r_[0, np.cumsum([len(x) for x in items], dtype=np.int64)]
+        sizes = [sum(x.values()) for x in items]
+        self.sizes, self.logs = np.array(sizes, np.int64), np.array([math.log1p(s) for s in sizes])
+        self.place_logs = np.array([math.log1p(i) for i in range(len(items))])
+        self.changes = np.array([float(a != b) for a, b in zip(speakers, speakers[1:])])
+        self.whole, self.first, self.final = gap_scores(items, block), {}, {}
+
+    def scores(self, left: int, hi: int) -> np.ndarray:
+        """gap_scores() of the utterances left..hi: those near an edge are counted anew, the others are the meeting's."""
+        near = self.block
+        if hi - left + 1 < 4 * near:
+            return gap_scores(self.items[left:hi + 1], near)
+        if left not in self.first:
+            self.first[left] = gap_scores(self.items[left:left + 2 * near], near)[:near]
+        if hi not in self.final:
+            self.final[hi] = gap_scores(self.items[hi - 2 * near + 1:hi + 1], near)[near - 1:]
+        return np.concatenate([self.first[left], self.whole[left + near:hi - near], self.final[hi]])
+
+    def features(self, left: int, hi: int) -> np.ndarray:
+        """Of each utterance in left..hi: place in the window, cohesion at its right gap and depth there, share of new words in the next one, change of speaker, length, distance."""
+        n, scores = hi - left + 1, self.scores(left, hi)
+        out = np.zeros((n, 8))
+        out[:, 0], out[:, 1], out[:, 6], out[:, 7] = 1.0, np.arange(n) / max(1, n - 1), self.logs[left:hi + 1], self.place_logs[:n]
+        out[:-1, 2], out[:-1, 3], out[:-1, 5], out[-1, 4] = scores, depths(scores), self.changes[left:hi], 1.0
+        lo, to = self.at[left + 1], self.at[hi + 1]
+        fresh = np.r_[0, np.cumsum(np.where(self.before[lo:to] < left, self.n[lo:to], 0))][self.at[left + 1:hi + 2] - lo]
+        out[:-1, 4] = np.diff(fresh) / np.maximum(1, self.sizes[left + 1:hi + 1])
+        return out
+
+    def salient(self, left: int, cut: int, q: int) -> list[int]:
+        """The q most salient of the utterances left..left + cut, in order."""
+        return [left + i for i in best_in_order(salience(self.items[left:left + cut + 1]), q)]
+
+
+class SlidingBackbone(Backbone):
+    """A boundary from what a meeting's windows share; snippet of the q most salient utterances before it."""
+
+    sliding: Sliding | None = None
+
+    def of(self, meeting) -> Backbone:
+        return self.over(Sliding(bags(meeting.text), meeting.speaker, self.block))
+
+    def over(self, sliding: Sliding) -> Backbone:
+        one = copy(self)
+        one.sliding = sliding
+        return one
+
+    def cut(self, sliding: Sliding, left: int, hi: int) -> int:
+        """The boundary, counted from left."""
+        raise NotImplementedError
+
+    def chosen(self, view: View) -> tuple[list[int], int]:
+        """Places of the snippet's utterances, and the boundary."""
+        sliding, at = self.sliding, 0
+        if sliding is None:
+            sliding, at = Sliding(bags(view.texts[view.left:view.hi + 1]), view.speakers[view.left:view.hi + 1], self.block), view.left
+        cut = self.cut(sliding, view.left - at, view.hi - at)
+        return [at + i for i in sliding.salient(view.left - at, cut, self.q)], view.left + cut
+
+    def generate(self, view: View):
+        places, b = self.chosen(view)
+        return " ".join(view.texts[i] for i in places), b
+
+
+class CohesionBackbone(SlidingBackbone):
     """Boundary at the deepest fall of lexical similarity; snippet of the q most salient utterances before it."""
 
     name = "cohesion"
@@ -161,32 +239,17 @@ class CohesionBackbone(Backbone):
     def __init__(self, block: int = 8, q: int = 8, least: int = 4):
         self.block, self.q, self.least = block, q, least
 
-    def generate(self, view: View):
-        items = bags(view.texts[view.left:view.hi + 1])
-        cut = len(items) - 1
-        found = depths(gap_scores(items, self.block))[self.least:]
-        if len(found) and found.max() > 0:
-            cut = int(found.argmax()) + self.least
-        used = items[:cut + 1]
-        return " ".join(view.texts[view.left + i] for i in best_in_order(salience(used), self.q)), view.left + cut
+    def cut(self, sliding: Sliding, left: int, hi: int) -> int:
+        found = depths(sliding.scores(left, hi))[self.least:]
+        return int(found.argmax()) + self.least if len(found) and found.max() > 0 else hi - left
 
 
 def features(items: list[Counter], speakers: list, block: int = 8) -> np.ndarray:
-    """Of each utterance: place in the window, cohesion at its right gap and depth there, share of new words in the next one, change of speaker, length, distance."""
-    n = len(items)
-    scores = gap_scores(items, block)
-    deep = depths(scores)
-    seen: set = set()
-    out = np.zeros((n, 8))
-    for i, x in enumerate(items):
-        seen |= x.keys()
-        following = items[i + 1] if i + 1 < n else Counter()
-        fresh = sum(c for w, c in following.items() if w not in seen) / max(1, sum(following.values()))
-        out[i] = (1.0, i / max(1, n - 1), scores[i] if i < n - 1 else 0.0, deep[i] if i < n - 1 else 0.0, fresh if i < n - 1 else 1.0, float(i + 1 < n and speakers[i] != speakers[i + 1]), math.log1p(sum(x.values())), math.log1p(i))
-    return out
+    """Sliding.features() of all items."""
+    return Sliding(items, speakers, block).features(0, len(items) - 1)
 
 
-class LearnedBackbone(Backbone):
+class LearnedBackbone(SlidingBackbone):
     """Boundary at the best logistic score of an utterance; snippet of the q most salient utterances before it."""
 
     name = "learned"
@@ -194,11 +257,8 @@ class LearnedBackbone(Backbone):
     def __init__(self, coefs: list[float], block: int = 8, q: int = 8):
         self.coefs, self.block, self.q = list(coefs), block, q
 
-    def generate(self, view: View):
-        items = bags(view.texts[view.left:view.hi + 1])
-        scores = features(items, view.speakers[view.left:view.hi + 1], self.block) @ np.array(self.coefs)
-        cut = int(scores.argmax())
-        return " ".join(view.texts[view.left + i] for i in best_in_order(salience(items[:cut + 1]), self.q)), view.left + cut
+    def cut(self, sliding: Sliding, left: int, hi: int) -> int:
+        return int((sliding.features(left, hi) @ np.array(self.coefs)).argmax())
 
 
 class StrideBackbone(Backbone):

@@ -41,11 +41,11 @@ def locate_exact(asked: DataFrame, utts: DataFrame) -> DataFrame:
     return rows.groupBy("meeting_id", "left_utt", "hi_utt", "text").agg(F.min(inside).alias("found"))
 
 
-def distance(pred: DataFrame, gold: DataFrame, utts: DataFrame, align: str = "teacher") -> DataFrame:
-    """(meeting_id, snip_no, pred_utt, gold_utt, utterances, characters) of each prediction.
+def distance(pred: DataFrame, gold: DataFrame, utts: DataFrame, align: str = "teacher", also: tuple[str, ...] = ()) -> DataFrame:
+    """(*also, meeting_id, snip_no, pred_utt, gold_utt, utterances, characters) of each prediction.
 
     teacher: pred and gold share (meeting_id, snip_no); free: a prediction is held against the nearest gold boundary,
-    found by as-of windows from both sides. pred: pred_utt; gold: gold_utt."""
+    found by as-of windows from both sides. pred: pred_utt; gold: gold_utt. also: further columns of pred (teacher)."""
     if align not in ("teacher", "free"):
         raise ValueError(f"align must be teacher or free, not {align}")
     if align == "teacher":
@@ -61,9 +61,9 @@ def distance(pred: DataFrame, gold: DataFrame, utts: DataFrame, align: str = "te
         rows = rows.select("meeting_id", "snip_no", F.col("at").alias("pred_utt"), near.alias("gold_utt")).where("gold_utt is not null")
     ends = utts.select("meeting_id", "utt_no", "char_end")
     rows = rows.join(ends.select("meeting_id", F.col("utt_no").alias("pred_utt"), F.col("char_end").alias("pred_char")), ["meeting_id", "pred_utt"]).join(ends.select("meeting_id", F.col("utt_no").alias("gold_utt"), F.col("char_end").alias("gold_char")), ["meeting_id", "gold_utt"])
-    return rows.select("meeting_id", "snip_no", "pred_utt", "gold_utt", F.abs(F.col("pred_utt") - F.col("gold_utt")).alias("utterances"), F.abs(F.col("pred_char") - F.col("gold_char")).alias("characters"))
+    return rows.select(*also, "meeting_id", "snip_no", "pred_utt", "gold_utt", F.abs(F.col("pred_utt") - F.col("gold_utt")).alias("utterances"), F.abs(F.col("pred_char") - F.col("gold_char")).alias("characters"))
 
 
-def summary(distances: DataFrame, within: int = 3) -> DataFrame:
-    """(n, utterances, characters, hit_rate): means and the share of predictions at most `within` utterances off."""
-    return distances.agg(F.count("*").alias("n"), F.round(F.avg("utterances"), 6).alias("utterances"), F.round(F.avg("characters"), 6).alias("characters"), F.round(F.avg((F.col("utterances") <= within).cast("double")), 6).alias("hit_rate"))
+def summary(distances: DataFrame, within: int = 3, by: tuple[str, ...] = ()) -> DataFrame:
+    """(*by, n, utterances, characters, hit_rate): means and the share of predictions at most `within` utterances off."""
+    return distances.groupBy(*by).agg(F.count("*").alias("n"), F.round(F.avg("utterances"), 6).alias("utterances"), F.round(F.avg("characters"), 6).alias("characters"), F.round(F.avg((F.col("utterances") <= within).cast("double")), 6).alias("hit_rate"))

@@ -2,15 +2,20 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections import Counter
+from collections.abc import Callable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.text import words
+from ..sources.layout import nest
 from . import analysis, baselines, boundary, convert, measures, neural, rouge, runs, split, train
-from .backbones import Backbone, LearnedBackbone, LeadBackbone, PolicyBackbone, StrideBackbone
+from .backbones import Backbone, LearnedBackbone, LeadBackbone, PolicyBackbone, Sliding, StrideBackbone, bags
+from .windows import View, advance
 
 
 def gold_segments(gold: DataFrame) -> DataFrame:
@@ -58,8 +63,9 @@ def learned(utts: DataFrame, gold: DataFrame, lr: float = 0.3, epochs: int = 20,
 
     The published rate of 2e-5 belongs to a pre-trained network; a head that starts at zero needs a larger one."""
     segs = noisy_segments(utts, gold).persist()
-    rows = train.boundary_rows(utts, segs.where("split = 'train'")).persist()
-    history = train.adamw(rows, lr, epochs, positive=positive, steps_per_epoch=2)
+    rows = train.boundary_blocks(utts, segs.where("split = 'train'")).persist()
+    history = train.adamw(rows, lr, epochs, positive=positive, steps_per_epoch=2, width=train.WIDTH)
+    rows.unpersist()
     scores = validated(utts, gold, {e: w for e, w, _ in history}, k)
     history = [(e, w, loss, scores.get(e, 0.0)) for e, w, loss in history]
     best = train.best_checkpoint(utts.sparkSession.createDataFrame([(e, w, s) for e, w, _, s in history], "epoch int, weights array<double>, val_r2 double")).first()
@@ -67,17 +73,53 @@ def learned(utts: DataFrame, gold: DataFrame, lr: float = 0.3, epochs: int = 20,
 
 
 def validated(utts: DataFrame, gold: DataFrame, weights: dict[int, list[float]], k: int = 1024) -> dict[int, float]:
-    """{epoch: ROUGE-2 F of its dynamic run on the validation meetings}; the runs of all epochs are scored in one plan."""
+    """{epoch: ROUGE-2 F of its dynamic run on the validation meetings}. A meeting passes once: the runs of all epochs share what its windows
+    have in common, and are scored where they are made."""
+    if not weights:
+        return {}
     names = split.assign(utts).where("split = 'validation'").select("meeting_id")
-    some, reference = utts.join(names, "meeting_id", "left_semi").persist(), rouge.reference_texts(gold.join(names, "meeting_id", "left_semi"))
-    texts = None
+    reference = rouge.reference_texts(gold.join(names, "meeting_id", "left_semi")).select("meeting_id", words(F.col("text")).alias("reference"))
+    nested = nest(utts.join(names, "meeting_id", "left_semi").withColumn("line", F.array_join("tokens", " ")), ("line",))
+    nested = nested.select("meeting_id", *[F.col(f"utterances.{c}").alias(c) for c in (*runs.ARRAYS, "line")])
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            out = []
+            for r in batch.itertuples(index=False):
+                ref = bigrams([] if r.reference is None else list(r.reference))
+                texts = [] if r.utt_no is None else epoch_texts(r, weights, k)
+                for e, text in texts or ((e, []) for e in weights):
+                    cand = bigrams(text)
+                    out.append((f"{e}@{r.meeting_id}", sum(min(n, ref[g]) for g, n in cand.items()), sum(cand.values()), sum(ref.values())))
+            yield pd.DataFrame(out, columns=["key", "match", "cand", "ref"])
+
+    counts = nested.join(reference, "meeting_id", "full").mapInPandas(run, "key string, match long, cand long, ref long")
+    return {int(r.run): r.f for r in mean_scores(counts, "r2").collect()}  # a row an epoch
+
+
+def bigrams(tokens: list[str]) -> Counter:
+    return Counter(zip(tokens, tokens[1:]))
+
+
+def epoch_texts(record, weights: dict[int, list[float]], k: int) -> list[tuple[int, list[str]]]:
+    """(epoch, tokens of all snippets) of the dynamic runs over one meeting. Windows that several epochs visit are looked at once."""
+    meeting, line = runs.Meeting(record), [x.split() for x in record.line]
+    sliding, out = Sliding(bags(meeting.text), meeting.speaker), []
+    sliding.features, sliding.salient = lru_cache(2048)(sliding.features), lru_cache(8192)(sliding.salient)
     for epoch, w in weights.items():
-        text = runs.assemble(runs.dynamic(some, LearnedBackbone(w), k)).withColumn("run", F.lit(str(epoch)))
-        texts = text if texts is None else texts.unionByName(text)
-    if texts is None:
-        return {}
-    rows = mean_scores(rouge.ngram(run_pairs(texts, reference, [str(e) for e in weights]), 2), "r2").collect()  # a row an epoch
-    return {int(r.run): r.f for r in rows}
+        backbone = Places(w).over(sliding)
+        out.append((epoch, [t for s in runs.steps_of(meeting, backbone, k, "after", "boundary") for i in s[6] for t in line[i]]))
+    return out
+
+
+class Places(LearnedBackbone):
+    """The learned backbone with places instead of texts as snippets, for a meeting at hand."""
+
+    def of(self, meeting) -> Backbone:
+        return self
+
+    def generate(self, view: View):
+        return self.chosen(view)
 
 
 def run_pairs(texts: DataFrame, reference: DataFrame, names: list[str]) -> DataFrame:
@@ -146,29 +188,32 @@ def policy(utts: DataFrame, gold: DataFrame, inner: Backbone, k: int = 1024, epi
 
 def boundary_distances(utts: DataFrame, gold: DataFrame, make: Callable[[], Backbone], k: int = 1024) -> DataFrame:
     """Distances of a backbone's boundary from gold when each window starts at a gold segment (teacher)."""
+    return boundary_distances_by(utts, gold, {"one": make()}, k).drop("backbone")
+
+
+def boundary_distances_by(utts: DataFrame, gold: DataFrame, backbones: dict[str, Backbone], k: int = 1024) -> DataFrame:
+    """As boundary_distances(), of several backbones (column backbone); a meeting passes once for all of them."""
     segs = gold_segments(gold)
     asked = segs.select("meeting_id", "snip_no", "seg_start", F.col("seg_end").alias("gold_utt"))
-    pred = teacher_boundaries(utts, asked, make(), k)
-    return boundary.distance(pred, asked.select("meeting_id", "snip_no", "gold_utt"), utts)
+    return boundary.distance(teacher_boundaries(utts, asked, backbones, k), asked.select("meeting_id", "snip_no", "gold_utt"), utts, also=("backbone",))
 
 
-def teacher_boundaries(utts: DataFrame, asked: DataFrame, backbone: Backbone, k: int = 1024) -> DataFrame:
-    """(meeting_id, snip_no, pred_utt): one window from each asked left edge; a meeting's windows in one task."""
-    from ..sources.layout import nest
-    from .windows import advance
-
+def teacher_boundaries(utts: DataFrame, asked: DataFrame, backbones: dict[str, Backbone], k: int = 1024) -> DataFrame:
+    """(backbone, meeting_id, snip_no, pred_utt): one window from each asked left edge; a meeting's windows in one task."""
     edges = asked.groupBy("meeting_id").agg(F.collect_list(F.struct("snip_no", "seg_start")).alias("edges"))
-    shared = utts.sparkSession.sparkContext.broadcast(backbone)
+    shared = utts.sparkSession.sparkContext.broadcast(backbones)
 
     def run(batches):
         for batch in batches:
             out = []
             for r in batch.itertuples(index=False):
                 m = runs.Meeting(r)
-                for e in r.edges:
-                    left = int(np.searchsorted(m.utt_no, e["seg_start"]))
-                    _, _, _, _, b, _ = runs.step(m, left, shared.value, k, "after")
-                    out.append((r.meeting_id, int(e["snip_no"]), int(m.utt_no[advance(left, b, len(m.utt_no) - 1)[0]])))
-            yield pd.DataFrame(out, columns=["meeting_id", "snip_no", "pred_utt"])
-
-    return runs.arrays(nest(utts)).join(edges, "meeting_id").mapInPandas(run, "meeting_id string, snip_no long, pred_utt long")
+                for name, backbone in shared.value.items():
+                    backbone = backbone.of(m)
+                    for e in r.edges:
+                        left = int(np.searchsorted(m.utt_no, e["seg_start"]))
+                        _, _, _, _, b, _ = runs.step(m, left, backbone, k, "after")
+                        out.append((name, r.meeting_id, int(e["snip_no"]), int(m.utt_no[advance(left, b, len(m.utt_no) - 1)[0]])))
+            yield pd.DataFrame(out, columns=["backbone", "meeting_id", "snip_no", "pred_utt"])
+
+    return runs.arrays(nest(utts)).join(edges, "meeting_id").mapInPandas(run, "backbone string, meeting_id string, snip_no long, pred_utt long")

@@ -50,7 +50,7 @@ class Meeting:
 
 def steps_of(meeting: Meeting, backbone, k: int, resume: str, stop: str) -> Iterator[tuple]:
     """All steps of one meeting; left strictly grows, so there are at most as many as utterances."""
-    left, last, number = 0, len(meeting.utt_no) - 1, 0
+    left, last, number, backbone = 0, len(meeting.utt_no) - 1, 0, backbone.of(meeting)
     while left <= last:
         hi, i_left, i_right, snippet, b, nxt = step(meeting, left, backbone, k, resume)
         over = b >= last or (stop == "window" and hi >= last)

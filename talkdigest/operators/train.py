@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .backbones import bags, features, window_features
+from .backbones import Sliding, bags, window_features
 from .runs import arrays
 from .windows import View, reach
 from ..sources.layout import nest
@@ -17,8 +17,8 @@ from ..sources.layout import nest
 WIDTH = 8
 
 
-def boundary_rows(utts: DataFrame, segments: DataFrame, block: int = 8) -> DataFrame:
-    """(meeting_id, x array<double>, y double): features of every utterance of each (noisy) segment; y = 1 at gold_end, the last supporting one."""
+def boundary_blocks(utts: DataFrame, segments: DataFrame, block: int = 8) -> DataFrame:
+    """(meeting_id, block): features of every utterance of each (noisy) segment, and y = 1 at gold_end, the last supporting one; as a block of adamw()."""
     segs = segments.groupBy("meeting_id").agg(F.collect_list(F.struct("seg_start", "seg_end", "gold_end")).alias("segs"))
     rows = arrays(nest(utts)).join(segs, "meeting_id")
 
@@ -26,13 +26,13 @@ def boundary_rows(utts: DataFrame, segments: DataFrame, block: int = 8) -> DataF
         for batch in batches:
             out = []
             for r in batch.itertuples(index=False):
-                texts, speakers = list(r.text), list(r.speaker)
+                sliding = Sliding(bags(list(r.text)), list(r.speaker), block)
                 for s in r.segs:
-                    x = features(bags(texts[s["seg_start"]:s["seg_end"] + 1]), speakers[s["seg_start"]:s["seg_end"] + 1], block)
-                    out += [(r.meeting_id, list(map(float, row)), float(s["seg_start"] + i == s["gold_end"])) for i, row in enumerate(x)]
-            yield pd.DataFrame(out, columns=["meeting_id", "x", "y"])
+                    left, hi = s["seg_start"], min(s["seg_end"], len(sliding.items) - 1)
+                    out.append((r.meeting_id, block_of(sliding.features(left, hi), np.arange(left, hi + 1) == s["gold_end"])))
+            yield pd.DataFrame(out, columns=["meeting_id", "block"])
 
-    return rows.mapInPandas(run, "meeting_id string, x array<double>, y double")
+    return rows.mapInPandas(run, "meeting_id string, block binary")
 
 
 def stride_rows(utts: DataFrame, segments: DataFrame, k: int = 1024) -> DataFrame:

@@ -313,11 +313,8 @@ def boundary_distance_by_backbone(spark, d):
     """(backbone, n, utterances, characters, hit_rate): gold is 0 off, then lead, cohesion and learned."""
     utts, gold = bundles_and_gold(spark, d)
     trained, _ = experiments.learned(utts, gold)
-    out = None
-    for name, backbone in (("lead", LeadBackbone(Q)), ("cohesion", CohesionBackbone()), ("learned", trained)):
-        rows = boundary.summary(experiments.boundary_distances(utts, gold, lambda b=backbone: b, K)).withColumn("backbone", F.lit(name))
-        out = rows if out is None else out.unionByName(rows)
-    return out
+    rows = experiments.boundary_distances_by(utts, gold, {"lead": LeadBackbone(Q), "cohesion": CohesionBackbone(), "learned": trained}, K)
+    return boundary.summary(rows, by=("backbone",)).select("n", "utterances", "characters", "hit_rate", "backbone")
 
 
 @query("boundary_distance_free", rf"""WITH RECURSIVE {MERGED}{lead_steps(K, Q)},

@@ -671,3 +671,36 @@ def test_normal_equations_are_summed_in_tasks(spark):
     assert np.allclose(train.solved(train.summed(blocks, "sums")), train.direct_stride(rows))
     a, b = train.adamw(rows, 0.1, 3), train.adamw(blocks, 0.1, 3, width=3)
     assert np.allclose([(*w, loss) for _, w, loss in a], [(*w, loss) for _, w, loss in b])
+
+
+def test_windows_share_a_meetings_work():
+    """Any window's features equal those of its own utterances alone, and similarities of inner gaps are counted once a meeting."""
+    rng = np.random.default_rng(9)
+    items = [Counter(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), rng.integers(0, 7)).tolist()) for _ in range(90)]
+    speakers = rng.choice(["PM", "ME"], 90).tolist()
+    sliding = backbones.Sliding(items, speakers, 8)
+    for left, hi in ((0, 89), (0, 0), (3, 40), (10, 41), (10, 42), (57, 89), (88, 89)):
+        part, who, seen = items[left:hi + 1], speakers[left:hi + 1], set()
+        scores = backbones.gap_scores(part, 8)
+        assert np.array_equal(sliding.scores(left, hi), scores)
+        for i, row in enumerate(sliding.features(left, hi)):
+            seen |= part[i].keys()
+            last = i == len(part) - 1
+            after = Counter() if last else part[i + 1]
+            lower = lambda places: max(scores[g] for g in itertools.takewhile(lambda g: g == i or scores[g] >= scores[g + (1 if g < i else -1)], places))  # noqa: B023, E731
+            deep = 0.0 if last else lower(range(i, -1, -1)) - scores[i] + lower(range(i, len(scores))) - scores[i]
+            fresh = 1.0 if last else sum(c for w, c in after.items() if w not in seen) / max(1, sum(after.values()))
+            assert np.allclose(row, (1, i / max(1, len(part) - 1), 0 if last else scores[i], deep, fresh, not last and who[i] != who[i + 1], np.log1p(sum(part[i].values())), np.log1p(i)))
+
+
+def test_backbones_look_at_a_meeting_once(utts, monkeypatch):
+    asked, plain = [], backbones.bags
+    monkeypatch.setattr(backbones, "bags", lambda texts: asked.append(len(texts)) or plain(texts))
+    record = runs.arrays(layout.nest(utts)).orderBy(F.desc(F.size("utt_no"))).first()
+    meeting = runs.Meeting(record)
+    for backbone in (LearnedBackbone([0, 0, -1, 1, 1, 0, 0, 0.1]), CohesionBackbone()):
+        del asked[:]
+        steps = list(runs.steps_of(meeting, backbone, 256, "after", "boundary"))
+        assert len(steps) > 3 and asked == [len(meeting.text)]
+        backbone.of = lambda m, b=backbone: b
+        assert steps == list(runs.steps_of(meeting, backbone, 256, "after", "boundary"))
