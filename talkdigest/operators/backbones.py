@@ -159,31 +159,63 @@ def best_in_order(scores: list[float], q: int) -> list[int]:
 
 
 class Sliding:
-    """A meeting's word counts with what its windows share: similarities at gaps that no edge of a window cuts, and where a word stood before."""
+    """A meeting's word counts with what its windows share: similarities at gaps, also those that an edge of a window cuts, and where a
+    word stood before."""
 
     def __init__(self, items: list[Counter], speakers: list, block: int = 8):
-        self.items, self.block, last, before = items, block, {}, []
+        self.items, self.block, last, before, index = items, block, {}, [], {}
         for i, x in enumerate(items):
             before += [last.get(w, -1) for w in x]
             last.update(dict.fromkeys(x, i))
         self.before, self.n = np.array(before, np.int64), np.array([c for x in items for c in x.values()], np.int64)
-        self.at = np.r_[0, np.cumsum([len(x) for x in items], dtype=np.int64)]
+        lengths = np.array([len(x) for x in items], np.int64)
+        self.at = np.r_[0, np.cumsum(lengths)]
         sizes = [sum(x.values()) for x in items]
         self.sizes, self.logs = np.array(sizes, np.int64), np.array([math.log1p(s) for s in sizes])
         self.place_logs = np.array([math.log1p(i) for i in range(len(items))])
         self.changes = np.array([float(a != b) for a, b in zip(speakers, speakers[1:])])
-        self.whole, self.first, self.final = gap_scores(items, block), {}, {}
+        word = np.array([index.setdefault(w, len(index)) for x in items for w in x], np.int64)
+        self.before_edge, self.after_edge = self._cut_scores(word, np.repeat(np.arange(len(items)), lengths))
+
+    def _cut_scores(self, word: np.ndarray, item: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Similarities at each gap of the a = 1..block utterances before and `block` after it, and of `block` before and b = 1..block after.
+
+        Blocks' products are sums of products of two utterances, which lie less than two blocks apart: dot[i, d] of i and i + d. Counts
+        are whole numbers, so the sums are exact in any order."""
+        size, lags, many = self.block, 2 * self.block, len(self.items)
+        order = np.lexsort((item, word))
+        word, item, n = word[order], item[order], self.n[order].astype(float)
+        dot = np.zeros((many + 2 * lags, lags))  # padded with empty utterances on both sides
+        dot[lags:lags + many, 0] = np.bincount(item, n * n, many)
+        for s in range(1, lags):  # a word stands in at most so many of the next utterances
+            d = item[s:] - item[:-s]
+            near = (word[s:] == word[:-s]) & (d < lags)
+            dot[lags:lags + many] += np.bincount(item[:-s][near] * lags + d[near], (n[s:] * n[:-s])[near], many * lags).reshape(many, lags)
+        reached = np.c_[np.zeros(len(dot)), np.cumsum(dot[:, 1:], axis=1)]  # [i, m]: products of i with the next m
+
+        def rows(shift: int, m: int) -> np.ndarray:
+            """reached[i + shift, m] for all i."""
+            return reached[lags + shift:lags + shift + many, m]
+
+        own = lambda shift: dot[lags + shift:lags + shift + many, 0]
+        aa, bb, cross_a, cross_b = np.zeros((size, many)), np.zeros((size, many)), np.zeros((size, many)), np.zeros((size, many))
+        for k in range(size):
+            aa[k] = aa[k - 1] + own(-k) + 2 * rows(-k, k) if k else own(0)
+            cross_a[k] = (cross_a[k - 1] if k else 0) + rows(-k, k + size) - rows(-k, k)
+            inner = sum(dot[lags + 1 + k - d:lags + 1 + k - d + many, d] for d in range(1, k + 1))
+            bb[k] = (bb[k - 1] if k else 0) + own(1 + k) + 2 * inner
+            for b in range(size):
+                cross_b[b] += rows(-k, k + b + 1) - rows(-k, k)
+        ratio = lambda x, y: np.divide(x, np.sqrt(y), out=np.zeros(x.shape), where=x != 0)
+        return ratio(cross_a, aa * bb[-1]), ratio(cross_b, aa[-1] * bb)
 
     def scores(self, left: int, hi: int) -> np.ndarray:
-        """gap_scores() of the utterances left..hi: those near an edge are counted anew, the others are the meeting's."""
+        """gap_scores() of the utterances left..hi; only short windows are counted anew, as both edges cut their gaps."""
         near = self.block
-        if hi - left + 1 < 4 * near:
+        if hi - left <= 2 * near:
             return gap_scores(self.items[left:hi + 1], near)
-        if left not in self.first:
-            self.first[left] = gap_scores(self.items[left:left + 2 * near], near)[:near]
-        if hi not in self.final:
-            self.final[hi] = gap_scores(self.items[hi - 2 * near + 1:hi + 1], near)[near - 1:]
-        return np.concatenate([self.first[left], self.whole[left + near:hi - near], self.final[hi]])
+        to = np.arange(near)
+        return np.concatenate([self.before_edge[to, left + to], self.before_edge[-1, left + near:hi - near], self.after_edge[to, hi - 1 - to][::-1]])
 
     def features(self, left: int, hi: int) -> np.ndarray:
         """Of each utterance in left..hi: place in the window, cohesion at its right gap and depth there, share of new words in the next one, change of speaker, length, distance."""

@@ -15,6 +15,7 @@ from ..functions.text import words
 from ..sources.layout import nest
 from . import analysis, baselines, boundary, convert, measures, neural, rouge, runs, split, train
 from .backbones import Backbone, LearnedBackbone, LeadBackbone, PolicyBackbone, Sliding, StrideBackbone, bags
+from .iteration import cut
 from .windows import View, advance
 
 
@@ -63,9 +64,8 @@ def learned(utts: DataFrame, gold: DataFrame, lr: float = 0.3, epochs: int = 20,
 
     The published rate of 2e-5 belongs to a pre-trained network; a head that starts at zero needs a larger one."""
     segs = noisy_segments(utts, gold).persist()
-    rows = train.boundary_blocks(utts, segs.where("split = 'train'")).persist()
+    rows = cut(train.boundary_blocks(utts, segs.where("split = 'train'")))  # a table: a plan with all that is behind it, in each of 40 passes, fills the driver
     history = train.adamw(rows, lr, epochs, positive=positive, steps_per_epoch=2, width=train.WIDTH)
-    rows.unpersist()
     scores = validated(utts, gold, {e: w for e, w, _ in history}, k)
     history = [(e, w, loss, scores.get(e, 0.0)) for e, w, loss in history]
     best = train.best_checkpoint(utts.sparkSession.createDataFrame([(e, w, s) for e, w, _, s in history], "epoch int, weights array<double>, val_r2 double")).first()

@@ -22,6 +22,7 @@ from ..schema import ROLES, positive
 from . import split, train
 from .backbones import best_in_order
 from .baselines import RUNNER_WEIGHTS, Cells, greedy_labels, lines_of, ratios, recurrent_step, runner_features
+from .iteration import cut
 from .nn import softmax
 from .rouge import reference_texts
 
@@ -259,7 +260,8 @@ def labelled(utts: DataFrame, gold: DataFrame, most: int = 10) -> DataFrame:
 def fitted(utts: DataFrame, gold: DataFrame, most: int = 10) -> dict[str, list[float]]:
     """{name: read-out} of `runner` (logistic) and of each network (least squares), from the training meetings; ValueError if there are none."""
     names = split.assign(utts).where("split = 'train'").select("meeting_id")
-    rows = labelled(utts.join(names, "meeting_id", "left_semi"), gold, most).persist()
+    rows = labelled(utts.join(names, "meeting_id", "left_semi"), gold, most)
+    rows = cut(rows)  # a table: a plan with all that is behind it, in each of 40 passes, fills the driver
     sums, at, out = train.summed(rows, "sums"), 0, {}
     if not len(sums):
         raise ValueError("no training meetings")
@@ -268,7 +270,6 @@ def fitted(utts: DataFrame, gold: DataFrame, most: int = 10) -> dict[str, list[f
         out[name] = train.solved(sums[at:at + width * (width + 1)])
         at += width * (width + 1)
     out["runner"] = train.adamw(rows, 0.3, 20, steps_per_epoch=2, width=len(RUNNER_WEIGHTS))[-1][1]
-    rows.unpersist()
     return out
 
 
