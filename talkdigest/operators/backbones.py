@@ -393,16 +393,16 @@ class Seq2SeqBackbone(Backbone):
             return f"{self.sep} {view.texts[view.hi] or ''}"
         encoded = np.vstack([self.model.encode(self.ids(words[i:i + view.k])) for i in range(0, len(words), view.k)])
         open_ = list(dict.fromkeys(words))
-        out, snippet = [0], []
+        places, reader, snippet = self.ids(open_), self.model.reader(encoded), []
+        logits = reader.logits(0)
         while open_ and len(snippet) < self.q:
-            logits = self.model.logits(out, encoded)[-1]
-            scores = logits[self.ids(open_)]
+            scores = logits[places]
             best = int(scores.argmax())
             if snippet and logits[1] > scores[best]:
                 break
             snippet.append(open_.pop(best))
-            out.append(self.ids(snippet[-1:])[0])
-        logits = self.model.logits(out + [1], encoded)[-1]
+            logits = reader.logits(places.pop(best))
+        logits = reader.logits(1)
         means = [float(logits[self.ids(u)].mean()) if u else -math.inf for u in utterances]
         return f"{' '.join(snippet)} {self.sep} {view.texts[view.left + int(np.argmax(means))]}"
 

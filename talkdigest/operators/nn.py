@@ -17,8 +17,9 @@ EPS = 1e-5
 
 
 def layer_norm(x: np.ndarray, gain=1.0, bias=0.0) -> np.ndarray:
-    m, v = x.mean(-1, keepdims=True), x.var(-1, keepdims=True)
-    return (x - m) / np.sqrt(v + EPS) * gain + bias
+    n = x.shape[-1]  # plain sums: mean() and var() cost more than a short row's arithmetic
+    d = x - np.add.reduce(x, -1, keepdims=True) / n
+    return d / np.sqrt(np.add.reduce(d * d, -1, keepdims=True) / n + EPS) * gain + bias
 
 
 def softmax(x: np.ndarray) -> np.ndarray:
@@ -116,6 +117,11 @@ class Seq2Seq:
         at = np.arange(len(ids))[:, None] / 10000 ** (2 * (np.arange(self.d) // 2) / self.d)[None, :]
         return self.embedding[ids] + np.where(np.arange(self.d) % 2 == 0, np.sin(at), np.cos(at))
 
+    def placed_at(self, token: int, place: int) -> np.ndarray:
+        """placed() of one token."""
+        at = place / 10000 ** (2 * (np.arange(self.d) // 2) / self.d)[None, :]
+        return self.embedding[[token]] + np.where(np.arange(self.d) % 2 == 0, np.sin(at), np.cos(at))
+
     def encode(self, ids: list[int], mask=None) -> np.ndarray:
         h = self.placed(ids)
         for layer in self.encoder:
@@ -128,6 +134,9 @@ class Seq2Seq:
             h = layer(h, encoded)
         return h @ self.embedding.T
 
+    def reader(self, encoded: np.ndarray) -> Reader:
+        return Reader(self, encoded)
+
     def decode(self, ids: list[int], most: int = 16, beam: int = 1) -> list[int]:
         """Left to right, token by token; beam 1 is greedy. Ties go to smaller ids."""
         encoded = self.encode(ids)
@@ -147,6 +156,37 @@ class Seq2Seq:
         return best[:-1] if best and best[-1] == 1 else best
 
 
+class Reader:
+    """Decoding token by token over one encoding: keys and values of the encoding and of earlier tokens are kept, and only the last
+    token passes the layers. The same logits as Seq2Seq.logits() of all tokens, whose earlier places later ones do not change."""
+
+    def __init__(self, model: Seq2Seq, encoded: np.ndarray, most: int = 8):
+        self.model, self.size = model, 0
+        split = lambda x, n: x.reshape(len(x), n, -1).transpose(1, 0, 2)  # noqa: E731  heads first
+        self.split = split
+        self.cross = [(split(encoded @ x.cross.k, x.cross.heads).transpose(0, 2, 1).copy(), split(encoded @ x.cross.v, x.cross.heads)) for x in model.decoder]
+        self.own = [[np.zeros((x.own.heads, most, model.d // x.own.heads)) for _ in range(2)] for x in model.decoder]
+
+    def attended(self, q: np.ndarray, keys: np.ndarray, values: np.ndarray) -> np.ndarray:
+        """One query of each head over its keys (turned) and values."""
+        return (softmax(q @ keys / np.sqrt(q.shape[-1])) @ values).transpose(1, 0, 2).reshape(1, -1)
+
+    def logits(self, token: int) -> np.ndarray:
+        """Scores of what follows the tokens so far and this one."""
+        m, at = self.model, self.size
+        h = m.placed_at(token, at)
+        for layer, own, (keys, values) in zip(m.decoder, self.own, self.cross):
+            if at == own[0].shape[1]:
+                own[:] = [np.concatenate([x, np.zeros_like(x)], axis=1) for x in own]
+            own[0][:, at:at + 1], own[1][:, at:at + 1] = self.split(h @ layer.own.k, layer.own.heads), self.split(h @ layer.own.v, layer.own.heads)
+            mine = self.attended(self.split(h @ layer.own.q, layer.own.heads), own[0][:, :at + 1].transpose(0, 2, 1), own[1][:, :at + 1])
+            h = layer_norm(h + mine @ layer.own.o)
+            h = layer_norm(h + self.attended(self.split(h @ layer.cross.q, layer.cross.heads), keys, values) @ layer.cross.o)
+            h = layer_norm(h + layer.forward(h))
+        self.size += 1
+        return (h @ m.embedding.T)[0]
+
+
 def block_context(blocks: list[np.ndarray]) -> np.ndarray:
     """One vector of many blocks' encodings: mean of the blocks' means, for inputs longer than a window."""
     return np.mean([b.mean(0) for b in blocks], axis=0)

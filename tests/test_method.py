@@ -704,3 +704,17 @@ def test_backbones_look_at_a_meeting_once(utts, monkeypatch):
         assert len(steps) > 3 and asked == [len(meeting.text)]
         backbone.of = lambda m, b=backbone: b
         assert steps == list(runs.steps_of(meeting, backbone, 256, "after", "boundary"))
+
+
+def test_reader_keeps_keys_and_values_of_earlier_tokens(monkeypatch):
+    model = nn.Seq2Seq(40, layers=3, seed=2)
+    encoded, out = model.encode([5, 6, 7, 8, 9, 5]), [0, 4, 9, 4, 30, 2, 7, 8, 1, 3, 11]
+    reader = model.reader(encoded)
+    for i, token in enumerate(out):
+        assert np.allclose(reader.logits(token), model.logits(out[:i + 1], encoded)[-1])
+    rows = []
+    plain = nn.FeedForward.__call__
+    monkeypatch.setattr(nn.FeedForward, "__call__", lambda self, x: rows.append(len(x)) or plain(self, x))
+    view = windows.View("m", np.arange(2), ["PM"] * 2, ["a b c d e f g", "h i j"], np.array([7, 3]), 0, 1, 16)
+    Seq2SeqBackbone(model, q=6).written(view)
+    assert set(rows[3:]) == {1}  # after encoding, each step passes one token only
