@@ -35,8 +35,8 @@ def scoreboard(utts: DataFrame, gold: DataFrame, steps: dict[str, DataFrame], lo
     for name, rows in steps.items():
         text = runs.dedup_sentences(runs.assemble(rows)).select("meeting_id", "text").persist()  # one short text a meeting, read by four measures
         pairs = rouge.pairs(text, reference)
-        parts = [rouge.means(rouge.ngram(pairs, 1), "r1"), rouge.means(rouge.ngram(pairs, 2), "r2")] + ([rouge.means(rouge.longest(pairs), "rl")] if longest else [])
-        support = measures.consistency(text, utts).agg(F.count("*").alias("n"), F.round(F.sum("supported") / F.sum("grams"), 6).alias("p")).withColumns({"r": F.lit(None).cast("double"), "f": F.lit(None).cast("double"), "measure": F.lit("support")})
+        parts = [rouge.means(rouge.ngram_by_row(pairs, 1), "r1"), rouge.means(rouge.ngram_by_row(pairs, 2), "r2")] + ([rouge.means(rouge.longest(pairs), "rl")] if longest else [])
+        support = measures.consistency_by_row(text, utts).agg(F.count("*").alias("n"), F.round(F.sum("supported") / F.sum("grams"), 6).alias("p")).withColumns({"r": F.lit(None).cast("double"), "f": F.lit(None).cast("double"), "measure": F.lit("support")})
         for part in [*parts, support]:
             part = part.withColumn("run", F.lit(name))
             out = part if out is None else out.unionByName(part)

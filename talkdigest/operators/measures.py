@@ -34,6 +34,13 @@ def own_window_consistency(steps: DataFrame, n: int = 2) -> DataFrame:
     return rows.where("grams > 0")
 
 
+def consistency_by_row(outputs: DataFrame, utts: DataFrame, n: int = 2) -> DataFrame:
+    """As consistency(), of outputs with a row a meeting: a meeting's utterances meet its output, and n-grams are no rows of a shuffle."""
+    source = utts.groupBy("meeting_id").agg(F.array_join(F.collect_list(F.array_join("tokens", " ")), "\n").alias("source"))
+    rows = outputs.join(source, "meeting_id", "left").select("meeting_id", F.lit(0).alias("step"), F.col("text").alias("snippet"), F.coalesce("source", F.lit("")).alias("source"))
+    return own_window_consistency(rows, n).drop("step")
+
+
 def mention_support(outputs: DataFrame, utts: DataFrame, pattern: str) -> DataFrame:
     """(meeting_id, mentions, supported): distinct matches of pattern (names, numbers) in the output that the source has too."""
     mine = outputs.select("meeting_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(f"({pattern})"), F.lit(1))).alias("m")).distinct()

@@ -31,6 +31,20 @@ def ngram(pairs: DataFrame, n: int = 1) -> DataFrame:
     return counts.groupBy("key").agg(total(F.least("a", "b")).alias("match"), total(F.col("a")).alias("cand"), total(F.col("b")).alias("ref"))
 
 
+def ngram_by_row(pairs: DataFrame, n: int = 1) -> DataFrame:
+    """As ngram(), of pairs with a row a key: counted row by row, without a shuffle of n-grams."""
+    if n < 1:
+        raise ValueError(f"n must be 1 or more, not {n}")
+
+    @F.pandas_udf("long")
+    def match(cand: pd.Series, ref: pd.Series) -> pd.Series:
+        bag = lambda x: Counter(zip(*(x[i:] for i in range(n))))
+        return pd.Series([sum((bag(list(a)) & bag(list(b))).values()) for a, b in zip(cand, ref)], dtype="int64")
+
+    size = lambda c: F.greatest(F.size(c) - (n - 1), F.lit(0)).cast("long")
+    return pairs.select("key", match("cand", "ref").alias("match"), size("cand").alias("cand"), size("ref").alias("ref"))
+
+
 def lcs(a: list, b: list) -> int:
     """Length of the longest common subsequence, bit-parallel over a."""
     masks: dict = {}

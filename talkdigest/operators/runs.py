@@ -228,12 +228,24 @@ def assemble(steps: DataFrame) -> DataFrame:
     return steps.groupBy("meeting_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("step", "snippet"))), lambda x: x["snippet"]), "\n").alias("text"))
 
 
+def first_places(items: pd.Series) -> pd.Series:
+    """Places of an array's elements that did not occur before."""
+    def places(x):
+        seen: dict = {}
+        for i, item in enumerate(x):
+            seen.setdefault(item, i)
+        return list(seen.values())
+
+    return items.map(places)
+
+
 def dedup_sentences(outputs: DataFrame) -> DataFrame:
-    """(meeting_id, text, sentences, repeated): outputs (meeting_id, text) without sentences that occurred before, compared in lower case and single spaces."""
-    rows = outputs.select("meeting_id", F.posexplode(sentences(F.col("text"))).alias("place", "sentence")).withColumn("norm", normal(F.col("sentence")))
-    rows = rows.withColumn("nth", F.row_number().over(Window.partitionBy("meeting_id", "norm").orderBy("place")))
-    kept = F.filter(F.sort_array(F.collect_list(F.struct("place", "nth", "sentence"))), lambda x: x["nth"] == 1)
-    return rows.groupBy("meeting_id").agg(F.array_join(F.transform(kept, lambda x: x["sentence"]), ". ").alias("text"), F.count("*").alias("sentences"), F.sum((F.col("nth") > 1).cast("long")).alias("repeated"))
+    """(meeting_id, text, sentences, repeated): outputs (meeting_id, text), a row a meeting, without sentences that occurred before, compared in
+    lower case and single spaces. Row by row: sentences are no rows of a shuffle."""
+    rows = outputs.select("meeting_id", sentences(F.col("text")).alias("all")).where(F.size("all") > 0)
+    rows = rows.withColumn("firsts", F.pandas_udf(first_places, "array<int>")(F.transform("all", lambda s: normal(s))))
+    text = F.array_join(F.transform("firsts", lambda i: F.get("all", i)), ". ")
+    return rows.select("meeting_id", text.alias("text"), F.size("all").cast("long").alias("sentences"), (F.size("all") - F.size("firsts")).cast("long").alias("repeated"))
 
 
 def redundancy(outputs: DataFrame) -> DataFrame:

@@ -86,4 +86,4 @@ class Digest:
     def score(self, references: DataFrame) -> DataFrame:
         """(measure, n, p, r, f) of ROUGE-1, -2 and -L."""
         pairs = rouge.pairs(self.outputs_, references)
-        return rouge.means(rouge.ngram(pairs, 1), "r1").unionByName(rouge.means(rouge.ngram(pairs, 2), "r2")).unionByName(rouge.means(rouge.longest(pairs), "rl"))
+        return rouge.means(rouge.ngram_by_row(pairs, 1), "r1").unionByName(rouge.means(rouge.ngram_by_row(pairs, 2), "r2")).unionByName(rouge.means(rouge.longest(pairs), "rl"))

@@ -718,3 +718,16 @@ def test_reader_keeps_keys_and_values_of_earlier_tokens(monkeypatch):
     view = windows.View("m", np.arange(2), ["PM"] * 2, ["a b c d e f g", "h i j"], np.array([7, 3]), 0, 1, 16)
     Seq2SeqBackbone(model, q=6).written(view)
     assert set(rows[3:]) == {1}  # after encoding, each step passes one token only
+
+
+def test_outputs_are_scored_and_cleaned_row_by_row(spark, talks):
+    out = runs.assemble(runs.dynamic(talks, LeadBackbone(2), 128))
+    pairs = rouge.pairs(out, talks.where("utt_no = 0").select("meeting_id", "text"))
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    for n in (1, 2, 3):
+        assert rows(rouge.ngram_by_row(pairs, n)) == rows(rouge.ngram(pairs, n))
+    assert rows(measures.consistency_by_row(out, talks)) == rows(measures.consistency(out, talks))
+    texts = spark.createDataFrame([("a", "One two. ONE  two! three\nOne two"), ("b", ". !"), ("c", None), ("d", "x")], "meeting_id string, text string")
+    clean = runs.dedup_sentences(texts)
+    assert rows(clean) == [("a", "One two. three", 4, 2), ("d", "x", 1, 0)]
+    assert all("explode" not in plan_of(df).lower() for df in (clean, rouge.ngram_by_row(pairs, 2), measures.consistency_by_row(out, talks)))
