@@ -6,11 +6,13 @@ import tempfile
 import uuid
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Words are maximal runs of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
+#: Blocks of 64 bits that keys leave a mark in, if they are too many to be broadcast: 5 MB at most.
+SIEVE = 1 << 17
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -79,3 +81,28 @@ def word_count(text):
 def small_or_plain(df: DataFrame, most_rows: int) -> DataFrame:
     """df with a broadcast hint if it has at most most_rows rows, else as it is (a shuffled join follows)."""
     return F.broadcast(df) if df.limit(most_rows + 1).count() <= most_rows else df
+
+
+def possible(rows: DataFrame, keys: DataFrame, on: str, code: Column | None = None, blocks: int = SIEVE) -> DataFrame:
+    """All rows whose `on` is among that of keys, and some others: only the keys' marks are broadcast, in a table of fixed size.
+
+    code: a hash of `on`."""
+    code = F.xxhash64(on) if code is None else code
+    block = F.pmod(code, F.lit(blocks).cast("long"))
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.call_function("shiftrightunsigned", code, F.lit(58)).cast("int"))
+    marks = keys.groupBy(block.alias("sieve_block")).agg(F.bit_or(bit).alias("sieve_marks"))
+    found = rows.withColumn("sieve_block", block).join(F.broadcast(marks), "sieve_block").where(F.col("sieve_marks").bitwiseAND(bit) != 0)
+    return found.drop("sieve_block", "sieve_marks")
+
+
+def matching(rows: DataFrame, keys: DataFrame, on: str, most_rows: int, code: Column | None = None, blocks: int = SIEVE) -> DataFrame:
+    """rows joined with keys, which hold each `on` once. Of more than most_rows keys only the marks are broadcast; most rows without
+    a key fall through before the shuffle that the exact join takes."""
+    if keys.count() <= most_rows:
+        return rows.join(F.broadcast(keys), on)
+    return possible(rows, keys, on, code, blocks).join(keys.hint("merge"), on)
+
+
+def few_or_shuffled(keys: DataFrame, most_rows: int) -> DataFrame:
+    """A written table of keys as a side of a join: broadcast if it has few rows, else always shuffled."""
+    return F.broadcast(keys) if keys.count() <= most_rows else keys.hint("merge")

@@ -23,13 +23,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import SIEVE, few_or_shuffled, matching, written
 
 DEPTH = 3
 SIMILAR = 0.6
 FIELD = "<*>"
 MOST = 50_000  # rows of keys up to which a side is broadcast: a few MB of the driver, whatever the input
-SIEVE = 1 << 17  # blocks of 64 bits that leaves leave a mark in, if they are too many to be broadcast: 5 MB at most
 
 
 def _lines(text):
@@ -76,20 +75,9 @@ def generalised(distinct: DataFrame, depth: int = DEPTH, similar: float = SIMILA
     return rows.select("line_key", F.when(fits, F.xxhash64(F.lit("leaf"), "leaf")).otherwise(F.xxhash64(F.lit("line"), "line_key")).alias("template"))
 
 
-def _keys(df: DataFrame) -> DataFrame:
-    """A written table of keys as a side of a join: broadcast if it has few rows, else always shuffled."""
-    return F.broadcast(df) if df.count() <= MOST else df.hint("merge")
-
-
 def _sieved(lines: DataFrame, leaves: DataFrame) -> DataFrame:
-    """lines joined with leaves (leaf, uniform). Of many leaves only their marks are broadcast, in a table of fixed size; most lines
-    without a leaf fall through before the shuffle that the exact join takes."""
-    if leaves.count() <= MOST:
-        return lines.join(F.broadcast(leaves), "leaf")
-    block, bit = F.expr(f"pmod(leaf, {SIEVE}L)"), F.expr("shiftleft(1L, cast(shiftrightunsigned(leaf, 58) as int))")
-    marks = leaves.groupBy(block.alias("block")).agg(F.bit_or(bit).alias("marks"))
-    possible = lines.withColumn("block", block).join(F.broadcast(marks), "block").where(F.col("marks").bitwiseAND(bit) != 0)
-    return possible.drop("block", "marks").join(leaves.hint("merge"), "leaf")
+    """lines joined with leaves (leaf, uniform)."""
+    return matching(lines, leaves, "leaf", MOST, F.col("leaf"), SIEVE)
 
 
 def recurring(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3, short: bool = False) -> DataFrame:
@@ -107,11 +95,11 @@ def recurring(documents: DataFrame, min_docs: int = 3, min_tokens: int = 3, shor
     distinct = varied.groupBy("leaf", "line_key").agg(F.first("tokens").alias("tokens"))
     keys = written(generalised(distinct), "line-keys")
     place = ("doc_id", "text_key", "line_no")
-    placed = varied.select(*place, "line_key").join(_keys(keys), "line_key").select(*place, "template")
+    placed = varied.select(*place, "line_key").join(few_or_shuffled(keys, MOST), "line_key").select(*place, "template")
     placed = placed.unionByName(held.where("tokens is null").select(*place, F.xxhash64(F.lit("leaf"), "leaf").alias("template")))
     first = placed.groupBy("template", "doc_id").agg(F.min(F.struct("text_key", "line_no")).alias("at")).groupBy("template").agg(F.count("*").alias("docs"), F.min(F.struct("doc_id", "at.text_key", "at.line_no")).alias("first"))
     first = written(first.where(F.col("docs") >= min_docs).select("template", "first"), "firsts")
-    again = placed.join(_keys(first), "template").where(F.struct(*place) != F.col("first"))
+    again = placed.join(few_or_shuffled(first, MOST), "template").where(F.struct(*place) != F.col("first"))
     return again.groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_set("line_no")).alias("drops"))
 
 

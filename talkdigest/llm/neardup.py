@@ -34,14 +34,14 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import kept, small_or_plain, written
+from .common import few_or_shuffled, kept, matching, possible, written
 
 TREES, DEPTH, DEEPER = 24, 4, 8
 SMALL = 128  # sets of a region up to which all its pairs are compared at once
 TILE = 256  # sets of a tile of a larger group
 CELLS = 1 << 20  # counts by which items are ordered from rare to common; any order gives all pairs
 HEAVY = 50_000  # rows of a region from which on several tasks chain it
-MOST = 1_000_000  # rows up to which a side is broadcast
+MOST = 50_000  # rows of keys up to which a side is broadcast: a few MB of the driver, whatever the input
 BLOCK = 2048
 MULTIPLIERS = np.array([xxhash.xxh3_64_intdigest(b"minimum %d" % i) | 1 for i in range(TREES * DEPTH)], np.uint64)
 MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)]
@@ -265,7 +265,7 @@ def tiled(first: DataFrame) -> DataFrame:
     met = F.transform(upto("others"), lambda u: F.struct(F.lit(0).alias("kind"), own.alias("x"), u.alias("y")))
     meets = F.transform(upto("tiles"), lambda t: F.struct(F.lit(0).alias("kind"), t.alias("x"), own.alias("y")))
     beside = F.transform(F.filter(upto("others"), lambda u: u != own), lambda u: F.struct(F.lit(1).alias("kind"), F.least(u, own).alias("x"), F.greatest(u, own).alias("y")))
-    rows = first.join(small_or_plain(groups, MOST), "item").withColumn("at", F.explode(F.when(is_main, met).otherwise(F.concat(meets, beside))))
+    rows = matching(first, groups, "item", MOST).withColumn("at", F.explode(F.when(is_main, met).otherwise(F.concat(meets, beside))))
     return rows.select("item", F.xxhash64("item", "at.kind", "at.x", "at.y").alias("block"), "id", "component")
 
 
@@ -276,7 +276,7 @@ def crossing(sets: DataFrame, joined: DataFrame, items: DataFrame, percent: int)
     rows = written(forest(sets).select("region", "id").join(joined, "id", "left").select("region", "id", F.coalesce("component", "id").alias("component")), "forest", True)
     mixed = rows.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("low"), F.max("component").alias("high"), F.bit_xor(F.xxhash64("id")).alias("members"))
     mixed = written(mixed.where("low < high").select("region", "size", "members"), "mixed", True)
-    inside = rows.join(small_or_plain(mixed, MOST), "region")
+    inside = matching(rows, mixed, "region", MOST)
     # regions of the same sets in several trees are one block
     blocks = inside.where(F.col("size") <= SMALL).select(F.xxhash64("members", "size").alias("block"), "id", "component")
     large = inside.where(F.col("size") > SMALL)
@@ -354,18 +354,20 @@ def clustered(documents: DataFrame, words: int = 4, percent: int = 80) -> DataFr
     # equal sets have equal signatures; a doc_id that stands for two sets (repeated ids) gets both, and its links join
     sets = kept(usable.groupBy("set_key").agg(F.min("doc_id").alias("id"), F.first("signature").alias("signature"), F.count("*").alias("copies")))
     pairs, ends = candidates(sets)
-    few = small_or_plain(ends, MOST)
+    owners = ends.withColumnRenamed("id", "doc_id")
+    # texts are not shuffled for this: of many ids only marks are broadcast, and sets of other texts that pass meet no pair
+    wanted = texts.join(F.broadcast(owners), "doc_id", "left_semi") if ends.count() <= MOST else possible(texts, owners, "doc_id")
     # dealt by id once: the joins with it need no further shuffle of whole sets
     parts = int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    items = kept(texts.join(few.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi").mapInArrow(_sets(words), "id long, items binary").repartition(parts, "id"))
+    items = kept(wanted.mapInArrow(_sets(words), "id long, items binary").repartition(parts, "id"))
     star = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
     links = written(confirmed(star, items, percent).distinct(), "links", True)
     links = links.unionByName(written(confirmed(between(pairs, components(links)), items, percent).distinct(), "links", True))
-    mixed = sets.join(few, "id", "left_semi")
+    mixed = matching(sets, ends, "id", MOST)
     found = components(links.unionByName(crossing(mixed, components(links), items, percent)))
     # documents whose set nobody else has, and that no link reaches, need no row here
     known = sets.join(found, "id", "left").select("set_key", F.coalesce("component", "id").alias("class_component"), "id", "copies").where("copies > 1 or class_component <> id")
-    known = small_or_plain(written(known.select("set_key", "class_component"), "classes", True), MOST)
+    known = few_or_shuffled(written(known.select("set_key", "class_component"), "classes", True), MOST)
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("class_component", "doc_id"))
     out = signed.join(known, "set_key", "left").select("doc_id", "n_shingles", component.alias("component_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
